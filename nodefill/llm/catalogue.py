@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import window_dedup
+from . import media_jpeg, packing, segmentation, suffix_index, weighted_minhash, window_dedup
 
-MODULES = (window_dedup,)
+MODULES = (packing, segmentation, suffix_index, media_jpeg, weighted_minhash, window_dedup)
 
 
 def queries() -> dict:

@@ -7,6 +7,9 @@ from __future__ import annotations
 
 import math
 import sys
+import tempfile
+import types
+import zlib
 
 import numpy as np
 from pyspark import cloudpickle
@@ -28,6 +31,14 @@ def ship(name: str) -> None:
 ship(__name__)
 
 
+def cached(key, build):
+    """What `build` makes, once for each Python process."""
+    store = sys.modules.setdefault("_nodefill_kept", types.ModuleType("_nodefill_kept")).__dict__
+    if key not in store:
+        store[key] = build()
+    return store[key]
+
+
 def byte_table(seed: int, lower: bool = False) -> np.ndarray:
     table = np.random.default_rng(seed).integers(1, 2**63, 256, dtype=np.uint64) * U(2) + U(1)
     if lower:
@@ -167,3 +178,20 @@ def cover(n: int, starts: np.ndarray, width: int) -> np.ndarray:
     np.add.at(d, starts, 1)
     np.add.at(d, starts + width, -1)
     return np.cumsum(d[:n]) > 0
+
+
+def pack_ints(values: np.ndarray) -> bytes:
+    """Counts as the narrowest unsigned type that holds them, compressed."""
+    kind = next(t for t in ("<u1", "<u2", "<u4", "<u8") if not len(values) or values.max() <= np.iinfo(t).max)
+    return kind[-1].encode() + zlib.compress(values.astype(kind).tobytes(), 1)
+
+
+def unpack_ints(blob: bytes) -> np.ndarray:
+    return np.frombuffer(zlib.decompress(blob[1:]), f"<u{chr(blob[0])}").astype(np.int64)
+
+
+def shared_folder(spark) -> None:
+    """Checkpoints go where the cluster says; only without such a setting, as in tests, to a folder of this machine."""
+    context = spark.sparkContext
+    if context.getCheckpointDir() is None:
+        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
