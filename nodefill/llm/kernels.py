@@ -143,8 +143,8 @@ def input_bytes(docs: DataFrame) -> int:
 
 
 def bucket_count(size: int) -> int:
-    """Buckets of 2 MB that grow with the root of the input up to 96 MB: blocks of a shuffle then stay few and tasks small."""
-    each = min(96e6, max(1.5e6, 1.5e6 * math.sqrt(size / 16e6)))
+    """Buckets of 0.8 MB that grow with the root of the input up to 64 MB: blocks of a shuffle then stay few and tasks small."""
+    each = min(64e6, max(0.8e6, 0.8e6 * math.sqrt(size / 16e6)))
     return max(4, math.ceil(size / each))
 
 
@@ -174,10 +174,7 @@ def spans_of(mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def cover(n: int, starts: np.ndarray, width: int) -> np.ndarray:
     """Mask of the places covered by [s, s + width)."""
-    d = np.zeros(n + 1, np.int32)
-    np.add.at(d, starts, 1)
-    np.add.at(d, starts + width, -1)
-    return np.cumsum(d[:n]) > 0
+    return np.cumsum(np.bincount(starts, minlength=n + 1)[:n] - np.bincount(starts + width, minlength=n + 1)[:n]) > 0
 
 
 def pack_ints(values: np.ndarray) -> bytes:

@@ -28,7 +28,7 @@ from .kernels import U
 
 K.ship(__name__)
 
-WINDOW, GRAM, HOT, BATCH = 50, 16, 4096, 1 << 16
+WINDOW, GRAM, HOT, BATCH = 50, 16, 4096, 1 << 18
 
 
 class SuffixFamily:
