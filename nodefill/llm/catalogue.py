@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import media_jpeg, packing, segmentation, suffix_index, weighted_minhash, window_dedup
+from . import knn_join, media_jpeg, packing, quality, secret_forest, segmentation, suffix_index, url_filter, weighted_minhash, window_dedup
 
-MODULES = (packing, segmentation, suffix_index, media_jpeg, weighted_minhash, window_dedup)
+MODULES = (packing, segmentation, quality, suffix_index, knn_join, media_jpeg, weighted_minhash, url_filter, window_dedup, secret_forest)
 
 
 def queries() -> dict:
