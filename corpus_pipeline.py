@@ -1,11 +1,69 @@
-"""Five stages from raw documents to packed training sequences."""
+"""Five stages from raw documents to packed training sequences.
 
-STAGES = []
+Each stage takes (spark, docs, sf_dir) and works on everything its predecessor kept. All but the last return the
+columns of documents; n_chars follows the text where a stage changes it.
+"""
+
+from __future__ import annotations
+
+import uuid
+
+from pyspark.sql import DataFrame, Window
+from pyspark.sql import functions as F
+
+from nodefill.llm import packing, quality, secret_forest, suffix_index, weighted_minhash
+from nodefill.llm.kernels import shared_folder
+
+
+def quality_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the positive-unlabelled classifier rejects go."""
+    return quality.keep_good(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def near_duplicate_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document with the smallest doc_id of each component stays, once if its row is repeated. Rows without doc_id stay."""
+    found = weighted_minhash.near_duplicates(docs, with_digest=True)
+    keep = found.filter("doc_id = component_id AND class_id = doc_id").select(F.col("doc_id").alias("_keep"), F.lower(F.hex("digest")).alias("_digest")).distinct()
+    digest = F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary"))
+    first = F.row_number().over(Window.partitionBy("doc_id", digest).orderBy(F.lit(1)))
+    named = docs.filter("doc_id IS NOT NULL").join(keep, (F.col("doc_id") == F.col("_keep")) & (digest == F.col("_digest")), "left_semi")
+    named = named.withColumn("_turn", first).filter("_turn = 1")
+    return named.select(*docs.columns).unionByName(docs.filter("doc_id IS NULL"))
+
+
+def suffix_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Byte strings of 50 or more that a smaller doc_id holds go; characters that a cut would split stay whole."""
+    return suffix_index.rewrite_documents(docs)
+
+
+def secret_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Secrets become a mark."""
+    return secret_forest.redact(docs)
+
+
+def packing_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Sequences of at most 2048 tokens."""
+    return packing.pack_documents(docs)
+
+
+STAGES = [
+    ("quality classifier", quality_stage),
+    ("near-duplicate removal", near_duplicate_stage),
+    ("suffix-array dedup", suffix_stage),
+    ("secret scan", secret_stage),
+    ("packing", packing_stage),
+]
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
+def run(spark, sf_dir: str) -> DataFrame:
+    """The last stage's rows; between stages, Parquet in the cluster's shared folder."""
+    shared_folder(spark)
+    folder = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4().hex}"
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+    for k, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
+        if k < len(STAGES) - 1:
+            docs.write.parquet(f"{folder}/{k}")
+            docs = spark.read.parquet(f"{folder}/{k}")
     return docs

@@ -148,16 +148,30 @@ def bucket_count(size: int) -> int:
     return max(4, math.ceil(size / each))
 
 
-def doc_buckets(docs: DataFrame, n: int) -> DataFrame:
-    """(bucket, doc_id, text): the one exchange of texts that all later steps share."""
-    return docs.select(F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(n)).cast("int").alias("bucket"), F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+def id_text(docs: DataFrame, *more: Column) -> DataFrame:
+    """doc_id and text as strings: a null among long integers would come to pandas as floats."""
+    return docs.select(*more, F.col("doc_id").cast("long").cast("string").alias("doc_id"), F.col("text").cast("string").alias("text"))
+
+
+def doc_buckets(docs: DataFrame, n: int, rest: bool = False) -> DataFrame:
+    """(bucket, doc_id, text), with `rest` also the other columns as a struct: the one exchange of texts that all later steps share."""
+    bucket = F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(n)).cast("int").alias("bucket")
+    return id_text(docs, bucket, *[F.struct(*[F.col(f"`{c}`") for c in docs.columns if c != "text"]).alias("rest")] * rest)
+
+
+def row_ids(column) -> list:
+    return [None if i is None or i != i else int(i) for i in column]
+
+
+def row_order(frame) -> tuple[list, list[bytes], list[int]]:
+    ids = row_ids(frame["doc_id"])
+    texts = [t.encode("utf-8", "surrogatepass") if isinstance(t, str) else b"" for t in frame["text"]]
+    return ids, texts, sorted(range(len(ids)), key=lambda i: (ids[i] is None, ids[i] or 0, texts[i]))
 
 
 def in_order(frame) -> tuple[list, np.ndarray, list[bytes]]:
     """Doc ids (None kept), ids with None as the largest long, and texts as bytes, by id and text."""
-    ids = [None if i is None or i != i else int(i) for i in frame["doc_id"]]
-    texts = [t.encode("utf-8", "surrogatepass") if isinstance(t, str) else b"" for t in frame["text"]]
-    order = sorted(range(len(ids)), key=lambda i: (ids[i] is None, ids[i] or 0, texts[i]))
+    ids, texts, order = row_order(frame)
     ids, texts = [ids[i] for i in order], [texts[i] for i in order]
     return ids, np.array([2**63 - 1 if i is None else i for i in ids], np.int64), texts
 

@@ -329,7 +329,7 @@ def features(frames) -> tuple[str, int, int]:
 
 def store_partition(frames):
     for frame in frames:
-        ids = [None if i is None or i != i else int(i) for i in frame["doc_id"]]
+        ids = K.row_ids(frame["doc_id"])
         texts = [t.encode("utf-8", "surrogatepass") if isinstance(t, str) else b"" for t in frame["text"]]
         for a, b in K.chunks(texts, [len(t) + WIDE for t in texts], 1 << 21):
             payloads = [t.ljust(max(1, -(-len(t) // WIDE)) * WIDE, b" ") for t in texts[a:b]]
@@ -350,9 +350,9 @@ def encode_media(docs: DataFrame) -> DataFrame:
             texts = [t.encode("utf-8", "surrogatepass") if isinstance(t, str) else b"" for t in frame["text"]]
             for a, b in K.chunks(texts, [len(t) + WIDE for t in texts], 1 << 21):
                 media = write_media([t.ljust(max(1, -(-len(t) // WIDE)) * WIDE, b" ") for t in texts[a:b]])
-                yield pd.DataFrame({"doc_id": frame["doc_id"].iloc[a:b].astype("Int64"), "media": media})
+                yield pd.DataFrame({"doc_id": pd.array(K.row_ids(frame["doc_id"].iloc[a:b]), "Int64"), "media": media})
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(encode, "doc_id long, media binary")
+    return K.id_text(docs).mapInPandas(encode, "doc_id long, media binary")
 
 
 def read_media(media: DataFrame, key: str = "doc_id", column: str = "media") -> DataFrame:
@@ -378,4 +378,4 @@ def read_media(media: DataFrame, key: str = "doc_id", column: str = "media") ->
 
 def op6_jpeg_media(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(store_partition, SCHEMA)
+    return K.id_text(docs).mapInPandas(store_partition, SCHEMA)

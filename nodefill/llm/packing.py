@@ -141,7 +141,7 @@ def pack_partition(frames, path: str, tiers, end: int):
 def pack_documents(docs: DataFrame, vocabulary: str | None = None, tiers=TIERS, end: int = END) -> DataFrame:
     """A row for each piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, tier, step_group, attention_cost."""
     path = vocabulary or default_vocabulary()
-    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    source = K.id_text(docs)
     return source.mapInPandas(lambda frames: pack_partition(frames, path, tiers, end), SCHEMA)
 
 

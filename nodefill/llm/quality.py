@@ -127,15 +127,14 @@ def scores(texts, model) -> np.ndarray:
 def score_quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """doc_id, held_out, score, predicted (1 from THRESHOLD on) of every document."""
     model = train(docs, labels)
-    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    source = source.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text")
+    source = K.id_text(docs, held_out(F.col("doc_id").cast("long")).alias("held_out"))
 
     def run(frames):
         for frame in frames:
             score = scores(frame["text"], model)
-            yield frame.drop(columns="text").assign(doc_id=frame["doc_id"].astype("Int64"), score=score, predicted=(score >= THRESHOLD).astype("int32"))
+            yield frame[["held_out"]].assign(doc_id=pd.array(K.row_ids(frame["doc_id"]), "Int64"), score=score, predicted=(score >= THRESHOLD).astype("int32"))
 
-    return source.mapInPandas(run, "doc_id long, held_out boolean, score double, predicted int")
+    return source.mapInPandas(run, "doc_id long, held_out boolean, score double, predicted int").select("doc_id", "held_out", "score", "predicted")
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:

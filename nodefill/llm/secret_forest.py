@@ -19,6 +19,9 @@ from pyspark.sql import functions as F
 
 TRAIN, TREES, DEPTH, LEAF, THRESHOLD, REDACTED = 4000, 12, 5, 8, 0.5, "<SECRET>"
 
+# Names of helper columns, unlikely in any table.
+PARTS, SCORES, DESCRIBED, PATH = "__scan_parts__", "__scan_scores__", "__scan_features__", "__scan_path__"
+
 # Names that hold secrets, and the patterns of candidates.
 NAMES = "password|passwd|pwd|secret|api_?key|token"
 ASSIGNED = rf"(?i:{NAMES})[\"']?\s{{0,3}}[:=]\s{{0,3}}[\"']?"
@@ -141,20 +144,20 @@ def forest_score(forest: list, f: Column) -> Column:
 
 
 def with_findings(docs: DataFrame, forest: list, text: str = "text", path: str = "source") -> DataFrame:
-    """Adds _parts (plain text and candidates by turns) and _scores (of the candidates)."""
+    """Adds PARTS (plain text and candidates by turns) and SCORES (of the candidates)."""
     marked = F.regexp_replace(F.translate(F.coalesce(F.col(text).cast("string"), F.lit("")), "\x01", " "), CANDIDATE, "\x01$0\x01")
     where = F.coalesce(F.col(path).cast("string"), F.lit("")) if path in docs.columns else F.lit("")
-    out = docs.withColumn("_parts", F.split(marked, "\x01")).withColumn("_path", where)
-    places = F.when(F.size("_parts") > 1, F.sequence(F.lit(1), F.size("_parts") - 2, F.lit(2))).otherwise(F.array().cast("array<int>"))
-    part = lambda i: F.get(F.col("_parts"), i)
-    out = out.withColumn("_features", F.transform(places, lambda i: describe(part(i), F.right(part(i - 1), F.lit(40)), F.left(part(i + 1), F.lit(8)), F.col("_path"))))
-    return out.withColumn("_scores", F.transform("_features", lambda f: forest_score(forest, f))).drop("_features", "_path")
+    out = docs.withColumn(PARTS, F.split(marked, "\x01")).withColumn(PATH, where)
+    places = F.when(F.size(PARTS) > 1, F.sequence(F.lit(1), F.size(PARTS) - 2, F.lit(2))).otherwise(F.array().cast("array<int>"))
+    part = lambda i: F.get(F.col(PARTS), i)
+    out = out.withColumn(DESCRIBED, F.transform(places, lambda i: describe(part(i), F.right(part(i - 1), F.lit(40)), F.left(part(i + 1), F.lit(8)), F.col(PATH))))
+    return out.withColumn(SCORES, F.transform(DESCRIBED, lambda f: forest_score(forest, f))).drop(DESCRIBED, PATH)
 
 
 def scan_secrets(docs: DataFrame) -> DataFrame:
     """A row for each candidate: doc_id, finding (from 0), start and length in characters, its digest, masked form, score, secret."""
     found = with_findings(docs, train_forest(docs.sparkSession))
-    rows = found.filter(F.size("_scores") > 0).select(F.col("doc_id").cast("long").alias("doc_id"), F.monotonically_increasing_id().alias("row"), F.posexplode(F.transform("_scores", lambda s, i: F.struct(F.get(F.col("_parts"), 2 * i + 1).alias("piece"), F.length(F.get(F.col("_parts"), 2 * i)).alias("gap"), s.alias("score")))).alias("finding", "f"))
+    rows = found.filter(F.size(SCORES) > 0).select(F.col("doc_id").cast("long").alias("doc_id"), F.monotonically_increasing_id().alias("row"), F.posexplode(F.transform(SCORES, lambda s, i: F.struct(F.get(F.col(PARTS), 2 * i + 1).alias("piece"), F.length(F.get(F.col(PARTS), 2 * i)).alias("gap"), s.alias("score")))).alias("finding", "f"))
     before = Window.partitionBy("row").orderBy("finding").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     piece = F.col("f.piece")
     value = F.regexp_replace(piece, ASSIGNMENT, "")
@@ -163,13 +166,16 @@ def scan_secrets(docs: DataFrame) -> DataFrame:
 
 
 def redact(docs: DataFrame) -> DataFrame:
-    """The documents with their secrets replaced in `text`; the names they are assigned to stay. All columns as they are."""
+    """The documents with their secrets replaced in `text`; the names they are assigned to stay. n_chars follows a changed text; other columns stay."""
     found = with_findings(docs, train_forest(docs.sparkSession))
     clean = lambda p: F.concat(F.regexp_extract(p, ASSIGNMENT, 0), F.lit(REDACTED))
-    secret = lambda i: (i % 2 == 1) & (F.get(F.col("_scores"), F.floor(i / 2).cast("int")) >= THRESHOLD)
-    text = F.array_join(F.transform("_parts", lambda p, i: F.when(secret(i), clean(p)).otherwise(p)), "")
-    hit = F.exists("_scores", lambda s: s >= THRESHOLD)
-    return found.withColumn("text", F.when(hit, text).otherwise(F.col("text"))).select(*docs.columns)
+    secret = lambda i: (i % 2 == 1) & (F.get(F.col(SCORES), F.floor(i / 2).cast("int")) >= THRESHOLD)
+    text = F.array_join(F.transform(PARTS, lambda p, i: F.when(secret(i), clean(p)).otherwise(p)), "")
+    out = found.withColumn(PATH, F.when(F.exists(SCORES, lambda s: s >= THRESHOLD), text))
+    out = out.withColumn("text", F.coalesce(PATH, "text"))
+    if "n_chars" in docs.columns:
+        out = out.withColumn("n_chars", F.when(F.col(PATH).isNotNull(), F.length(PATH).cast(dict(docs.dtypes)["n_chars"])).otherwise(F.col("n_chars")))
+    return out.select(*docs.columns)
 
 
 def op10_forest_secret_scan(spark, sf_dir: str) -> DataFrame:

@@ -252,7 +252,7 @@ def decode(ids, pieces: Pieces) -> str:
 def segment_partition(frames, path: str, n: int):
     pieces = pieces_of(path)
     for frame in frames:
-        ids = [None if i is None or i != i else int(i) for i in frame["doc_id"]]
+        ids = K.row_ids(frame["doc_id"])
         texts = [t if isinstance(t, str) else "" for t in frame["text"]]
         for a, b in K.chunks(texts, [len(t) + 1 for t in texts], 1 << 19):
             rows = []
@@ -266,7 +266,7 @@ def segment_partition(frames, path: str, n: int):
 def segment_documents(docs: DataFrame, model: str | None = None, n: int = N_BEST) -> DataFrame:
     """A row for each document and rank: score, number of pieces, crc32 of the ids, and whether the best path's ids decode to the text (true for the other ranks)."""
     path = model or default_model()
-    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    source = K.id_text(docs)
     return source.mapInPandas(lambda frames: segment_partition(frames, path, n), SCHEMA)
 
 

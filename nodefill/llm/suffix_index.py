@@ -21,7 +21,9 @@ import zlib
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from . import kernels as K
 from .kernels import U
@@ -86,7 +88,7 @@ def anchored(texts: list[bytes], window: int, gram: int):
         size = np.diff(np.r_[start, len(own)])
         keep = ok[start]
         start, size = start[keep], size[keep]
-        yield a, joined, offset, start, size, np.searchsorted(offset, start, side="right") - 1 + a, g[own[start]]
+        yield a, joined, offset, start, size, np.searchsorted(offset, start, side="right") - 1 + a, K.mix(g[own[start]] ^ U(K.MULT_B))  # minimisers are small; mixed, they spread over the shards
 
 
 def distinct_runs(frame, window, gram, answers):
@@ -224,8 +226,8 @@ def scan_shard(frame, window):
 
 
 def finish(frame, answers, window, gram, with_text):
-    """Removes the covered bytes of a bucket's documents. Answers of both kinds arrive in one frame."""
-    columns = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", *["kept"] * with_text]
+    """Removes the covered bytes of a bucket's documents. Answers of both kinds arrive in one frame; with_text: only the texts left, in order of id and text."""
+    columns = ["kept"] if with_text else ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"]
     if not len(frame):
         return pd.DataFrame({c: [] for c in columns})
     first = answers["answer"].notna() if len(answers) else []
@@ -242,21 +244,19 @@ def finish(frame, answers, window, gram, with_text):
             hits[t].append((s, m))
     rows = []
     for i, t, own in zip(ids, texts, hits, strict=True):
-        kept, spans = t, 0
+        a = b = np.zeros(0, np.int64)
         if own:
             start = np.array([s for s, _ in own], np.int64)
             m = np.array([m for _, m in own], np.uint64)
-            on = (m[:, None] >> np.arange(64, dtype=np.uint64)) & U(1)
-            which, step = np.nonzero(on)
+            which, step = np.nonzero((m[:, None] >> np.arange(64, dtype=np.uint64)) & U(1))
             a, b = K.spans_of(K.cover(len(t), start[which] + step, window))
-            spans = len(a)
-            kept = b"".join([t[x:y] for x, y in zip([0, *b.tolist()], [*a.tolist(), len(t)], strict=True)])
-            n_removed = int((b - a).sum())
-            text = cut_characters(t, a, b) if with_text else ""
+        if with_text:
+            rows.append((cut_characters(t, a, b) if own else None,))
         else:
-            n_removed, text = 0, t.decode("utf-8", "replace") if with_text else ""
-        rows.append((i, len(t), n_removed, spans, hashlib.sha256(kept).hexdigest(), *[text] * with_text))
-    return pd.DataFrame(rows, columns=columns).astype({"doc_id": "Int64"})
+            kept = b"".join([t[x:y] for x, y in zip([0, *b.tolist()], [*a.tolist(), len(t)], strict=True)]) if own else t
+            rows.append((i, len(t), len(t) - len(kept), len(a), hashlib.sha256(kept).hexdigest()))
+    out = pd.DataFrame(rows, columns=columns)
+    return out if with_text else out.astype({"doc_id": "Int64"})
 
 
 def cut_characters(text: bytes, starts: np.ndarray, ends: np.ndarray) -> str:
@@ -272,20 +272,60 @@ def cut_characters(text: bytes, starts: np.ndarray, ends: np.ndarray) -> str:
     return b"".join([*parts, text[at:]]).decode("utf-8", "replace")
 
 
-def remove_repeated_bytes(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, with_text: bool = False) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every document; `kept` with `with_text`: the text left, with cut characters whole. window - gram must be below 64."""
-    from pyspark.sql import functions as F
+def answers_of(texts: DataFrame, window: int, gram: int, bits: int) -> DataFrame:
+    """What each bucket has to know: its repeated minimisers, and the matched windows of its strings."""
+    anchors = texts.groupBy("bucket").applyInArrow(arrow(lambda f: first_pass(f, window, gram, bits), [("shard", "int32"), ("bucket", "int32"), ("anchors", "binary")]), "shard int, bucket int, anchors binary")
+    repeated = anchors.groupBy("shard").applyInPandas(repeated_anchors, "bucket int, answer binary")
+    runs = texts.groupBy("bucket").cogroup(repeated.groupBy("bucket")).applyInArrow(arrow(lambda f, a: second_pass(f, a, window, gram, bits + 2), [("shard", "int32"), ("bucket", "int32"), ("runs", "binary")]), "shard int, bucket int, runs binary")
+    matched = runs.groupBy("shard").applyInPandas(lambda f: scan_shard(f, window), "bucket int, matched binary")
+    return repeated.withColumn("matched", F.lit(None).cast("binary")).unionByName(matched.withColumn("answer", F.lit(None).cast("binary")))
+
+
+def frame_of(table: pa.Table) -> pd.DataFrame:
+    return pd.DataFrame({c: table[c].to_pylist() for c in ("bucket", "doc_id", "text")}) if "text" in table.column_names else table.to_pandas()
+
+
+def arrow(function, fields):
+    """A function of frames as one of Arrow tables: columns that it doesn't use are never converted."""
+    schema = pa.schema([(n, getattr(pa, t)()) for n, t in fields])
+    return lambda *tables: pa.Table.from_pandas(function(*map(frame_of, tables)), schema=schema, preserve_index=False)
+
 
+def remove_repeated_bytes(docs: DataFrame, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every document. window - gram must be below 64."""
     n = K.bucket_count(K.input_bytes(docs))
     bits = max(2, int(np.ceil(np.log2(n))))
     texts = K.doc_buckets(docs, n)
-    anchors = texts.groupBy("bucket").applyInPandas(lambda f: first_pass(f, window, gram, bits), "shard int, bucket int, anchors binary")
-    repeated = anchors.groupBy("shard").applyInPandas(repeated_anchors, "bucket int, answer binary")
-    runs = texts.groupBy("bucket").cogroup(repeated.groupBy("bucket")).applyInPandas(lambda f, a: second_pass(f, a, window, gram, bits + 2), "shard int, bucket int, runs binary")
-    matched = runs.groupBy("shard").applyInPandas(lambda f: scan_shard(f, window), "bucket int, matched binary")
-    answers = repeated.withColumn("matched", F.lit(None).cast("binary")).unionByName(matched.withColumn("answer", F.lit(None).cast("binary")))
-    schema = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept string" * with_text
-    return texts.groupBy("bucket").cogroup(answers.groupBy("bucket")).applyInPandas(lambda f, a: finish(f, a, window, gram, with_text), schema)
+    both = texts.groupBy("bucket").cogroup(answers_of(texts, window, gram, bits).groupBy("bucket"))
+    fields = [("doc_id", "int64"), ("n_bytes", "int64"), ("n_removed", "int64"), ("n_spans", "int64"), ("kept_sha256", "string")]
+    return both.applyInArrow(arrow(lambda f, a: finish(f, a, window, gram, False), fields), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+
+
+def rewrite_documents(docs: DataFrame, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+    """The documents, all columns, with the text that is left; a character that a span cuts stays whole. n_chars follows a changed text."""
+    n = K.bucket_count(K.input_bytes(docs))
+    bits = max(2, int(np.ceil(np.log2(n))))
+    texts = K.doc_buckets(docs, n, rest=True)
+    both = texts.groupBy("bucket").cogroup(answers_of(texts, window, gram, bits).groupBy("bucket"))
+
+    def rows(table: pa.Table, answers: pa.Table) -> pa.Table:
+        frame = frame_of(table)
+        *_, order = K.row_order(frame)
+        kept = finish(frame, answers.to_pandas(), window, gram, True)["kept"].tolist()
+        own = table.take(pa.array(order, pa.int64()))
+        return pa.table({"text": own["text"], "kept": pa.array(kept, pa.string()), "rest": own["rest"]})
+
+    rest = texts.schema["rest"].dataType.simpleString()
+    out = both.applyInArrow(rows, f"text string, kept string, rest {rest}")
+    columns = []
+    for c in docs.columns:
+        if c == "text":
+            columns.append(F.coalesce("kept", "text").alias("text"))
+        elif c == "n_chars":
+            columns.append(F.when(F.col("kept").isNotNull(), F.length("kept").cast(dict(docs.dtypes)[c])).otherwise(F.col("rest.n_chars")).alias(c))
+        else:
+            columns.append(F.col("rest").getField(c).alias(c))
+    return out.select(*columns)
 
 
 def op4_suffix_family_dedup(spark, sf_dir: str) -> DataFrame:

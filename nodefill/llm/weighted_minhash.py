@@ -13,7 +13,8 @@ only if their weighted Jaccard similarity, computed from all their shingles, is
 a bucket of n members makes n - 1 pairs a round.
 
 Null or empty text: no shingles; such texts are copies of each other and of nothing else. Null doc_id: returned with a
-null class. Rows with the same doc_id count as one document if their texts are equal. Other columns are ignored.
+null class. Rows with the same doc_id and text are copies of one class. Two texts under one doc_id are two classes, of
+which only one can be named by that doc_id; give such rows ids of their own first. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -175,23 +176,23 @@ def components(edges: DataFrame) -> DataFrame:
         labels = new.select("v", F.col("n").alias("l"))
 
 
-def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, rounds: int = ROUNDS) -> DataFrame:
-    """doc_id, class_id (least doc_id with the same text), component_id (least doc_id of its near-duplicate component), n_links (verified links of its class)."""
+def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, rounds: int = ROUNDS, with_digest: bool = False) -> DataFrame:
+    """A row for each row: doc_id, class_id (least doc_id with the same text), component_id (least doc_id of its near-duplicate component), n_links (verified links of its class); `digest`, the text's MD5, with with_digest."""
     spark = docs.sparkSession
     K.shared_folder(spark)
-    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    source = K.id_text(docs)
     idf = spark.sparkContext.broadcast(idf_table(source, k))
     found = source.mapInPandas(lambda f: signatures(f, k, idf.value, bands, rows), "digest binary, members array<long>, bands array<long>")
     local = found.select("digest", F.array_min("members").alias("least"), "members", "bands").checkpoint()
     # equal texts of different batches: their bands are equal too; the members stay spread over the batches' rows
     classes = local.groupBy("digest").agg(F.min("least").alias("class_id"), F.first("bands").alias("bands"))
-    members = local.select("digest", "least", F.explode("members").alias("doc_id"))
-    member_class = members.join(classes.select("digest", "class_id"), "digest").select("doc_id", "class_id").distinct()
+    members = local.select("digest", F.explode("members").alias("doc_id"))
+    member_class = members.join(classes.select("digest", "class_id"), "digest").select("doc_id", "class_id", "digest")
     keyed = classes.select("class_id", F.posexplode("bands").alias("band", "h"))
     shared = keyed.groupBy("band", "h").agg(F.count("*").alias("n")).filter("n > 1").select("band", "h")
     buckets = keyed.join(shared, ["band", "h"]).checkpoint()
     wanted = buckets.select("class_id").distinct()
-    texts = source.join(wanted, source["doc_id"] == wanted["class_id"], "left_semi")
+    texts = source.join(wanted, source["doc_id"].cast("long") == wanted["class_id"], "left_semi")
     vector = texts.mapInPandas(lambda f: vectors(f, k), "class_id long, vector binary").dropDuplicates(["class_id"]).checkpoint()
     links, label, tested = None, wanted.select("class_id", F.col("class_id").alias("component")), None
     for turn in range(rounds):
@@ -212,11 +213,13 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMIL
         tested = pairs if tested is None else tested.union(pairs)
         label = components(links)
     if links is None:
-        return source.select("doc_id").join(member_class, "doc_id", "left").select("doc_id", "class_id", F.col("class_id").alias("component_id"), F.lit(0).cast("long").alias("n_links"))
+        links = spark.createDataFrame([], "a long, b long, similarity double")
     degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))
     known = member_class.join(label, "class_id", "left").join(degree, "class_id", "left")
-    known = known.select("doc_id", "class_id", F.coalesce("component", "class_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
-    return source.select("doc_id").join(known, "doc_id", "left")
+    columns = [F.col("doc_id"), F.col("class_id"), F.coalesce("component", "class_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.col("digest")]
+    nameless = docs.filter(F.col("doc_id").cast("long").isNull()).select(*[F.lit(None).cast(t).alias(c) for c, t in (("doc_id", "long"), ("class_id", "long"), ("component_id", "long"), ("n_links", "long"), ("digest", "binary"))])
+    out = known.select(*columns).unionByName(nameless)
+    return out if with_digest else out.drop("digest")
 
 
 def op7_weighted_minhash(spark, sf_dir: str) -> DataFrame:

@@ -110,7 +110,7 @@ def merge_block(key, frame):
 
 def merged_sketch(docs: DataFrame, window: int, gram: int, bits: int) -> np.ndarray:
     """Bitmaps [depth, cells / 8] of counters of two or more; its size is bounded by `bits`, not by the corpus."""
-    parts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    parts = K.id_text(docs)
     parts = parts.mapInPandas(lambda frames: sketch_part(frames, window, gram, bits), "depth int, block int, cells binary, n int")
     blocks = parts.groupBy("depth", "block").applyInPandas(merge_block, "depth int, block int, bitmap binary").collect()
     sketch = np.zeros((DEPTH, 1 << bits >> 3), np.uint8)
