@@ -2,8 +2,9 @@
 
 Trusted positives are labelled documents of the training fold with quality 1; unlabelled are documents of that fold
 whatever their label. The class prior is the share of quality 1 among the fold's labelled documents. Training minimises
-prior * R+(positives) + max(0, R-(unlabelled) - prior * R-(positives)) with the logistic loss; when the second term
-falls under zero, its gradient is followed backwards, so the estimate of the negatives' risk stays non-negative.
+prior * R+(positives) + max(0, R-(unlabelled) - prior * R-(positives)), after WARM steps of the logistic loss with the
+bounded sigmoid loss, which bears a prior that is a little too high; when the second term falls under zero, its gradient
+is followed backwards, so the estimate of the negatives' risk stays non-negative.
 
 The model is linear over features of the whole text: frequencies of byte-class pairs, word statistics, and repetition.
 It is fitted on at most POSITIVES + UNLABELLED documents, chosen by hash of doc_id (documented bound); every document is
@@ -24,7 +25,7 @@ from . import kernels as K
 
 K.ship(__name__)
 
-POSITIVES, UNLABELLED, FOLDS, THRESHOLD, STEPS, RATE, DECAY, FLOOR = 8000, 16000, 5, 0.3, 600, 0.05, 1e-4, 0.0
+POSITIVES, UNLABELLED, FOLDS, THRESHOLD, STEPS, WARM, RATE, DECAY = 8000, 16000, 5, 0.3, 600, 100, 0.05, 1e-4
 CLASSES = 12
 
 
@@ -78,10 +79,14 @@ def fit_non_negative(p: np.ndarray, u: np.ndarray, prior: float, steps: int = ST
     m, v = np.zeros_like(theta), np.zeros_like(theta)
     for step in range(1, steps + 1):
         gp, gu = (1 / (1 + np.exp(-np.clip(a @ theta[:-1] + theta[-1], -30, 30))) for a in (x, z))
-        negative = -np.log(np.maximum(1e-12, 1 - gu)).mean() - prior * -np.log(np.maximum(1e-12, 1 - gp)).mean()
         of = lambda a, w: np.r_[a.T @ w, w.sum()] / len(a)
-        rise = of(z, gu) - prior * of(x, gp)
-        grad = prior * of(x, gp - 1) + rise if negative >= FLOOR else -rise
+        if step <= WARM:
+            negative = -np.log(np.maximum(1e-12, 1 - gu)).mean() + prior * np.log(np.maximum(1e-12, 1 - gp)).mean()
+            gain, rise = of(x, gp - 1), of(z, gu) - prior * of(x, gp)
+        else:
+            negative = gu.mean() - prior * gp.mean()
+            gain, rise = -of(x, gp * (1 - gp)), of(z, gu * (1 - gu)) - prior * of(x, gp * (1 - gp))
+        grad = prior * gain + rise if negative >= 0 else -rise
         grad[:-1] += DECAY * theta[:-1]
         m, v = 0.9 * m + 0.1 * grad, 0.999 * v + 0.001 * grad**2
         theta -= RATE * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)

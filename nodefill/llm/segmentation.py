@@ -30,7 +30,7 @@ from .kernels import U
 
 K.ship(__name__)
 
-MARK, N_BEST, UNKNOWN, SLOT_BITS = "▁", 5, 10.0, 20
+MARK, N_BEST, UNKNOWN, SLOT_BITS, CELLS = "▁", 5, 10.0, 20, 1 << 21
 SCHEMA = "doc_id long, rank int, score double, n_pieces long, ids_crc32 long, decodes boolean"
 WORDS = re.compile(f"{MARK}*[^{MARK}\n]+|{MARK}+|\n")
 
@@ -121,68 +121,78 @@ def search(word: str, pieces: Pieces, n: int) -> list[tuple[float, list[int]]]:
     return found
 
 
+def group_lattice(code: np.ndarray, pieces: Pieces):
+    """Words of one length, code points [n, size]: best score, loss of the second best path, and per word the tokens of the best path.
+
+    Columns are places, so every step is one operation over all words.
+    """
+    n, size = code.shape
+    longest = min(pieces.longest, size)
+    values = K.mix(code.T.astype(np.uint64) + U(1))
+    power, inverse = K.powers(K.MULT_A, size + 1)
+    prefix = np.zeros((size + 1, n), np.uint64)
+    np.cumsum(values * power[:size, None], axis=0, out=prefix[1:])
+    score, ids = {}, {}
+    forward, back = np.full((size + 1, n), -np.inf), np.full((size + 1, n), -np.inf)
+    forward[0], back[size] = 0.0, 0.0
+    for end in range(1, size + 1):
+        for length in range(1, min(longest, end) + 1):
+            start = end - length
+            i, s = pieces.find(K.mix((prefix[end] - prefix[start]) * inverse[start]))
+            if length == 1:
+                s[i < 0] = pieces.missing
+            score[start, length], ids[start, length] = s, i
+            np.maximum(forward[end], forward[start] + s, out=forward[end])
+    for start in range(size - 1, -1, -1):
+        for length in range(1, min(longest, size - start) + 1):
+            np.maximum(back[start], back[start + length] + score[start, length], out=back[start])
+    best = forward[size]
+    exact = 1e-9 * (1 + np.abs(best))
+    loss, via = np.full(n, np.inf), np.zeros((size, n), np.int32)
+    for start in range(size):
+        ways = np.zeros(n, np.int32)
+        for length in range(min(longest, size - start), 0, -1):
+            gap = best - (forward[start] + score[start, length] + back[start + length])
+            on = gap <= exact
+            ways += on
+            via[start][on] = length  # of equal arcs the shortest
+            np.minimum(loss, np.where(on, np.inf, gap), out=loss)
+        loss[ways > 1] = 0.0
+    row, at, rows, tokens, chars = np.arange(n), np.zeros(n, np.int64), [], [], []
+    table = np.full((size, longest + 1, n), -1, np.int32)
+    for (start, length), i in ids.items():
+        table[start, length] = i
+    while len(row):
+        length = via[at, row]
+        rows.append(row)
+        tokens.append(table[at, length, row])
+        chars.append(code[row, at])
+        at = at + length
+        stay = at < size
+        row, at = row[stay], at[stay]
+    row, token, char = (np.concatenate(x) for x in (rows, tokens, chars))
+    order = np.argsort(row, kind="stable")
+    return best, loss, row[order], token[order].astype(np.int64), char[order]
+
+
 def lattice(words: list[str], pieces: Pieces):
     """For each word: best score, loss of the second best path, and the ids of the best path (flat, with bounds)."""
     size = np.array([len(w) for w in words], np.int64)
-    base = np.cumsum(size) - size
-    code = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)
-    total = len(code)
-    p = K.prefix(K.mix(code.astype(np.uint64) + U(1)), K.MULT_A)
-    inverse = K.powers(K.MULT_A, total)[1]
-    left = np.repeat(base + size, size) - np.arange(total)
-    arcs = []
-    for length in range(1, min(pieces.longest, int(size.max(initial=0))) + 1):
-        at = np.flatnonzero(left >= length)
-        ids, score = pieces.find(K.mix((p[at + length] - p[at]) * inverse[at]))
-        if length == 1:
-            score[ids < 0] = pieces.missing
-        keep = score > -np.inf
-        arcs.append((length, at[keep], score[keep], ids[keep]))
-    node = np.arange(total) + np.repeat(np.arange(len(words)), size)
-    forward, back, via = (np.full(total + len(words), v) for v in (-np.inf, -np.inf, -1.0))
-    word_of = np.repeat(np.arange(len(words)), size)
-    begin = base + np.arange(len(words))
-    forward[begin], back[begin + size] = 0.0, 0.0
-    start = np.concatenate([a[1] for a in arcs]) if arcs else np.zeros(0, np.int64)
-    length = np.concatenate([np.full(len(a[1]), a[0]) for a in arcs]) if arcs else start
-    score = np.concatenate([a[2] for a in arcs]) if arcs else np.zeros(0)
-    ids = np.concatenate([a[3] for a in arcs]) if arcs else start
-    src = node[start]
-    dst = src + length
-    step = dst - begin[word_of[start]]
-    for arrays, key, a, b in ((forward, step, src, dst), (back, (size[word_of[start]] - (src - begin[word_of[start]])), dst, src)):
-        order = np.lexsort((b, key))
-        cut = np.searchsorted(key[order], np.arange(1, int(size.max(initial=0)) + 2))
-        for i, j in zip(cut[:-1], cut[1:], strict=True):
-            o = order[i:j]
-            if len(o):
-                v, t = arrays[a[o]] + score[o], b[o]
-                head = np.flatnonzero(np.r_[True, t[1:] != t[:-1]])
-                arrays[t[head]] = np.maximum.reduceat(v, head)
-    best = forward[begin + size]
-    through = forward[src] + score + back[dst]
-    gap = best[word_of[start]] - through
-    on = gap <= 0
-    loss = np.full(len(words), np.inf)
-    off = np.flatnonzero(~on)
-    np.minimum.at(loss, word_of[start[off]], gap[off])
-    several = np.bincount(src[on], minlength=len(forward)) > 1
-    loss[np.unique(word_of[start[np.flatnonzero(on)[several[src[on]]]]])] = 0.0
-    via = np.full(len(forward), -1, np.int64)
-    pick = np.flatnonzero(on)[::-1]
-    via[src[pick]] = pick  # the shortest of equal arcs: arcs come by length
-    at, row, taken = begin.copy(), np.arange(len(words)), []
-    while len(row):
-        arc = via[at]
-        taken.append((row, arc))
-        at = dst[arc]
-        stay = at < (begin + size)[row]
-        row, at = row[stay], at[stay]
-    row = np.concatenate([t[0] for t in taken])
-    arc = np.concatenate([t[1] for t in taken])
+    best, loss = np.zeros(len(words)), np.zeros(len(words))
+    parts = []
+    by_size = np.argsort(size, kind="stable")
+    cut = np.flatnonzero(np.r_[True, np.diff(size[by_size]) > 0])
+    for a, b in zip(cut, np.r_[cut[1:], len(words)], strict=True):
+        wide = int(size[by_size[a]])
+        step = max(1, CELLS // (wide * min(wide, pieces.longest)))
+        for i in range(a, b, step):
+            own = by_size[i : min(b, i + step)]
+            code = np.frombuffer("".join([words[k] for k in own.tolist()]).encode("utf-32-le", "surrogatepass"), np.uint32).reshape(len(own), wide)
+            best[own], loss[own], row, token, char = group_lattice(code, pieces)
+            parts.append((own[row], token, char))
+    row, token, char = (np.concatenate(x) for x in zip(*parts, strict=True))
     order = np.argsort(row, kind="stable")
-    row, arc = row[order], arc[order]
-    token, char = ids[arc].astype(np.int64), code[start[arc]]
+    row, token, char = row[order], token[order], char[order]
     wide = np.where(token >= 0, 1, np.select([char < 0x80, char < 0x800, char < 0x10000], [1, 2, 3], 4) if pieces.bytes else 1)
     flat = np.repeat(token, wide)
     if (token < 0).any():
@@ -207,17 +217,19 @@ def merge(best: float, lists: list[list[tuple[float, list[int]]]], n: int) -> li
 
 
 def n_best(texts: list[str], pieces: Pieces, n: int):
-    """For each text its n best (score, ids)."""
+    """For each text its n best (score, ids), and whether the best ids decode to the text."""
     number: dict[str, int] = {}
     places = [np.array([number.setdefault(w, len(number)) for w in WORDS.findall(MARK + t.replace(" ", MARK) if t else "")], np.int64) for t in texts]
     words = list(number)
     if not words:
-        return [[(0.0, np.zeros(0, "<u4"))] for _ in texts]
+        return [([(0.0, np.zeros(0, "<u4"))], True) for _ in texts]
     best, loss, flat, bounds = lattice(words, pieces)
+    spell, tokens = pieces.spell, flat.tolist()
+    same = np.array([b"".join([spell[i] for i in tokens[a:b]]) == w.replace(MARK, " ").encode("utf-8", "surrogatepass") for w, a, b in zip(words, bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)])
     width = np.diff(bounds)
     ranked: dict[int, list] = {}
     out = []
-    for own in places:
+    for text, own in zip(texts, places, strict=True):
         total = float(best[own].sum())
         wide = width[own]
         ends = np.cumsum(wide)
@@ -238,7 +250,7 @@ def n_best(texts: list[str], pieces: Pieces, n: int):
                 parts += [ids[done:a], np.array(new, "<u4")]
                 done = b
             paths.append((score, np.concatenate([*parts, ids[done:]]).astype("<u4")))
-        out.append(paths)
+        out.append((paths, bool(same[own].all()) and MARK not in text))
     return out
 
 
@@ -254,17 +266,16 @@ def segment_partition(frames, path: str, n: int):
     for frame in frames:
         ids = K.row_ids(frame["doc_id"])
         texts = [t if isinstance(t, str) else "" for t in frame["text"]]
-        for a, b in K.chunks(texts, [len(t) + 1 for t in texts], 1 << 19):
+        for a, b in K.chunks(texts, [len(t) + 1 for t in texts], 1 << 22):
             rows = []
-            for doc, text, paths in zip(ids[a:b], texts[a:b], n_best(texts[a:b], pieces, n), strict=True):
+            for doc, (paths, whole) in zip(ids[a:b], n_best(texts[a:b], pieces, n), strict=True):
                 for rank, (score, path_ids) in enumerate(paths, 1):
-                    whole = rank > 1 or decode(path_ids.tolist(), pieces) == text
                     rows.append((doc, rank, score, len(path_ids), zlib.crc32(path_ids.tobytes()), whole))
             yield pd.DataFrame(rows, columns=["doc_id", "rank", "score", "n_pieces", "ids_crc32", "decodes"]).astype({"doc_id": "Int64"})
 
 
 def segment_documents(docs: DataFrame, model: str | None = None, n: int = N_BEST) -> DataFrame:
-    """A row for each document and rank: score, number of pieces, crc32 of the ids, and whether the best path's ids decode to the text (true for the other ranks)."""
+    """A row for each document and rank: score, number of pieces, crc32 of the ids, and whether the best path's ids decode to the text (a text that itself holds the mark doesn't)."""
     path = model or default_model()
     source = K.id_text(docs)
     return source.mapInPandas(lambda frames: segment_partition(frames, path, n), SCHEMA)

@@ -288,7 +288,10 @@ def frame_of(table: pa.Table) -> pd.DataFrame:
 def arrow(function, fields):
     """A function of frames as one of Arrow tables: columns that it doesn't use are never converted."""
     schema = pa.schema([(n, getattr(pa, t)()) for n, t in fields])
-    return lambda *tables: pa.Table.from_pandas(function(*map(frame_of, tables)), schema=schema, preserve_index=False)
+    table = lambda frame: pa.Table.from_pandas(frame, schema=schema, preserve_index=False)
+    if function.__code__.co_argcount == 1:
+        return lambda own: table(function(frame_of(own)))
+    return lambda own, answers: table(function(frame_of(own), frame_of(answers)))
 
 
 def remove_repeated_bytes(docs: DataFrame, window: int = WINDOW, gram: int = GRAM) -> DataFrame:

@@ -99,11 +99,16 @@ def pools() -> np.ndarray:
     return np.stack([np.log(rng.gamma(2, 1, n)), rng.gamma(2, 1, n), rng.random(n)]).astype(np.float32)
 
 
-def samples(h: np.ndarray, w: np.ndarray, n: int) -> np.ndarray:
-    """n consistent weighted samples: the hash of (shingle, level) of least a, where ln a = ln c - r (t - beta) - r."""
+def samples(h: np.ndarray, w: np.ndarray, n: int, first: np.ndarray | None = None) -> np.ndarray:
+    """n consistent weighted samples of each text: the hash of (shingle, level) of least a, ln a = ln c - r (t - beta) - r.
+
+    h and w hold the texts one after the other, from the places `first` on; no text is empty.
+    """
     log_c, r, beta = K.cached("icws", pools)
+    first = np.zeros(1, np.int64) if first is None else first
+    size = np.diff(np.r_[first, len(h)])
     log_w = np.log(w).astype(np.float32)
-    out = np.empty(n, np.uint64)
+    out = np.empty((len(first), n), np.uint64)
     for i in range(n):
         # c from its own hash bits beside the pool's, so that long texts don't run out of values
         x = h * U((0x9E3779B97F4A7C15 * (2 * i + 1)) & (2**64 - 1))
@@ -111,8 +116,9 @@ def samples(h: np.ndarray, w: np.ndarray, n: int) -> np.ndarray:
         own = r[at]
         t = np.floor(log_w / own + beta[at])
         a = log_c[((x >> U(20)) & U((1 << POOL_BITS) - 1)).astype(np.int64)] - own * (t - beta[at] + 1)
-        k = int(np.argmin(a))
-        out[i] = int(h[k]) ^ ((int(t[k]) * 0xD6E8FEB86659FD93) & (2**64 - 1))
+        least = np.flatnonzero(a == np.repeat(np.minimum.reduceat(a, first), size))
+        k = least[np.searchsorted(least, first)]
+        out[:, i] = h[k] ^ (t[k].astype(np.int64).astype(np.uint64) * U(0xD6E8FEB86659FD93))
     return out
 
 
@@ -124,17 +130,22 @@ def signatures(frames, k: int, idf, bands: int, rows: int):
         for i, t in zip(ids, texts, strict=True):
             if i is not None:
                 groups.setdefault(t, []).append(i)
-        out = []
-        for (text, members), (h, tf) in zip(groups.items(), shingles(list(groups), k), strict=True):
-            band = []
-            if len(h):
-                s = samples(h, weights(h, tf, idf), bands * rows).reshape(bands, rows)
-                mixed = s[:, 0].copy()
-                for j in range(1, rows):
-                    mixed = K.mix(mixed) + s[:, j]
-                band = K.mix(mixed + np.arange(bands, dtype=np.uint64)).view(np.int64).tolist()
-            out.append((hashlib.md5(text).digest(), members, band))
-        yield pd.DataFrame(out, columns=["digest", "members", "bands"])
+        texts, members = list(groups), list(groups.values())
+        band: list = [[] for _ in texts]
+        found = list(shingles(texts, k))
+        full = [i for i, (h, _) in enumerate(found) if len(h)]
+        for x, y in K.chunks(full, [len(found[i][0]) for i in full], 1 << 17):
+            own = full[x:y]
+            h, tf = (np.concatenate([found[i][j] for i in own]) for j in (0, 1))
+            first = np.r_[0, np.cumsum([len(found[i][0]) for i in own])[:-1]].astype(np.int64)
+            s = samples(h, weights(h, tf, idf), bands * rows, first).reshape(len(own), bands, rows)
+            mixed = s[:, :, 0].copy()
+            for j in range(1, rows):
+                mixed = K.mix(mixed) + s[:, :, j]
+            mixed = K.mix(mixed + np.arange(bands, dtype=np.uint64)).view(np.int64)
+            for i, row in zip(own, mixed.tolist(), strict=True):
+                band[i] = row
+        yield pd.DataFrame({"digest": [hashlib.md5(t).digest() for t in texts], "members": members, "bands": band})
 
 
 def vectors(frames, k: int):
@@ -186,8 +197,8 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMIL
     local = found.select("digest", F.array_min("members").alias("least"), "members", "bands").checkpoint()
     # equal texts of different batches: their bands are equal too; the members stay spread over the batches' rows
     classes = local.groupBy("digest").agg(F.min("least").alias("class_id"), F.first("bands").alias("bands"))
-    members = local.select("digest", F.explode("members").alias("doc_id"))
-    member_class = members.join(classes.select("digest", "class_id"), "digest").select("doc_id", "class_id", "digest")
+    # joined before the members are listed: a text has one row a batch here, however many copies there are
+    member_class = local.join(classes.select("digest", "class_id"), "digest").select(F.explode("members").alias("doc_id"), "class_id", "digest")
     keyed = classes.select("class_id", F.posexplode("bands").alias("band", "h"))
     shared = keyed.groupBy("band", "h").agg(F.count("*").alias("n")).filter("n > 1").select("band", "h")
     buckets = keyed.join(shared, ["band", "h"]).checkpoint()
