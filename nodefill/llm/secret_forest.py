@@ -85,10 +85,10 @@ def labelled_findings(spark) -> DataFrame:
     b64 = lambda salt, n: F.substring(F.base64(F.unhex(h(salt))), 1, n)
     safe = lambda salt, n: F.substring(F.translate(F.base64(F.unhex(h(salt))), "+/=", "xQ7"), 1, n)
     word = lambda salt: pick(salt, DICTIONARY.split("|"))
-    secret = [F.substring(h("a"), 1, 40), F.substring(h("b"), 1, 32), h("c"), b64("d", 40), safe("e", 36), F.concat(F.lit("AKIA"), F.upper(safe("f", 16))), F.concat(F.lit("ghp_"), safe("g", 36)), F.concat(F.lit("sk_live_"), safe("h", 24)), F.concat(F.lit("xoxb-"), F.substring(F.conv(F.substring(h("i"), 1, 10), 16, 10), 1, 11), F.lit("-"), safe("j", 24)), F.concat(F.lit("eyJ"), b64("k", 41)), F.concat(F.lit("AIza"), safe("l", 35)), F.concat(word("m"), F.substring(F.conv(F.substring(h("m"), 1, 8), 16, 10), 1, 3), F.lit("!"), F.substring(h("n"), 1, 4)), F.lit("-----BEGIN RSA PRIVATE KEY-----")]
-    other = [F.substring(h("a"), 1, 40), h("c"), F.concat_ws("-", F.substring(h("o"), 1, 8), F.substring(h("o"), 9, 4), F.substring(h("o"), 13, 4), F.substring(h("o"), 17, 4), F.substring(h("o"), 21, 12)), F.conv(F.substring(h("p"), 1, 15), 16, 10), F.concat_ws("_", word("q"), word("r"), word("s"), F.pmod(i, F.lit(10)).cast("string")), F.concat_ws("/", word("t"), word("u"), F.concat(word("v"), F.pmod(i, F.lit(90)).cast("string"))), F.concat_ws("-", F.lit("2021"), F.lit("04"), word("w"), word("x")), F.concat(F.lit("your_api_key_here_"), F.pmod(i, F.lit(90)).cast("string")), F.concat(F.repeat(F.lit("x"), 12), F.substring(h("y"), 1, 8)), F.concat(word("z"), word("za"), word("zb"), F.pmod(i, F.lit(1000)).cast("string")), F.concat(F.repeat(F.lit("="), 18), F.pmod(i, F.lit(9)).cast("string")), F.concat(F.lit("0"), F.repeat(F.lit("0"), 15), F.pmod(i, F.lit(9)).cast("string")), F.concat_ws("-", F.substring(F.conv(F.substring(h("zc"), 1, 8), 16, 10), 1, 4), F.substring(F.conv(F.substring(h("zd"), 1, 8), 16, 10), 1, 4), F.substring(F.conv(F.substring(h("ze"), 1, 8), 16, 10), 1, 4), F.lit("0042"))]
+    secret = [F.substring(h("a"), 1, 40), F.substring(h("b"), 1, 32), h("c"), b64("d", 40), safe("e", 36), F.concat(F.lit("AKIA"), F.upper(safe("f", 16))), F.concat(F.lit("ghp_"), safe("g", 36)), F.concat(F.lit("sk_live_"), safe("h", 24)), F.concat(F.lit("xoxb-"), F.substring(F.conv(F.substring(h("i"), 1, 10), 16, 10), 1, 11), F.lit("-"), safe("j", 24)), F.concat(F.lit("eyJ"), b64("k", 41)), F.concat(F.lit("AIza"), safe("l", 35)), F.concat(word("m"), F.substring(F.conv(F.substring(h("m"), 1, 8), 16, 10), 1, 3), F.lit("!"), F.substring(h("n"), 1, 4)), F.lit("-----BEGIN RSA PRIVATE KEY-----"), F.concat(word("na"), F.pmod(i, F.lit(97)).cast("string"), word("nb"))]
+    other = [F.substring(h("a"), 1, 40), h("c"), F.concat_ws("-", F.substring(h("o"), 1, 8), F.substring(h("o"), 9, 4), F.substring(h("o"), 13, 4), F.substring(h("o"), 17, 4), F.substring(h("o"), 21, 12)), F.conv(F.substring(h("p"), 1, 15), 16, 10), F.concat_ws("_", word("q"), word("r"), word("s"), F.pmod(i, F.lit(10)).cast("string")), F.concat_ws("/", word("t"), word("u"), F.concat(word("v"), F.pmod(i, F.lit(90)).cast("string"))), F.concat_ws("-", F.lit("2021"), F.lit("04"), word("w"), word("x")), F.concat(F.lit("your_api_key_here_"), F.pmod(i, F.lit(90)).cast("string")), F.concat(F.repeat(F.lit("x"), 12), F.substring(h("y"), 1, 8)), F.concat(word("z"), word("za"), word("zb"), F.pmod(i, F.lit(1000)).cast("string")), F.concat(F.repeat(F.lit("="), 18), F.pmod(i, F.lit(9)).cast("string")), F.concat(F.lit("0"), F.repeat(F.lit("0"), 15), F.pmod(i, F.lit(9)).cast("string")), F.concat_ws("-", F.substring(F.conv(F.substring(h("zc"), 1, 8), 16, 10), 1, 4), F.substring(F.conv(F.substring(h("zd"), 1, 8), 16, 10), 1, 4), F.substring(F.conv(F.substring(h("ze"), 1, 8), 16, 10), 1, 4), F.lit("0042")), F.concat_ws("-", word("zf"), word("zg"), word("zh"), F.pmod(i, F.lit(100)).cast("string"))]
     label = F.pmod(i, F.lit(2)).cast("int")
-    shape = F.pmod(F.xxhash64(i, F.lit("shape")), F.lit(13))
+    shape = F.pmod(F.xxhash64(i, F.lit("shape")), F.lit(14))
     value = F.coalesce(*[F.when((label == 1) & (shape == k), s).when((label == 0) & (shape == k), o) for k, (s, o) in enumerate(zip(secret, other, strict=True))])
     assign = pick("as", ["token = \"", "api_key: ", "password=", "secret = '", "API_KEY=\"", "pwd: ", "access_token\": \""])
     plain = (label == 1) & shape.isin(5, 6, 7, 8, 9, 10, 12) & (F.pmod(F.xxhash64(i, F.lit("bare")), F.lit(2)) == 0)

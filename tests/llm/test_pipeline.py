@@ -10,7 +10,7 @@ def test_pipeline(spark, tmp_path):
     key = hashlib.sha1(b"p").hexdigest()
     rows = [(i, prose(i, 90)) for i in range(60)]
     rows += [(100 + i, prose(i, 90).upper().replace(" ", "!! ")) for i in range(30)]
-    rows += [(200, prose(1, 90)), (201, prose(2, 90) + " end"), (202, prose(50, 40) + " " + SHARED), (203, SHARED + " " + prose(51, 40)), (204, f"{prose(52, 60)} token = \"{key}\" {prose(53, 60)}"), (205, None), (206, "")]
+    rows += [(200, prose(1, 90)), (201, prose(2, 90) + " end"), (202, prose(350, 40) + " " + SHARED), (203, SHARED + " " + prose(351, 40)), (204, f"{prose(352, 60)} token = \"{key}\" {prose(353, 60)}"), (205, None), (206, "")]
     docs = spark.createDataFrame([(i, t, "en", "src0", len(t or "")) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
     docs.write.parquet(f"{tmp_path}/documents.parquet")
     spark.createDataFrame([(i, 1, 0) for i in range(60)] + [(100 + i, 0, 0) for i in range(30)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
@@ -28,9 +28,9 @@ def test_pipeline(spark, tmp_path):
     second = seen["near-duplicate removal"]
     assert 200 not in second and 201 not in second and all(i in second for i in range(60)) and 203 in second
     third = seen["suffix-array dedup"]
-    assert SHARED in third[202] and SHARED[2:-2] not in third[203] and third[203].endswith(prose(51, 40))
+    assert SHARED in third[202] and SHARED[2:-2] not in third[203] and third[203].endswith(prose(351, 40))
     fourth = seen["secret scan"]
-    assert key not in fourth[204] and prose(52, 60) in fourth[204]
+    assert key not in fourth[204] and prose(352, 60) in fourth[204]
     assert {r["doc_id"] for r in docs.collect()} == set(fourth)
     total = corpus_pipeline.run(spark, str(tmp_path)).count()
     assert total == docs.count()
