@@ -76,8 +76,9 @@ def box(low, high, name="box") -> Region:
 
 def ellipsoid(centre, radii, name="ellipsoid") -> Region:
     c, r = np.array(centre, float), np.array(radii, float)
+    low, high = tuple((c - r).tolist()), tuple((c + r).tolist())
     sql = " + ".join(f"power(({k} - {a!r}) / {b!r}, 2)" for k, a, b in zip("xyz", c.tolist(), r.tolist(), strict=False))
-    return Region(name, len(c), tuple(c - r), tuple(c + r), f"({sql}) < 1", lambda p: (((p - c) / r) ** 2).sum(1) < 1, tuple(c))
+    return Region(name, len(c), low, high, f"({sql}) < 1", lambda p: (((p - c) / r) ** 2).sum(1) < 1, tuple(c.tolist()))
 
 
 def annulus(inner: float, outer: float) -> Region:
@@ -93,7 +94,7 @@ def clover2d() -> Region:
 
 def clover3d() -> Region:
     """The leaves fade towards the poles."""
-    t = "acos(greatest(-1.0, least(1.0, z / sqrt(x * x + y * y + z * z))))"
+    t = "acos(greatest(-1.0, least(1.0, coalesce(z / nullif(sqrt(x * x + y * y + z * z), 0), 0))))"
     sql = f"(x = 0 AND y = 0 AND abs(z) < 1.5) OR sqrt(x * x + y * y + z * z) < 1.5 - power(cos(3 * atan2(y, x) - pi() / 2), 3) * power((pi() - {t}) * {t}, 2) / 8"
 
     def test(p):
@@ -143,7 +144,7 @@ def polygon(corners: np.ndarray, name: str, inside) -> Region:
                 hits += ((p[:, 1] < y1) != (p[:, 1] < y2)) & (p[:, 0] < (x2 - x1) * (p[:, 1] - y1) / (y2 - y1) + x1)
         return hits % 2 == 1
 
-    return Region(name, 2, tuple(corners.min(0)), tuple(corners.max(0)), f"(({sql}) % 2) = 1", test, inside)
+    return Region(name, 2, tuple(corners.min(0).tolist()), tuple(corners.max(0).tolist()), f"(({sql}) % 2) = 1", test, inside)
 
 
 def hare2d() -> Region:
@@ -197,7 +198,7 @@ REGIONS = {f.__name__: f for f in (clover2d, clover3d, heatsink2d, heatsink3d, h
 
 
 def constant(h: float) -> Spacing:
-    return Spacing(f"h={h:g}", repr(float(h)), lambda p: np.full(len(p), float(h)), h, h)
+    return Spacing(f"h={h:g}", f"CAST({float(h)!r} AS DOUBLE)", lambda p: np.full(len(p), float(h)), h, h)
 
 
 def clover_spacing(h: float, high: float | None = None) -> Spacing:

@@ -131,12 +131,13 @@ def first_independent(n: int, blocker: np.ndarray, blocked: np.ndarray) -> np.nd
         blocker, blocked = blocker[live], blocked[live]
 
 
-def fill(region, spacing, seeds: np.ndarray, seed_ids: np.ndarray, n_c: int = 12, exclusion: str = "parent", rotate: bool = True, allowed=None, around=None, seed_radii=None, limit: int = 0) -> dict:
+def fill(region, spacing, seeds: np.ndarray, seed_ids: np.ndarray, n_c: int = 12, exclusion: str = "parent", rotate: bool = True, allowed=None, around=None, seed_radii=None, limit: int = 0, salt: int = 0) -> dict:
     """All points that the front places from the seeds, in order.
 
     allowed: further test of candidates, such as the own cell. around: points that block but don't expand.
     exclusion: whose spacing is the radius, the parent's or the candidate's own (then the parent is exempt), or
     `literal`: the candidate's own, the parent included. limit: stop after the generation that passes it.
+    salt: makes ids of children differ from those that the same parents had in a fill at another spacing.
     """
     dim = region.dim
     u = G.banks(dim, n_c, rotate)
@@ -184,7 +185,7 @@ def fill(region, spacing, seeds: np.ndarray, seed_ids: np.ndarray, n_c: int = 12
         index.add(new, c)
         points, h = np.concatenate([points, c]), np.concatenate([h, spacing.at(c)])
         parent, roots = ids[src], roots[src]
-        ids = G.child_id(parent, j)
+        ids = G.child_id(parent, j + (salt << 20))
         for k, v in zip(("pid", "parent", "cand", "gen", "seed_id", "r"), (ids, parent, j, np.full(len(c), gen), roots, r), strict=True):
             columns[k].append(v)
         front, n = new, n + len(c)

@@ -93,7 +93,7 @@ def border_distance(points: DataFrame, seeds: DataFrame, dim: int) -> DataFrame:
     near = nearest_cells(points, seeds, dim, 2).filter(F.size("cells") > 1)
     a, b = F.col("cells")[0], F.col("cells")[1]
     apart = F.sqrt(sum(((a[f"s{k}"] - b[f"s{k}"]) * (a[f"s{k}"] - b[f"s{k}"]) for k in AXES[:dim]), F.lit(0.0)))
-    return near.select("pid", a["seed_id"].alias("cell_id"), b["seed_id"].alias("near_cell"), ((b["d2"] - a["d2"]) / (2 * apart)).alias("gap"))
+    return near.select("pid", a["seed_id"].alias("cell_id"), b["seed_id"].alias("near_cell"), F.try_divide(b["d2"] - a["d2"], 2 * apart).alias("gap"))
 
 
 def indexed_knn(points: DataFrame, queries: DataFrame, seeds: DataFrame, k: int, dim: int, same: bool = False) -> DataFrame:
@@ -117,7 +117,8 @@ def indexed_knn(points: DataFrame, queries: DataFrame, seeds: DataFrame, k: int,
     dist2 = lambda a, b: sum(((F.col(f"{a}{c}") - F.col(f"{b}{c}")) * (F.col(f"{a}{c}") - F.col(f"{b}{c}")) for c in AXES[:dim]), F.lit(0.0))
     cells = q.join(F.broadcast(home), "cell_id").join(kth, "pid", "left").join(F.broadcast(s), F.col("cell") != F.col("cell_id"))
     plain = lambda b: sum(((F.col(c) - F.col(f"{b}{c}")) * (F.col(c) - F.col(f"{b}{c}")) for c in AXES[:dim]), F.lit(0.0))
-    gap = (plain("s") - plain("h")) / (2 * F.sqrt(dist2("s", "h")))
+    apart = 2 * F.sqrt(dist2("s", "h"))
+    gap = F.when(apart > 0, (plain("s") - plain("h")) / F.nullif(apart, F.lit(0.0))).otherwise(0.0)
     more = cells.filter(F.col("kth").isNull() | (gap * gap <= F.col("kth") * (1 + 1e-9))).select("pid", "cell", *AXES[:dim]).join(p, "cell")
     every = more.unionByName(q.withColumnRenamed("cell_id", "cell").select("pid", "cell", *AXES[:dim]).join(p, "cell"))
     return ranked(every).select("pid", "rank", "nbr", F.sqrt("d2").alias("dist"))

@@ -32,8 +32,8 @@ def directions(spark, dim: int, n_c: int, rotate: bool = True) -> DataFrame:
 
 def expand(points: DataFrame, dirs: DataFrame, dim: int) -> DataFrame:
     """Candidates on the sphere of radius h around each point, under the point's own rotation."""
-    p = points.withColumn("bank", F.pmod(F.xxhash64("pid"), F.lit(16)).cast("int"))
-    c = p.join(F.broadcast(dirs), "bank")
+    p = points.withColumn("bank", F.pmod(F.xxhash64("pid"), F.lit(16)).cast("int"))  # the direction a point came by gives way to those it sends
+    c = p.drop("cand").join(F.broadcast(dirs), "bank")
     at = [(F.col(k) + F.col("h") * F.col("u" + k)).alias(k) if i < dim else F.lit(0.0).alias(k) for i, k in enumerate("xyz")]
     child = F.xxhash64("pid", F.col("cand").cast("long"))
     return c.select(child.alias("pid"), "seed_id", F.col("pid").alias("parent"), F.col("cand"), (F.col("gen") + 1).alias("gen"), "level", *at, F.col("h").alias("r"), F.concat("ord", F.array(F.col("cand").cast("long"))).alias("ord"), F.col("x").alias("px"), F.col("y").alias("py"), F.col("z").alias("pz"))
@@ -53,23 +53,12 @@ def prune_close(cands: DataFrame, points: DataFrame, side: float, dim: int, exem
 def independent(cands: DataFrame, side: float, dim: int) -> DataFrame:
     """The first maximal independent set in `ord`: an accepted earlier candidate blocks a later one within the later one's r.
 
-    Each round accepts the open candidates without an open earlier blocker and drops those that an accepted one blocks.
     """
     slim = cands.select("pid", "ord", "x", "y", "z", "r")
     a = neighbour_cells(slim.select(F.col("pid").alias("a_pid"), F.col("ord").alias("a_ord"), F.struct("x", "y", "z").alias("a"), "x", "y", "z"), side, dim).drop("x", "y", "z")
     b = slim.select(F.col("pid").alias("b_pid"), F.col("ord").alias("b_ord"), F.struct("x", "y", "z").alias("b"), "r", F.array(*[F.floor(F.col(k) / side) for k in "xyz"[:dim]]).alias("cell"))
-    edges = cut(a.join(b, "cell").filter((F.col("a_ord") < F.col("b_ord")) & (square("a", "b", dim) < F.col("r") * F.col("r") * G.SLACK)).select("a_pid", "b_pid"))
-    accepted, live = None, edges
-    open_ids = cands.select("pid")
-    while True:
-        if not live.limit(1).count():
-            return cands.join(open_ids if accepted is None else open_ids.union(accepted), "pid", "left_semi")
-        new = open_ids.join(live.select(F.col("b_pid").alias("pid")), "pid", "left_anti")
-        accepted = cut(new if accepted is None else accepted.union(new))
-        lost = live.join(new.select(F.col("pid").alias("a_pid")), "a_pid", "left_semi").select(F.col("b_pid").alias("pid")).distinct()
-        open_ids = cut(open_ids.join(new, "pid", "left_anti").join(lost, "pid", "left_anti"))
-        still = open_ids.select("pid")
-        live = cut(live.join(still.select(F.col("pid").alias("a_pid")), "a_pid", "left_semi").join(still.select(F.col("pid").alias("b_pid")), "b_pid", "left_semi"))
+    edges = a.join(b, "cell").filter((F.col("a_ord") < F.col("b_ord")) & (square("a", "b", dim) < F.col("r") * F.col("r") * G.SLACK)).select("a_pid", "b_pid")
+    return cands.join(settle(cands.select("pid"), edges), "pid", "left_semi")
 
 
 def seed_points(seeds: DataFrame, region, spacing, level: int = 0) -> DataFrame:
@@ -219,7 +208,7 @@ def fill_cells(seeds: DataFrame, region, spacing, n_parts: int = 8, border: str
             ok = np.isin(k, own)
             return ok & (gap > spacing.at(c)) if border == "colour" else ok
 
-        out = front.fill(region, spacing, p[own], ids[own], n_c=n_c, allowed=allowed)
+        out = front.fill(region, spacing, p[own], ids[own], n_c=n_c, allowed=allowed, salt=1)
         found = columns_of(out, level)
         k, gap = cells.two(out["pos"])
         found["cell_id"] = ids[k]
@@ -255,16 +244,31 @@ def border_conflicts(points: DataFrame, side: float, dim: int) -> DataFrame:
     return left.join(right, "cell").filter((F.col("a_cell") != F.col("b_cell")) & (F.struct("a_prio", "a_pid") < F.struct("b_prio", "b_pid")) & near).select("a_pid", "b_pid")
 
 
+ONE_TASK = 200_000
+
+
+def settle_in_one_task(frame: pd.DataFrame) -> pd.DataFrame:
+    ids, codes = np.unique(np.r_[frame["a_pid"].to_numpy(), frame["b_pid"].to_numpy()], return_inverse=True)
+    n = len(frame)
+    return pd.DataFrame({"pid": ids[~front.first_independent(len(ids), codes[:n], codes[n:])]})
+
+
 def settle(ids: DataFrame, edges: DataFrame) -> DataFrame:
-    """The kept ids: none blocked by a kept earlier one."""
+    """The kept ids: none blocked by a kept earlier one; edges (a_pid, b_pid) go from earlier to later.
+
+    Each round keeps the open ids without an open earlier blocker and drops those that a kept one blocks. Once at most
+    ONE_TASK edges are left, one task follows their chains to the end, however long.
+    """
     live, open_ids, kept = cut(edges), ids, None
-    while live.limit(1).count():
+    while live.limit(ONE_TASK + 1).count() > ONE_TASK:
         new = open_ids.join(live.select(F.col("b_pid").alias("pid")), "pid", "left_anti")
         kept = cut(new if kept is None else kept.union(new))
         lost = live.join(new.select(F.col("pid").alias("a_pid")), "a_pid", "left_semi").select(F.col("b_pid").alias("pid")).distinct()
         open_ids = cut(open_ids.join(new, "pid", "left_anti").join(lost, "pid", "left_anti"))
         live = cut(live.join(open_ids.select(F.col("pid").alias("a_pid")), "a_pid", "left_semi").join(open_ids.select(F.col("pid").alias("b_pid")), "b_pid", "left_semi"))
-    return open_ids if kept is None else kept.union(open_ids)
+    lost = live.withColumn("g", F.lit(0)).groupBy("g").applyInPandas(settle_in_one_task, "pid long")
+    rest = open_ids.join(lost, "pid", "left_anti")
+    return rest if kept is None else kept.union(rest)
 
 
 def resolve_borders(points: DataFrame, spacing, dim: int) -> DataFrame:
@@ -303,10 +307,10 @@ def refill(points: DataFrame, region, spacing, n_parts: int = 8, n_c: int = 12,
             inside = lambda c: ((c >= low) & (c < low + side)).all(1)
             order = np.argsort(frame["pid"].to_numpy(), kind="stable")
             f = frame.iloc[order]
-            out = columns_of(front.fill(region, spacing, own[order], f["pid"].to_numpy(np.int64), n_c=n_c, allowed=inside))
+            out = columns_of(front.fill(region, spacing, own[order], f["pid"].to_numpy(np.int64), n_c=n_c, allowed=inside, salt=2 + int(f["level"].max())))
             new = out[out["gen"] > 0].copy()
-            roots = f.set_index("pid")["cell_id"]
-            new["cell_id"] = roots.reindex(new["seed_id"]).to_numpy()
+            own_ids, where = np.unique(f["pid"].to_numpy(), return_index=True)
+            new["cell_id"] = f["cell_id"].to_numpy()[where[np.searchsorted(own_ids, new["seed_id"].to_numpy())]]
             new["seed_id"], new["is_border"], new["level"] = new["cell_id"], True, int(f["level"].max())
             return new
 
