@@ -238,7 +238,8 @@ def sphere(dim: int, n_c: int) -> np.ndarray:
         return np.array([[-1.0], [1.0]])
     if dim == 2:
         t = 2 * np.pi * np.arange(n_c) / n_c
-        return np.stack([np.cos(t), np.sin(t)], 1)
+        u = np.stack([np.cos(t), np.sin(t)], 1)
+        return np.where(np.abs(u) < 1e-15, 0.0, u)
     slices = max(2, n_c // 2)
     out = []
     for k in range(slices):
