@@ -118,17 +118,21 @@ def conflicts(p: np.ndarray, r: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def first_independent(n: int, blocker: np.ndarray, blocked: np.ndarray) -> np.ndarray:
     """Greedy acceptance in order: True for those that no accepted earlier one blocks."""
     state = np.zeros(n, np.int8)  # 0 open, 1 accepted, -1 lost
-    while True:
-        waits = np.zeros(n, bool)
-        waits[blocked[state[blocker] == 0]] = True
-        new = (state == 0) & ~waits
-        if not new.any():
-            return state == 1
-        state[new] = 1
+    waits = np.zeros(n, bool)
+    waits[blocked] = True
+    state[~waits] = 1
+    waiting = np.flatnonzero(waits)
+    while len(waiting):
         lost = blocked[state[blocker] == 1]
         state[lost[state[lost] == 0]] = -1
-        live = (state[blocker] == 0) & (state[blocked] == 0) | (state[blocker] == 1) & (state[blocked] == 0)
+        live = (state[blocker] == 0) & (state[blocked] == 0)
         blocker, blocked = blocker[live], blocked[live]
+        waits[waiting] = False
+        waits[blocked] = True
+        waiting = waiting[state[waiting] == 0]
+        state[waiting[~waits[waiting]]] = 1
+        waiting = waiting[waits[waiting]]
+    return state == 1
 
 
 def fill(region, spacing, seeds: np.ndarray, seed_ids: np.ndarray, n_c: int = 12, exclusion: str = "parent", rotate: bool = True, allowed=None, around=None, seed_radii=None, limit: int = 0, salt: int = 0) -> dict:
