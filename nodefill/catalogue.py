@@ -708,7 +708,7 @@ def boundary_clover(spark, d):
     return p.withColumn("gap", gap).agg((F.max("gap") < 0.103).alias("spaced"))
 
 
-from . import catalogue_operators  # noqa: E402, F401  registers the surrounding operators
+from . import catalogue_operators, catalogue_workloads  # noqa: E402, F401  register the surrounding operators and the experiments
 
 
 def flagship(spark, sf_dir: str) -> DataFrame:
