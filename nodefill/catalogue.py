@@ -551,7 +551,7 @@ def quasi_uniformity(spark, d):
 @query("regularity_sequential_vs_parallel", "SELECT TRUE AS mean_near, TRUE AS std_near, TRUE AS spread_near, TRUE AS as_reported")
 def regularity_sequential_vs_parallel(spark, d):
     """Local regularity of both ways to fill the clover: close to each other and to the reported values."""
-    return workloads.regularity(spark, 0.08)
+    return workloads.regularity(spark, 0.06)
 
 
 RUNS = "SELECT CASE CAST(event_id % 3 AS INTEGER) WHEN 0 THEN 'sequential' WHEN 1 THEN 'parallel1' ELSE 'rounds' END AS method, user_id % 10 AS size, CASE WHEN event_id % 3 = 2 THEN CAST(4 AS BIGINT) ELSE CAST(1 AS BIGINT) END AS workers, value AS seconds, CAST(100 AS BIGINT) AS placed, user_id AS run, event_type AS step, user_id % 40 AS setting FROM {events}"

@@ -88,7 +88,7 @@ def quasi_uniformity(spark, levels: int, h: float = 0.2) -> DataFrame:
     return out
 
 
-def regularity(spark, h: float, k: int = 3) -> DataFrame:
+def regularity(spark, h: float, k: int = 5) -> DataFrame:
     """Sequential and cell-parallel fills compared by mean, deviation and spread of normalised distances."""
     region, s = G.clover2d(), G.clover_spacing(h)
     one = cut(fills.fill_sequential(first_seed(spark, region), region, s))
