@@ -165,6 +165,13 @@ class NearestSeed:
     def __init__(self, seeds: np.ndarray):
         self.seeds, self.norm = seeds, (seeds**2).sum(1)
 
+    def nearest(self, p: np.ndarray) -> np.ndarray:
+        own = np.zeros(len(p), np.int64)
+        step = max(1, 1_000_000 // max(1, len(self.seeds)))
+        for i in range(0, len(p), step):
+            own[i : i + step] = (self.norm[None, :] - 2 * p[i : i + step] @ self.seeds.T).argmin(1)
+        return own
+
     def two(self, p: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Index of the nearest, and the distance to the border with the nearest other cell."""
         own, gap = np.zeros(len(p), np.int64), np.full(len(p), np.inf)
@@ -202,11 +209,14 @@ def fill_cells(seeds: DataFrame, region, spacing, n_parts: int = 8, border: str
 
     def one(frame: pd.DataFrame) -> pd.DataFrame:
         own = np.sort(frame["k"].to_numpy())
+        mine = np.zeros(len(ids), bool)
+        mine[own] = True
 
         def allowed(c):
+            if border != "colour":
+                return mine[cells.nearest(c)]
             k, gap = cells.two(c)
-            ok = np.isin(k, own)
-            return ok & (gap > spacing.at(c)) if border == "colour" else ok
+            return mine[k] & (gap > spacing.at(c))
 
         out = front.fill(region, spacing, p[own], ids[own], n_c=n_c, allowed=allowed, salt=1)
         found = columns_of(out, level)
