@@ -31,7 +31,7 @@ from .kernels import U
 
 K.ship(__name__)
 
-SHINGLE, SIMILARITY, BANDS, ROWS, DAMP, ROUNDS = 5, 0.8, 12, 3, 0.25, 3
+SHINGLE, SIMILARITY, BANDS, ROWS, DAMP, ROUNDS = 5, 0.8, 12, 3, 0.1, 3
 CELL_BITS, SKETCH_BLOCK, POOL_BITS = 20, 14, 16
 CELL_MULT = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
 
@@ -170,7 +170,7 @@ def verified(frames, idf, similarity: float):
     for frame in frames:
         pairs = [jaccard(a, b, idf) for a, b in zip(frame["va"], frame["vb"], strict=True)]
         frame = frame.assign(similarity=pairs)
-        yield frame.loc[frame["similarity"] >= similarity, ["a", "b", "similarity"]]
+        yield frame.loc[frame["similarity"] >= similarity - 1e-9, ["a", "b", "similarity"]]
 
 
 def components(edges: DataFrame) -> DataFrame:
