@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark import cloudpickle
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, IntegerType, StructField, StructType
 
 from . import geometry as G
 
@@ -43,7 +44,7 @@ def region_from_python(name: str, dim: int, low, high, test):
     return PythonRegion(name, dim, tuple(map(float, low)), tuple(map(float, high)), "TRUE", test)
 
 
-@F.udtf(returnType="cand: int, cx: double, cy: double")
+@F.udtf(returnType=StructType([StructField("cand", IntegerType()), StructField("cx", DoubleType()), StructField("cy", DoubleType())]))
 class ExpandPoint:
     """Table function: the n directions around a point at distance h."""
 
@@ -52,7 +53,7 @@ class ExpandPoint:
             yield j, x + h * u, y + h * v
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def spread(v: pd.Series) -> float:
     """Grouped aggregate: largest minus least."""
     return float(v.max() - v.min())
