@@ -23,7 +23,7 @@ def quality_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicate_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the smallest doc_id of each component stays, once if its row is repeated. Rows without doc_id stay."""
     found = weighted_minhash.near_duplicates(docs, with_digest=True)
-    keep = found.filter("doc_id = component_id AND class_id = doc_id").select(F.col("doc_id").alias("_keep"), F.lower(F.hex("digest")).alias("_digest")).distinct()
+    keep = found.filter("doc_id = class_id AND copy_of = doc_id").select(F.col("doc_id").alias("_keep"), F.lower(F.hex("digest")).alias("_digest")).distinct()
     digest = F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary"))
     first = F.row_number().over(Window.partitionBy("doc_id", digest).orderBy(F.lit(1)))
     named = docs.filter("doc_id IS NOT NULL").join(keep, (F.col("doc_id") == F.col("_keep")) & (digest == F.col("_digest")), "left_semi")

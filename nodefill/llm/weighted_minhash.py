@@ -188,7 +188,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, rounds: int = ROUNDS, with_digest: bool = False) -> DataFrame:
-    """A row for each row: doc_id, class_id (least doc_id with the same text), component_id (least doc_id of its near-duplicate component), n_links (verified links of its class); `digest`, the text's MD5, with with_digest."""
+    """A row for each row: doc_id, class_id (least doc_id of its near-duplicate class), n_links (verified links of its text), copy_of (least doc_id with the same text); `digest`, the text's MD5, with with_digest."""
     spark = docs.sparkSession
     K.shared_folder(spark)
     source = K.id_text(docs)
@@ -227,8 +227,8 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMIL
         links = spark.createDataFrame([], "a long, b long, similarity double")
     degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))
     known = member_class.join(label, "class_id", "left").join(degree, "class_id", "left")
-    columns = [F.col("doc_id"), F.col("class_id"), F.coalesce("component", "class_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.col("digest")]
-    nameless = docs.filter(F.col("doc_id").cast("long").isNull()).select(*[F.lit(None).cast(t).alias(c) for c, t in (("doc_id", "long"), ("class_id", "long"), ("component_id", "long"), ("n_links", "long"), ("digest", "binary"))])
+    columns = [F.col("doc_id"), F.coalesce("component", "class_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.col("class_id").alias("copy_of"), F.col("digest")]
+    nameless = docs.filter(F.col("doc_id").cast("long").isNull()).select(*[F.lit(None).cast(t).alias(c) for c, t in (("doc_id", "long"), ("class_id", "long"), ("n_links", "long"), ("copy_of", "long"), ("digest", "binary"))])
     out = known.select(*columns).unionByName(nameless)
     return out if with_digest else out.drop("digest")
 

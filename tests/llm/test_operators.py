@@ -284,9 +284,9 @@ def test_near_duplicates_against_brute_force(spark, none):
     d = spark.createDataFrame([(i, t, 1) for i, t in texts], "doc_id long, text string, bands int")
     rows = {r["doc_id"]: r for r in weighted_minhash.near_duplicates(d).collect()}
     assert len(rows) == len(texts)
-    assert {rows[i]["component_id"] for i in [*range(40), 100, 101]} == {0}
-    assert rows[100]["class_id"] == 0 and rows[102]["class_id"] == rows[103]["class_id"] == 102 and rows[105]["component_id"] == 104
-    assert rows[106]["component_id"] == 106 and rows[107]["component_id"] == 107 and rows[None]["class_id"] is None
+    assert {rows[i]["class_id"] for i in [*range(40), 100, 101]} == {0}
+    assert rows[100]["copy_of"] == 0 and rows[102]["copy_of"] == rows[103]["copy_of"] == 102 and rows[105]["class_id"] == 104
+    assert rows[106]["class_id"] == 106 and rows[107]["class_id"] == 107 and rows[None]["class_id"] is None
     assert weighted_minhash.near_duplicates(none).count() == 0
 
 
