@@ -200,3 +200,13 @@ def test_stream_equals_batch(spark, tmp_path):
     stream = streams.spaced_stream(spark.readStream.schema(ev.schema).parquet(f"{tmp_path}/in"), 3000)
     got = sorted(map(tuple, streams.run_to_table(stream, "spaced", f"{tmp_path}/cp").collect()))
     assert got == want and len(want) < len(rows)
+
+
+def test_entry_imports_without_a_session():
+    import os
+    import subprocess
+    import sys
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert len(q) > 150 and set(o) <= set(q)"
+    subprocess.run([sys.executable, "-c", code], cwd=root, check=True, timeout=120)
