@@ -406,7 +406,7 @@ WORK = f"SELECT c.pid, c.cell_id, c.d2, w.worker_id FROM ({CELLS}) c JOIN (SELEC
 def worked(spark, d):
     s = view(spark, d, "pv_supp2")
     w = fills.assign_workers(s, 4).select(F.col("seed_id").alias("cell_id"), "worker_id")
-    return grid.assign_cells(view(spark, d, "pv_cust2"), s, 2).join(F.broadcast(w), "cell_id")
+    return grid.assign_cells(view(spark, d, "pv_cust2"), s, 2).join(w, "cell_id")
 
 
 @query("front_snapshots", with_views(f"SELECT CAST(k AS INTEGER) AS k, worker_id, count(*) AS n, count(DISTINCT cell_id) AS cells FROM (SELECT *, row_number() OVER (PARTITION BY worker_id ORDER BY pid) AS turn FROM ({WORK}) s) t CROSS JOIN (SELECT unnest([10, 40, 100, 1000000]) AS k) q WHERE turn <= k GROUP BY ALL", "pv_cust2", "pv_supp2"))

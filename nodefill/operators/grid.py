@@ -71,8 +71,29 @@ def knn(points: DataFrame, queries: DataFrame, k: int, dim: int, side: float, sa
         side *= 2
 
 
-def nearest_cells(points: DataFrame, seeds: DataFrame, dim: int, n: int = 2) -> DataFrame:
-    """pid, cells: the n nearest seeds as (d2, seed_id), nearest first, ties to the smaller id. Seeds are broadcast: one row a cell."""
+MAX_SHARED_SEEDS = 20_000
+
+
+def few(seeds: DataFrame, limit: int) -> bool:
+    """Whether seeds may be shared with every task: their number is checked, not assumed."""
+    return seeds.limit(limit + 1).count() <= limit
+
+
+def nearest_by_grid(points: DataFrame, seeds: DataFrame, dim: int, n: int) -> DataFrame:
+    """(pid, rank, nbr, dist) of the n nearest seeds by grid joins, for seeds of any number."""
+    s = seeds.withColumnRenamed("seed_id", "pid")
+    span = s.agg(F.count("*"), *[F.max(k) - F.min(k) for k in AXES[:dim]]).first()
+    side = max([1e-9, *[x or 0.0 for x in span[1:]]]) / max(1.0, span[0] ** (1 / dim)) * 1.5
+    return knn(s, points, n, dim, side)
+
+
+def nearest_cells(points: DataFrame, seeds: DataFrame, dim: int, n: int = 2, limit: int = MAX_SHARED_SEEDS) -> DataFrame:
+    """pid, cells: the n nearest seeds as (d2, seed_id), nearest first, ties to the smaller id. At most `limit` seeds are broadcast; more are met by grid joins."""
+    if not few(seeds, limit):
+        at = nearest_by_grid(points, seeds, dim, n).join(seeds.select(F.col("seed_id").alias("nbr"), *[F.col(k).alias(f"s{k}") for k in AXES[:dim]]), "nbr").join(points.select("pid", *AXES[:dim]), "pid")
+        gap = sum(((F.col(k) - F.col(f"s{k}")) * (F.col(k) - F.col(f"s{k}")) for k in AXES[:dim]), F.lit(0.0))
+        item = F.struct(gap.alias("d2"), F.col("nbr").alias("seed_id"), *[f"s{k}" for k in AXES[:dim]])
+        return at.groupBy("pid", *AXES[:dim]).agg(F.array_sort(F.collect_list(item)).alias("cells"))
     s = seeds.select("seed_id", *[F.col(k).alias(f"s{k}") for k in AXES[:dim]])
     d2 = sum(((F.col(k) - F.col(f"s{k}")) * (F.col(k) - F.col(f"s{k}")) for k in AXES[:dim]), F.lit(0.0))
     both = points.join(F.broadcast(s)).withColumn("d2", d2)
@@ -80,8 +101,11 @@ def nearest_cells(points: DataFrame, seeds: DataFrame, dim: int, n: int = 2) ->
     return both.groupBy("pid", *AXES[:dim]).agg(best.alias("cells"))
 
 
-def assign_cells(points: DataFrame, seeds: DataFrame, dim: int) -> DataFrame:
-    """points with cell_id and seed_dist: a fold over the broadcast seed array, so rows neither multiply nor move."""
+def assign_cells(points: DataFrame, seeds: DataFrame, dim: int, limit: int = MAX_SHARED_SEEDS) -> DataFrame:
+    """points with cell_id and seed_dist: a fold over the broadcast seed array, so rows neither multiply nor move. More than `limit` seeds: grid joins."""
+    if not few(seeds, limit):
+        near = nearest_by_grid(points, seeds, dim, 1).select("pid", F.col("nbr").alias("cell_id"), F.col("dist").alias("seed_dist"))
+        return points.join(near, "pid", "left")
     one = seeds.agg(F.array_sort(F.collect_list(F.struct("seed_id", *AXES[:dim]))).alias("seeds"))
     d2 = lambda s: sum(((F.col(k) - s[k]) * (F.col(k) - s[k]) for k in AXES[:dim]), F.lit(0.0))
     best = F.array_min(F.transform("seeds", lambda s: F.struct(d2(s).alias("d2"), s["seed_id"].alias("seed_id"))))
@@ -96,11 +120,19 @@ def border_distance(points: DataFrame, seeds: DataFrame, dim: int) -> DataFrame:
     return near.select("pid", a["seed_id"].alias("cell_id"), b["seed_id"].alias("near_cell"), F.try_divide(b["d2"] - a["d2"], 2 * apart).alias("gap"))
 
 
+def nearest_by_grid_of(points: DataFrame, queries: DataFrame, seeds: DataFrame, k: int, dim: int, same: bool) -> DataFrame:
+    """Too many seeds to share: the grid alone, with cells as wide as the seeds lie apart."""
+    span = seeds.agg(F.count("*"), *[F.max(c) - F.min(c) for c in AXES[:dim]]).first()
+    return knn(points, queries, k, dim, max(1e-9, *[x or 0.0 for x in span[1:]]) / span[0] ** (1 / dim), same)
+
+
 def indexed_knn(points: DataFrame, queries: DataFrame, seeds: DataFrame, k: int, dim: int, same: bool = False) -> DataFrame:
     """k nearest by the two-level index: first the own cell; then only cells that the bisector bound leaves possible.
 
     A point of cell j is no nearer to q than q is to the bisector of its own seed and j's.
     """
+    if not few(seeds, MAX_SHARED_SEEDS):
+        return nearest_by_grid_of(points, queries, seeds, k, dim, same)
     p = assign_cells(points.select("pid", *AXES[:dim]), seeds, dim).select(F.col("cell_id").alias("cell"), F.col("pid").alias("nbr"), *[F.col(c).alias(f"b_{c}") for c in AXES[:dim]])
     q = assign_cells(queries.select("pid", *AXES[:dim]), seeds, dim)
     rank = F.row_number().over(Window.partitionBy("pid").orderBy("d2", "nbr"))

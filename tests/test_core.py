@@ -148,6 +148,16 @@ def test_knn_forms_agree(spark):
         assert {(r["pid"], r["rank"]): r["nbr"] for r in out.collect()} == want
 
 
+def test_many_seeds_are_not_broadcast(spark):
+    rng = np.random.default_rng(6)
+    df = spark.createDataFrame([(k, *map(float, p), 0.0) for k, p in enumerate(rng.random((200, 2)))], "pid long, x double, y double, z double")
+    s = spark.createDataFrame([(k, *map(float, p), 0.0) for k, p in enumerate(rng.random((30, 2)))], SEED)
+    key = lambda out: sorted((r["pid"], r["cell_id"]) for r in out.collect())
+    assert key(grid.assign_cells(df, s, 2)) == key(grid.assign_cells(df, s, 2, limit=10))
+    ids = lambda out: sorted((r["pid"], tuple(c["seed_id"] for c in r["cells"])) for r in out.collect())
+    assert ids(grid.nearest_cells(df, s, 2)) == ids(grid.nearest_cells(df, s, 2, limit=10))
+
+
 def test_distance_joins_have_no_products(spark):
     df = spark.range(100).selectExpr("id AS pid", "rand(1) AS x", "rand(2) AS y", "0D AS z")
     counts = session.plan_counts(grid.radius_join(df, df, 0.1, 2))
