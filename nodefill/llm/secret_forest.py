@@ -157,7 +157,8 @@ def with_findings(docs: DataFrame, forest: list, text: str = "text", path: str =
 def scan_secrets(docs: DataFrame) -> DataFrame:
     """A row for each candidate: doc_id, finding (from 0), start and length in characters, its digest, masked form, score, secret."""
     found = with_findings(docs, train_forest(docs.sparkSession))
-    rows = found.filter(F.size(SCORES) > 0).select(F.col("doc_id").cast("long").alias("doc_id"), F.monotonically_increasing_id().alias("row"), F.posexplode(F.transform(SCORES, lambda s, i: F.struct(F.get(F.col(PARTS), 2 * i + 1).alias("piece"), F.length(F.get(F.col(PARTS), 2 * i)).alias("gap"), s.alias("score")))).alias("finding", "f"))
+    # posexplode_outer: for the inner form the optimizer adds a filter that would mark and score every text once more
+    rows = found.select(F.col("doc_id").cast("long").alias("doc_id"), F.monotonically_increasing_id().alias("row"), F.posexplode_outer(F.transform(SCORES, lambda s, i: F.struct(F.get(F.col(PARTS), 2 * i + 1).alias("piece"), F.length(F.get(F.col(PARTS), 2 * i)).alias("gap"), s.alias("score")))).alias("finding", "f")).filter("f IS NOT NULL")
     before = Window.partitionBy("row").orderBy("finding").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     piece = F.col("f.piece")
     value = F.regexp_replace(piece, ASSIGNMENT, "")
