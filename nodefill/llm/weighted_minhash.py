@@ -8,9 +8,11 @@ shingles are frequent and its own are not, doesn't outweigh what they share.
 
 Equal texts are one class before anything else. Each class gets BANDS x ROWS samples; two classes that share a band are
 candidates. In each band bucket, members are compared to one of them, the bucket's hub, and the rest of the links follow
-from components: after each round, buckets whose members lie in several components get another hub. Candidates are kept
-only if their weighted Jaccard similarity, computed from all their shingles, is SIMILARITY or more. Nothing is capped:
-a bucket of n members makes n - 1 pairs a round.
+from components: after each round, buckets whose members lie in several components get another hub. A bucket of n members
+makes n - 1 pairs a round. These rounds only save work: what is still in several components after ROUNDS of them
+is joined exactly (`remaining_pairs`), so each two candidates are either of one class or
+known to be below SIMILARITY. Links are kept only if their weighted Jaccard similarity, computed from all their
+shingles, is SIMILARITY or more.
 
 Null or empty text: no shingles; such texts are copies of each other and of nothing else. Null doc_id: returned with a
 null class. Rows with the same doc_id and text are copies of one class. Two texts under one doc_id are two classes, of
@@ -173,6 +175,39 @@ def verified(frames, idf, similarity: float):
         yield frame.loc[frame["similarity"] >= similarity - 1e-9, ["a", "b", "similarity"]]
 
 
+def prefixes(frames, idf, similarity: float):
+    """Each class's weight and its rarest shingles, as many as a partner of `similarity` can't do without.
+
+    With all shingles in one order and w the sum of minima that the similarity asks for, two sets share one of those before
+    less than w of either is left. A partner that weighs no less asks for 2 s / (1 + s) of the weight, any partner for s:
+    the first `short` shingles do for the former, all of them for the latter.
+    """
+    for frame in frames:
+        rows = []
+        for blob in frame["vector"]:
+            n = len(blob) // 12
+            h, tf = np.frombuffer(blob, np.uint64, n), np.frombuffer(blob, "<u4", n, 8 * n).astype(float)
+            w = weights(h, tf, idf)
+            order = np.lexsort((h, -np.maximum(idf[0][cells(h, 0)], idf[1][cells(h, 1)]).astype(int)))
+            left = w.sum() - np.cumsum(w[order])
+            short, long = (int((left >= share * w.sum() * (1 - 1e-6)).sum()) + 1 for share in (2 * similarity / (1 + similarity), similarity))
+            rows.append((float(w.sum()), short, h[order[:long]].view(np.int64)))
+        size, short, keys = zip(*rows, strict=True) if rows else ((), (), ())
+        yield frame[["class_id", "component", "hs"]].assign(size=size, short=short, keys=keys)
+
+
+def remaining_pairs(own: DataFrame, vector: DataFrame, idf, similarity: float) -> DataFrame:
+    """(a, b): every pair of different components that shares a bucket, but those that can't reach the similarity."""
+    open_ = own.groupBy("band", "h").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x <> y").select("band", "h")
+    left = own.join(open_, ["band", "h"]).groupBy("class_id", "component").agg(F.collect_set("h").alias("hs"))
+    schema = "class_id long, component long, hs array<long>, size double, short int, keys array<long>"
+    keyed = left.join(vector, "class_id").mapInPandas(lambda f: prefixes(f, idf.value, similarity), schema).checkpoint()
+    x = keyed.select(F.col("class_id").alias("a"), F.col("component").alias("ca"), F.col("hs").alias("ha"), F.col("size").alias("na"), F.explode(F.slice("keys", F.lit(1), F.col("short"))).alias("key"))
+    y = keyed.select(F.col("class_id").alias("b"), F.col("component").alias("cb"), F.col("hs").alias("hb"), F.col("size").alias("nb"), F.explode("keys").alias("key"))
+    fits = (F.col("ca") != F.col("cb")) & (F.struct("na", "a") < F.struct("nb", "b")) & (F.col("na") >= F.col("nb") * (similarity - 1e-6)) & F.arrays_overlap("ha", "hb")
+    return x.join(y, "key").filter(fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(class_id, component): the least class of each component. Labels spread over links and then jump, so chains halve."""
     both = edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().checkpoint()
@@ -206,23 +241,26 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMIL
     texts = source.join(wanted, source["doc_id"].cast("long") == wanted["class_id"], "left_semi")
     vector = texts.mapInPandas(lambda f: vectors(f, k), "class_id long, vector binary").dropDuplicates(["class_id"]).checkpoint()
     links, label, tested = None, wanted.select("class_id", F.col("class_id").alias("component")), None
-    for turn in range(rounds):
+    for turn in range(rounds + 1):
         own = buckets.join(label, "class_id", "left").select("band", "h", "class_id", F.coalesce("component", "class_id").alias("component"))
-        rank = F.col("class_id") if turn == 0 else F.xxhash64("class_id", F.lit(turn))
-        hubs = own.groupBy("band", "h").agg(F.min_by(F.struct("class_id", "component"), rank).alias("hub"), F.min("component").alias("x"), F.max("component").alias("y")).filter("x <> y").select("band", "h", "hub")
-        pairs = own.join(hubs, ["band", "h"]).filter("component <> hub.component")
-        pairs = pairs.select(F.least("class_id", "hub.class_id").alias("a"), F.greatest("class_id", "hub.class_id").alias("b")).distinct()
+        if turn < rounds:
+            # one hub for all bands at first, which makes equal pairs; then a hub of its own for each
+            rank = F.col("class_id") if turn == 0 else F.xxhash64("class_id", "band", F.lit(turn))
+            hubs = own.groupBy("band", "h").agg(F.min_by(F.struct("class_id", "component"), rank).alias("hub"), F.min("component").alias("x"), F.max("component").alias("y")).filter("x <> y").select("band", "h", "hub")
+            pairs = own.join(hubs, ["band", "h"]).filter("component <> hub.component")
+            pairs = pairs.select(F.least("class_id", "hub.class_id").alias("a"), F.greatest("class_id", "hub.class_id").alias("b")).distinct()
+        else:
+            pairs = remaining_pairs(own, vector, idf, similarity)
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = pairs.checkpoint()
         with_a = pairs.join(vector.select(F.col("class_id").alias("a"), F.col("vector").alias("va")), "a")
         with_b = with_a.join(vector.select(F.col("class_id").alias("b"), F.col("vector").alias("vb")), "b")
         new = with_b.mapInPandas(lambda f: verified(f, idf.value, similarity), "a long, b long, similarity double").checkpoint()
-        if not new.limit(1).count():
-            break
-        links = new if links is None else links.unionByName(new)
         tested = pairs if tested is None else tested.union(pairs)
-        label = components(links)
+        if new.limit(1).count():
+            links = new if links is None else links.unionByName(new)
+            label = components(links)
     if links is None:
         links = spark.createDataFrame([], "a long, b long, similarity double")
     degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))

@@ -290,6 +290,24 @@ def test_near_duplicates_against_brute_force(spark, none):
     assert weighted_minhash.near_duplicates(none).count() == 0
 
 
+def test_links_inside_a_family_with_shared_boilerplate(spark):
+    frame, r = prose(70, 170), random.Random(70)
+    texts = [(k, frame + " " + prose(700 + k, 25)) for k in range(60)]
+    for k in range(0, 60, 3):  # pairs that no hub of a bucket belongs to
+        texts.append((100 + k, texts[k][1].rsplit(" ", 5)[0] + " " + prose(r.randint(2000, 9000), 5)))
+    d = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
+    blobs = next(weighted_minhash.vectors([d.toPandas()], weighted_minhash.SHINGLE)).set_index("class_id")["vector"]
+    idf = weighted_minhash.idf_table(d, weighted_minhash.SHINGLE)
+    want = {i: i for i, _ in texts}
+    for a, b in itertools.combinations(sorted(want), 2):
+        if weighted_minhash.jaccard(blobs[a], blobs[b], idf) >= weighted_minhash.SIMILARITY:
+            low, high = sorted((want[a], want[b]))
+            want = {i: low if c == high else c for i, c in want.items()}
+    assert len(set(want.values())) == 60
+    for rounds in (0, 3):
+        assert {r["doc_id"]: r["class_id"] for r in weighted_minhash.near_duplicates(d, rounds=rounds).collect()} == want
+
+
 def test_weighted_sampling_estimates_jaccard():
     rng = np.random.default_rng(3)
     h = rng.integers(0, 2**63, 300, dtype=np.uint64)
