@@ -10,6 +10,8 @@ to it. Each (query block, data block) pair is solved locally; the best k of a qu
 A cell with a third of all rows is many blocks, each a row of its own, so no task gathers it. Scores: exact in float64.
 Vectors null, of another length than the first pivot's, or with null or non-finite components take no part. Equal scores:
 smaller vec_id first. Fewer candidates than k: all of them. Null vec_id takes no part; other columns are ignored.
+Repeated rows are a candidate each, and a query's repeats ask once more each, as in the query's SQL. Equal rows become one
+row with its number before blocks are packed, so bounds and local ranks count different rows, and the last rank all.
 """
 
 from __future__ import annotations
@@ -27,10 +29,11 @@ PIVOTS, BLOCK, QUERY_BLOCK, K_BEST, EVERY, SCALE = 64, 2048, 256, 5, 50, 256
 
 
 def integers(vectors: DataFrame) -> DataFrame:
-    """vec_id and its integer components, without the vectors that take no part."""
+    """vec_id, its integer components and how many rows have both, without the vectors that take no part."""
     v = F.col("embedding").cast("array<double>")
     ok = F.col("vec_id").isNotNull() & v.isNotNull() & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < 1e300))
-    return vectors.filter(ok).select(F.col("vec_id").cast("long").alias("vec_id"), F.transform(v, lambda x: F.floor(x * SCALE).cast("double")).alias("v"))
+    rows = vectors.filter(ok).select(F.col("vec_id").cast("long").alias("vec_id"), F.transform(v, lambda x: F.floor(x * SCALE).cast("double")).alias("v"))
+    return rows.groupBy("vec_id", "v").agg(F.count("*").alias("m"))
 
 
 def choose_pivots(rows: DataFrame, n: int) -> np.ndarray:
@@ -43,22 +46,23 @@ def choose_pivots(rows: DataFrame, n: int) -> np.ndarray:
 
 
 def pack_cells(frames, pivots, every):
-    """Blocks of one partition: (cell, kind 0 data or 1 query, ids, matrix, least and largest distance to the pivot)."""
+    """Blocks of one partition: (cell, kind 0 data or 1 query, ids, repeats, matrix, least and largest distance to the pivot)."""
     held: dict = {}
 
     def block(key):
-        ids, rows, far = (np.concatenate(x) for x in zip(*held.pop(key), strict=True))
+        ids, times, rows, far = (np.concatenate(x) for x in zip(*held.pop(key), strict=True))
         order = np.lexsort((ids, far))
         step = QUERY_BLOCK if key[1] else BLOCK
-        return [(*key, ids[o].tobytes(), rows[o].astype("<f4" if np.abs(rows).max(initial=0) < 2**24 else "<f8").tobytes(), len(o), float(far[o[0]]), float(far[o[-1]])) for o in (order[i : i + step] for i in range(0, len(order), step))]
+        return [(*key, ids[o].tobytes(), times[o].tobytes(), rows[o].astype("<f4" if np.abs(rows).max(initial=0) < 2**24 else "<f8").tobytes(), len(o), float(far[o[0]]), float(far[o[-1]])) for o in (order[i : i + step] for i in range(0, len(order), step))]
 
-    columns = ["cell", "kind", "ids", "matrix", "n", "near", "far"]
+    columns = ["cell", "kind", "ids", "times", "matrix", "n", "near", "far"]
     norm = (pivots**2).sum(1)
     for frame in frames:
         keep = [i for i, v in enumerate(frame["v"]) if len(v) == pivots.shape[1]]
         if not keep:
             continue
         ids = frame["vec_id"].to_numpy(np.int64)[keep]
+        times = frame["m"].to_numpy(np.int64)[keep]
         rows = np.stack(frame["v"].iloc[keep].to_list())
         d2 = norm[None, :] - 2 * rows @ pivots.T + (rows**2).sum(1)[:, None]
         cell = d2.argmin(1)
@@ -66,7 +70,7 @@ def pack_cells(frames, pivots, every):
         for c in np.unique(cell).tolist():
             for kind, mask in ((0, cell == c), (1, (cell == c) & (ids % every == 0))):
                 if mask.any():
-                    held.setdefault((c, kind), []).append((ids[mask], rows[mask], far[mask]))
+                    held.setdefault((c, kind), []).append((ids[mask], times[mask], rows[mask], far[mask]))
         full = [k for k, v in held.items() if sum(len(x[0]) for x in v) >= 4 * BLOCK]
         if full:
             yield pd.DataFrame([r for k in full for r in block(k)], columns=columns)
@@ -75,7 +79,7 @@ def pack_cells(frames, pivots, every):
 
 
 def solve(qids, q, xids, x, k):
-    """The best k of x for each q but itself: score falling, then vec_id rising."""
+    """Places and scores of the best k of x for each q but itself: score falling, then vec_id rising."""
     scores = q @ x.T
     scores[qids[:, None] == xids[None, :]] = -np.inf
     take = min(k, scores.shape[1])
@@ -84,7 +88,7 @@ def solve(qids, q, xids, x, k):
     for i in range(len(q)):
         at = np.flatnonzero((scores[i] >= kth[i]) & (scores[i] > -np.inf))
         order = np.lexsort((xids[at], -scores[i][at]))[:k]
-        out.append((xids[at[order]], scores[i][at[order]]))
+        out.append((at[order], scores[i][at[order]]))
     return out
 
 
@@ -121,10 +125,11 @@ def local_best(frames, k, dim):
     for frame in frames:
         rows = []
         for r in frame.itertuples():
-            qids = np.frombuffer(r.ids, np.int64)
-            for q, (ids, scores) in zip(qids.tolist(), solve(qids, decode_block(r.matrix, r.n, dim), np.frombuffer(r.x_ids, np.int64), decode_block(r.x_matrix, r.x_n, dim), k), strict=True):
-                rows += [(q, int(i), int(s)) for i, s in zip(ids, scores, strict=True)]
-        yield pd.DataFrame(rows, columns=["query_id", "vec_id", "score"])
+            qids, xids, asked, held = (np.frombuffer(b, np.int64) for b in (r.ids, r.x_ids, r.times, r.x_times))
+            best = solve(qids, decode_block(r.matrix, r.n, dim), xids, decode_block(r.x_matrix, r.x_n, dim), k)
+            for q, m, (at, scores) in zip(qids.tolist(), asked.tolist(), best, strict=True):
+                rows += [(q, int(xids[i]), int(s), min(k, m * int(held[i]))) for i, s in zip(at, scores, strict=True)]
+        yield pd.DataFrame(rows, columns=["query_id", "vec_id", "score", "times"])
 
 
 def voronoi_top_k(vectors: DataFrame, k: int = K_BEST, every: int = EVERY, pivots: int = PIVOTS) -> DataFrame:
@@ -137,8 +142,8 @@ def voronoi_top_k(vectors: DataFrame, k: int = K_BEST, every: int = EVERY, pivot
     if not len(p):
         return spark.createDataFrame([], schema)
     dim = p.shape[1]
-    fields = "cell int, kind int, ids binary, matrix binary, n int, near double, far double"
-    packed = rows.mapInPandas(lambda f: pack_cells(f, p, every), fields).withColumn("block", F.xxhash64("cell", "kind", "ids")).checkpoint()
+    fields = "cell int, kind int, ids binary, times binary, matrix binary, n int, near double, far double"
+    packed = rows.mapInPandas(lambda f: pack_cells(f, p, every), fields).withColumn("block", F.xxhash64("cell", "kind", "ids", "matrix")).checkpoint()
     data, queries = packed.filter("kind = 0"), packed.filter("kind = 1")
     summary = np.full(len(p), -1.0)
     for cell, far in data.groupBy("cell").agg(F.max("far")).collect():
@@ -147,9 +152,9 @@ def voronoi_top_k(vectors: DataFrame, k: int = K_BEST, every: int = EVERY, pivot
     own = queries.join(near, "cell", "left").select("block", "cell", "far", "ids", "matrix", "n", F.col("x.ids").alias("x_ids"), F.col("x.matrix").alias("x_matrix"), F.col("x.n").alias("x_n"))
     bounds = own.mapInPandas(lambda f: first_bounds(f, k, dim), "block long, cell int, far double, bound double")
     needs = bounds.mapInPandas(lambda f: reachable(f, p, summary), "block long, to int")
-    x = data.select(F.col("cell").alias("to"), F.col("ids").alias("x_ids"), F.col("matrix").alias("x_matrix"), F.col("n").alias("x_n"))
-    pairs = queries.select("block", "ids", "matrix", "n").join(needs, "block").join(x, "to")
-    best = pairs.mapInPandas(lambda f: local_best(f, k, dim), "query_id long, vec_id long, score long").distinct()
+    x = data.select(F.col("cell").alias("to"), F.col("ids").alias("x_ids"), F.col("times").alias("x_times"), F.col("matrix").alias("x_matrix"), F.col("n").alias("x_n"))
+    pairs = queries.select("block", "ids", "times", "matrix", "n").join(needs, "block").join(x, "to")
+    best = pairs.mapInPandas(lambda f: local_best(f, k, dim), "query_id long, vec_id long, score long, times long").withColumn("times", F.explode(F.sequence(F.lit(1).cast("long"), "times")))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return best.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

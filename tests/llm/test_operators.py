@@ -232,6 +232,21 @@ def test_voronoi_join_against_brute_force(spark, monkeypatch):
     assert knn_join.voronoi_top_k(table.limit(0)).count() == 0
 
 
+def test_repeated_vectors_are_a_candidate_each(spark, monkeypatch):
+    rng = np.random.default_rng(6)
+    rows = [(k, rng.normal(size=4).tolist()) for k in range(1, 120)]
+    best = (np.array(rows[49][1]) * 3).tolist()
+    rows += [(200, best)] * 3 + [(201, best)] * 2 + [rows[7]] * 9 + [rows[99]] * 2 + [(100, best)] + [(7, best)]
+    table = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(3)
+    monkeypatch.setattr(knn_join, "BLOCK", 16)
+    x = [(i, np.floor(256 * np.array(v))) for i, v in rows]
+    want = []
+    for q in (50, 100, 200):
+        scores = sorted((-int(v @ w), j) for i, v in x if i == q for j, w in x if j != q)[:5]
+        want += [(q, k + 1, j, -s) for k, (s, j) in enumerate(scores)]
+    assert sorted(map(tuple, knn_join.voronoi_top_k(table).collect())) == sorted(want)
+
+
 def test_jpeg_round_trip_and_general_reader(docs, none):
     rng = np.random.default_rng(2)
     payloads = [bytes(192), bytes([255]) * 384, rng.integers(0, 256, 192 * 40).astype(np.uint8).tobytes(), b"\xff\x00" * 96, rng.integers(0, 256, 192 * 8200).astype(np.uint8).tobytes()]
