@@ -185,7 +185,7 @@ def solve(coo: DataFrame, rhs: DataFrame, method: str = "dense", tolerance: floa
         rho, old = dot(shadow, r), rho
         beta = rho / old * alpha / omega
         p = cut(combine((1, r), (beta, p), (-beta * omega, ap)))
-    return x
+    raise RuntimeError(f"bicgstab not converged after {steps} steps")
 
 
 def condest(coo: DataFrame, rhs: DataFrame) -> float:

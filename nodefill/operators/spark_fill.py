@@ -86,7 +86,7 @@ def fill_rounds(seeds: DataFrame, region, spacing, n_c: int = 12, exclusion: str
         if not edge.limit(1).count():
             return points.drop("ord")
         points = cut(points.unionByName(edge))
-    return points.drop("ord")
+    raise RuntimeError(f"fill not finished after {max_rounds} rounds")
 
 
 def columns_of(out: dict, level: int = 0) -> pd.DataFrame:
@@ -136,17 +136,20 @@ def bootstrap_iterative(seeds: DataFrame, region, spacing, n_target: int, n_seed
 
 
 def reduce_seeds(seeds: DataFrame, n: int, how: str = "hash") -> DataFrame:
-    """Exactly n seeds: by hash, or farthest-first from the smallest id (on the driver: seeds are few by design, at most 10^5)."""
+    """Exactly n seeds: by hash, or farthest-first from the smallest id, a pass over all seeds each (n is small). Ties: the smaller id. Fewer than n: all."""
     if how == "hash":
         return seeds.orderBy(F.xxhash64("seed_id"), "seed_id").limit(n)
-    rows = seeds.orderBy("seed_id").limit(100_000).toPandas()
-    p = rows[["x", "y", "z"]].to_numpy()
-    chosen, far = [0], ((p - p[0]) ** 2).sum(1)
-    while len(chosen) < min(n, len(p)):
-        k = int(far.argmax())
-        chosen.append(k)
-        far = np.minimum(far, ((p - p[k]) ** 2).sum(1))
-    return seeds.sparkSession.createDataFrame(rows.iloc[chosen])
+    pool = cut(seeds.withColumn("_far", F.lit(math.inf)))
+    chosen = []
+    while len(chosen) < n:
+        # each pass: the seed farthest from those chosen, which leaves the pool
+        top = pool.orderBy(F.desc("_far"), "seed_id").limit(1).collect()
+        if not top:
+            break
+        chosen += top
+        d2 = sum((F.col(k) - F.lit(top[0][k])) * (F.col(k) - F.lit(top[0][k])) for k in "xyz")
+        pool = cut(pool.filter(~F.col("seed_id").eqNullSafe(top[0]["seed_id"])).withColumn("_far", F.least("_far", d2)))
+    return seeds.sparkSession.createDataFrame(chosen, pool.schema).drop("_far")
 
 
 def assign_workers(seeds: DataFrame, n: int, how: str = "round_robin", weight: str | None = None) -> DataFrame:

@@ -220,3 +220,16 @@ def test_entry_imports_without_a_session():
     root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
     code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert len(q) > 150 and set(o) <= set(q)"
     subprocess.run([sys.executable, "-c", code], cwd=root, check=True, timeout=120)
+
+
+def test_farthest_first_sees_all_seeds_and_rounds_do_not_end_early(spark):
+    many = spark.range(100_001).select(F.col("id").alias("seed_id"), (F.col("id") % 10 / 10.0).alias("x"), F.lit(0.0).alias("y"), F.when(F.col("id") == 100_000, 9.0).otherwise(0.0).alias("z"))
+    assert [r["seed_id"] for r in fills.reduce_seeds(many, 3, "farthest").orderBy("z", "seed_id").collect()] == [0, 9, 100_000]
+    same = many.filter("seed_id IN (0, 10, 20)")
+    assert {r["seed_id"] for r in fills.reduce_seeds(same, 5, "farthest").collect()} == {0, 10, 20}
+    with pytest.raises(RuntimeError):
+        fills.fill_rounds(seeds(spark, (0, 0)), G.clover2d(), G.clover_spacing(0.2), max_rounds=1)
+    ids = [(i, j, 4.0 if i == j else 1.0 + i / (1 + j)) for i in range(4) for j in range(4)]
+    a, b = spark.createDataFrame(ids, "i long, j long, w double"), spark.createDataFrame([(i, 1.0 + i) for i in range(4)], "i long, v double")
+    with pytest.raises(RuntimeError):
+        pde.solve(a, b, "bicgstab", steps=1)
