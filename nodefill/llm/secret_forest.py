@@ -7,6 +7,9 @@ labelled findings that are made of hashes of row numbers, in the shapes in which
 the driver with TRAIN rows of features, and the trees become CASE expressions over higher-order functions. Texts are
 scanned where they are read: no exchange, no Python on executors.
 
+A run with `/` or `=` inside, such as a path or an unlisted name's value, scores as much as the best of itself and its
+segments of 16 or more characters that hold a digit, each judged with what stands before it.
+
 Null or empty text: no findings. Very long texts are scanned whole. Character U+0001 counts as a space. Rows with the same
 or no doc_id are scanned one by one. Without a column `source` the path features are 0. Other columns are ignored.
 """
@@ -24,11 +27,11 @@ PARTS, SCORES, DESCRIBED, PATH = "__scan_parts__", "__scan_scores__", "__scan_fe
 
 # Names that hold secrets, and the patterns of candidates.
 NAMES = "password|passwd|pwd|secret|api_?key|token"
-ASSIGNED = rf"(?i:{NAMES})[\"']?\s{{0,3}}[:=]\s{{0,3}}[\"']?"
+ASSIGNED = rf"(?i:{NAMES})[\"']?\s*[:=]\s*[\"']?"
 CANDIDATE = (
-    rf"(?<![A-Za-z0-9_])(?:[A-Za-z0-9_-]{{0,24}}[_-])?{ASSIGNED}[^\s\"']{{8,}}"
-    r"|(?<![A-Za-z0-9_+/=-])(?=[A-Za-z_+/=-]{0,40}[0-9])[A-Za-z0-9_+/=-]{16,}"
-    r"|-----BEGIN [A-Z ]{0,24}PRIVATE KEY-----"
+    rf"(?<![A-Za-z0-9_-])(?:[A-Za-z0-9_-]*[_-])?{ASSIGNED}[^\s\"']{{8,}}"
+    r"|(?<![A-Za-z0-9_+/=-])(?=[A-Za-z_+/=-]*+[0-9])[A-Za-z0-9_+/=-]{16,}"
+    r"|-----BEGIN [A-Z ]*PRIVATE KEY-----"
 )
 ASSIGNMENT = rf"^[A-Za-z0-9_-]*?{ASSIGNED}"
 DICTIONARY = (
@@ -150,8 +153,17 @@ def with_findings(docs: DataFrame, forest: list, text: str = "text", path: str =
     out = docs.withColumn(PARTS, F.split(marked, "\x01")).withColumn(PATH, where)
     places = F.when(F.size(PARTS) > 1, F.sequence(F.lit(1), F.size(PARTS) - 2, F.lit(2))).otherwise(F.array().cast("array<int>"))
     part = lambda i: F.get(F.col(PARTS), i)
-    out = out.withColumn(DESCRIBED, F.transform(places, lambda i: describe(part(i), F.right(part(i - 1), F.lit(40)), F.left(part(i + 1), F.lit(8)), F.col(PATH))))
-    return out.withColumn(SCORES, F.transform(DESCRIBED, lambda f: forest_score(forest, f))).drop(DESCRIBED, PATH)
+
+    def views(i):
+        """The candidate, and the segments it may hide a secret in: (piece, left, right)."""
+        piece, left, right = part(i), F.right(part(i - 1), F.lit(40)), F.left(part(i + 1), F.lit(8))
+        view = lambda p, l: F.struct(p.alias("piece"), l.alias("left"), right.alias("right"))  # noqa: E731, E741
+        inner = F.filter(F.split(piece, "[/=]+"), lambda s: (F.length(s) >= 16) & (F.length(s) < F.length(piece)) & s.rlike("[0-9]"))
+        inner = F.when(piece.rlike("[/=]") & ~piece.rlike(ASSIGNMENT), inner).otherwise(F.array().cast("array<string>"))
+        return F.concat(F.array(view(piece, left)), F.transform(inner, lambda s: view(s, F.right(F.concat(left, F.left(piece, F.instr(piece, s) - 1)), F.lit(40)))))
+
+    out = out.withColumn(DESCRIBED, F.transform(places, lambda i: F.transform(views(i), lambda v: describe(v["piece"], v["left"], v["right"], F.col(PATH)))))
+    return out.withColumn(SCORES, F.transform(DESCRIBED, lambda seen: F.array_max(F.transform(seen, lambda f: forest_score(forest, f))))).drop(DESCRIBED, PATH)
 
 
 def scan_secrets(docs: DataFrame) -> DataFrame:

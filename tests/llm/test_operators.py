@@ -371,6 +371,15 @@ def test_secrets_found_and_redacted(spark, none):
     assert not re.search("Python|Pandas|Arrow|Exchange", plan)
 
 
+def test_secrets_in_paths_after_long_names_and_late_digits(spark):
+    token = "ghp_16C7e42F292c6912E7710c838347Ae178B4a"
+    late = "".join(chr(97 + k * 7 % 26) + chr(65 + k * 11 % 26) for k in range(25)) + "9xQ7Lw"
+    texts = [(1, f"see /srv/applications/internal/releases/current/{token} now"), (2, "MY_APPLICATION_DATABASE_PROD_PASSWORD=hunter22"), (3, "password        =        hunter2hunter"), (4, f"run {late} end"), (5, "in /srv/applications/internal/releases/current/number12 now")]
+    found = {r["doc_id"]: r for r in secret_forest.scan_secrets(spark.createDataFrame(texts, "doc_id long, text string")).collect()}
+    assert found[1]["secret"] and found[4]["length"] == len(late) and not found[5]["secret"]
+    assert [(texts[k - 1][1][found[k]["start"] :], found[k]["secret"]) for k in (2, 3)] == [("hunter22", True), ("hunter2hunter", True)]
+
+
 def test_catalogue_names_the_ten_operators():
     assert [re.match(r"op(\d+)_", k)[1] for k in catalogue.queries()] == [str(k) for k in range(1, 11)]
 
