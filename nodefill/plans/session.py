@@ -4,16 +4,31 @@ from __future__ import annotations
 
 import re
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """The rows, written to the checkpoint folder the cluster names; lost executors can't lose them. Only without such a setting, as in tests, a folder of this machine."""
-    context = df.sparkSession.sparkContext
+def shared_folder(spark) -> str:
+    """The checkpoint folder that the cluster names; without such a setting a local master, as in tests, uses a folder of this machine, and a cluster is refused."""
+    context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
-    return df.checkpoint()
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder and not context.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoints-"))
+    return context.getCheckpointDir()
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """The rows without their lineage: a table in the checkpoint folder, so that lost executors can't lose them.
+
+    Unlike a checkpoint it is computed once, and its size is known: a checkpoint keeps the estimate of its plan, which
+    grows with each join of a loop.
+    """
+    path = f"{shared_folder(df.sparkSession)}/cut-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def plan_of(df: DataFrame) -> str:
