@@ -6,20 +6,24 @@ Functions that run in Python workers are shipped by value, so executors need no
 from __future__ import annotations
 
 import math
+import re
 import sys
-import tempfile
 import types
 import zlib
 
 import numpy as np
+import pandas as pd
 from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.session import cut, shared_folder  # noqa: F401
+
 U = np.uint64
 INDEX_BITS = 28
 INDEX_MASK = U((1 << INDEX_BITS) - 1)
 CHUNK = 1 << 20
+PLACES = 1 << 24
 MULT_A, MULT_B = 0x9E3779B97F4A7C15, 0xD1342543DE82EF95
 
 
@@ -49,6 +53,7 @@ def byte_table(seed: int, lower: bool = False) -> np.ndarray:
 BYTES, LOWER = byte_table(7), byte_table(7, lower=True)
 SPACE = np.zeros(256, bool)
 SPACE[[32, 9, 10, 11, 12, 13]] = True
+SPACES = re.compile(rb"[\t-\r ]")
 
 _powers: dict = {}
 
@@ -98,13 +103,31 @@ def sliding_min(a: np.ndarray, w: int) -> np.ndarray:
 
 
 def owners(h: np.ndarray, w: int) -> np.ndarray:
-    """Place of the leftmost smallest hash in each window of w hashes: the window's own minimiser."""
-    keyed = (h & ~INDEX_MASK) | np.arange(len(h), dtype=np.uint64)
-    return (sliding_min(keyed, w) & INDEX_MASK).astype(np.int64)
+    """Place of the leftmost smallest hash in each window of w hashes: the window's own minimiser.
+
+    Places fill the low bits, so long inputs go in runs that overlap by a window; a window's place depends on its hashes only.
+    """
+    out = []
+    for at in range(0, max(1, len(h) - w + 1), PLACES):
+        part = h[at : at + PLACES + w - 1]
+        keyed = (part & ~INDEX_MASK) | np.arange(len(part), dtype=np.uint64)
+        out.append((sliding_min(keyed, w) & INDEX_MASK).astype(np.int64) + at)
+    return np.concatenate(out)
 
 
 def words(joined: bytes, lower: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hash, start and end of each word `[^\\x20\\x09-\\x0D]+`; `joined` ends in white space."""
+    """Hash, start and end of each word `[^\\x20\\x09-\\x0D]+`; `joined` ends in white space. Long inputs go in runs cut at white space."""
+    runs, at = [], 0
+    while at < len(joined) or not runs:
+        cut = SPACES.search(joined, at + 8 * CHUNK)
+        to = cut.end() if cut else len(joined)
+        h, start, end = run_words(joined[at:to] if to - at < len(joined) else joined, lower)
+        runs.append((h, start + at, end + at))
+        at = to
+    return runs[0] if len(runs) == 1 else tuple(np.concatenate(x) for x in zip(*runs, strict=True))
+
+
+def run_words(joined: bytes, lower: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     buf = np.frombuffer(joined, np.uint8)
     gap = SPACE[buf]
     edge = np.flatnonzero(np.diff(np.r_[True, gap].view(np.int8)))
@@ -125,6 +148,13 @@ def chunks(parts: list, sizes, limit: int = CHUNK):
         yield at, len(parts)
 
 
+def pieces_of_long(texts: list[bytes], limit: int, overlap: int):
+    """(text, start, bytes) for each text, long ones cut into pieces of `limit` bytes that share `overlap` bytes with the next."""
+    for i, t in enumerate(texts):
+        for at in range(0, max(1, len(t) - overlap), limit):
+            yield i, at, t if len(t) <= limit + overlap else t[at : at + limit + overlap]
+
+
 def word_chunk(texts: list[bytes], lower: bool = False):
     """Word hashes, starts, ends of several texts, and the bounds of each text's words and bytes."""
     joined = b"\n".join([*texts, b""])
@@ -134,12 +164,9 @@ def word_chunk(texts: list[bytes], lower: bool = False):
 
 
 def input_bytes(docs: DataFrame) -> int:
-    """Bytes of the input: from file sizes where Spark knows them, else by a summing pass."""
-    known = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-    if known < 1 << 56:
-        return known
-    strings = [F.coalesce(F.octet_length(c), F.lit(0)) for c, t in docs.dtypes if t == "string"]
-    return int(docs.agg(F.sum(sum(strings, F.lit(0)))).first()[0] or 0)
+    """Bytes of the texts and 16 a row, by a summing pass over their column: files say little, as they are compressed."""
+    size = F.coalesce(F.octet_length(F.col("text").cast("string")), F.lit(0)).cast("long")
+    return int(docs.agg(F.sum(size + 16)).first()[0] or 0)
 
 
 def bucket_count(size: int) -> int:
@@ -154,8 +181,11 @@ def id_text(docs: DataFrame, *more: Column) -> DataFrame:
 
 
 def doc_buckets(docs: DataFrame, n: int, rest: bool = False) -> DataFrame:
-    """(bucket, doc_id, text), with `rest` also the other columns as a struct: the one exchange of texts that all later steps share."""
-    bucket = F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(n)).cast("int").alias("bucket")
+    """(bucket, doc_id, text), with `rest` also the other columns as a struct: the one exchange of texts that all later steps share.
+
+    Buckets go by doc_id and text, so rows without an id, or with one id, spread; only rows alike in both share a bucket.
+    """
+    bucket = F.pmod(F.xxhash64(F.col("doc_id").cast("long"), F.col("text").cast("string")), F.lit(n)).cast("int").alias("bucket")
     return id_text(docs, bucket, *[F.struct(*[F.col(f"`{c}`") for c in docs.columns if c != "text"]).alias("rest")] * rest)
 
 
@@ -163,6 +193,13 @@ def row_ids(column) -> list:
     return [None if i is None or i != i else int(i) for i in column]
 
 
+def id_frame(rows: list[tuple], columns: list[str]) -> pd.DataFrame:
+    """Rows as a frame whose first column is an id: whole numbers and nulls, which pandas would else turn into floats."""
+    out = pd.DataFrame([r[1:] for r in rows], columns=columns[1:])
+    out.insert(0, columns[0], pd.array([r[0] for r in rows], "Int64"))
+    return out
+
+
 def row_order(frame) -> tuple[list, list[bytes], list[int]]:
     ids = row_ids(frame["doc_id"])
     texts = [t.encode("utf-8", "surrogatepass") if isinstance(t, str) else b"" for t in frame["text"]]
@@ -199,10 +236,3 @@ def pack_ints(values: np.ndarray) -> bytes:
 
 def unpack_ints(blob: bytes) -> np.ndarray:
     return np.frombuffer(zlib.decompress(blob[1:]), f"<u{chr(blob[0])}").astype(np.int64)
-
-
-def shared_folder(spark) -> None:
-    """Checkpoints go where the cluster says; only without such a setting, as in tests, to a folder of this machine."""
-    context = spark.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))

@@ -339,7 +339,7 @@ def store_partition(frames):
                 back = b"".join([t.tobytes() for _, _, t in read])
                 feature, width, height = features(read)
                 rows.append((doc, len(text), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-16:]), len(stored), hashlib.sha256(stored).hexdigest(), feature, width, height, len(read)))
-            yield pd.DataFrame(rows, columns=[x.split()[0] for x in SCHEMA.split(", ")]).astype({"doc_id": "Int64"})
+            yield K.id_frame(rows, [x.split()[0] for x in SCHEMA.split(", ")])
 
 
 def encode_media(docs: DataFrame) -> DataFrame:
