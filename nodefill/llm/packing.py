@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import base64
 import bisect
+import re
 import zlib
 
 import numpy as np
@@ -28,6 +29,7 @@ from . import kernels as K
 K.ship(__name__)
 
 TIERS, END, POOL_IDS, GROUP, WAIT = (256, 512, 1024, 2048), 1, 1 << 21, 8, 64
+LONG_SPACE = re.compile("[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]{4096,}")  # fixed: Unicode white space, as the pattern's \s has it
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, step_group long, attention_cost long"
 
 
@@ -51,6 +53,21 @@ def byte_pair_encoder(path: str):
     return K.cached(("bpe", path), build)
 
 
+def encode_text(encoder, text: str) -> np.ndarray:
+    """Ids of a text of any shape.
+
+    The pattern looks ahead over white space, which the regex engine can't do over very long runs. A run is one piece but
+    for its last character, which belongs to what follows, so a long run is cut out and merged by itself.
+    """
+    encode, parts, at = encoder.encode_to_numpy, [], 0
+    for run in LONG_SPACE.finditer(text):
+        end = run.end() if run.end() == len(text) else run.end() - 1
+        parts += [encode(text[at : run.start()], disallowed_special=()), np.array(encoder._encode_single_piece(text[run.start() : end]), np.uint32)]
+        at = end
+    parts.append(encode(text[at:], disallowed_special=()))
+    return np.concatenate(parts) if len(parts) > 1 else parts[0]
+
+
 class Packer:
     """Pools of pieces by length, and the sequences made of them."""
 
@@ -118,15 +135,15 @@ class Packer:
 
     def flush(self) -> pd.DataFrame:
         rows, self.rows = self.rows, []
-        return pd.DataFrame(rows, columns=[x.split()[0] for x in SCHEMA.split(", ")]).astype({"doc_id": "Int64"})
+        return K.id_frame(rows, [x.split()[0] for x in SCHEMA.split(", ")])
 
 
 def pack_partition(frames, path: str, tiers, end: int):
-    encode = byte_pair_encoder(path).encode_to_numpy
+    encoder = byte_pair_encoder(path)
     packer, number = Packer(tiers, TaskContext.get().partitionId() << 36), 0
     for frame in frames:
         for doc, text in zip(frame["doc_id"], frame["text"], strict=True):
-            ids = encode(text, disallowed_special=()) if isinstance(text, str) and text else np.zeros(0, np.uint32)
+            ids = encode_text(encoder, text) if isinstance(text, str) and text else np.zeros(0, np.uint32)
             packer.add(None if doc is None or doc != doc else int(doc), np.r_[ids, np.uint32(end)].astype(np.uint32), number)
             number += 1
             if packer.held > POOL_IDS:
