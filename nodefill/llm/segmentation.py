@@ -1,12 +1,13 @@
 """N-best segmentation over the piece lattice of a SentencePiece model, and decoding.
 
-Spaces become the mark U+2581 and one is put in front. No piece has a mark after another character, so the lattice of a
-text has cut points before each word, and the N best paths of the text are the N best sums over its words. For every
-distinct word, forward and backward Viterbi scores give the best path and the loss of the second best; both are
+Spaces become the mark U+2581 and one is put in front. If no piece has a mark after another character or a line end beside
+one (checked; for other models a whole text is one word), the lattice of a text has cut points before each word, and the
+N best paths of the text are the N best sums over its words. For every distinct word, forward and backward Viterbi scores give the best path and the loss of the second best; both are
 computed for all words of a batch at once. At most N - 1 words of a text can differ from their best path in its N best
 (those with the least loss, ties to the earlier), so only these are searched: a backward A-star search from the word's
 end, in which the forward Viterbi score of the place still to reach is the exact heuristic, gives their N best paths in
-order. A heap then merges them into the N best of the text. Whole texts take part; nothing is pruned.
+order. A heap then merges them into the N best of the text. Whole texts take part; nothing is pruned. Words of more than
+LONG characters, such as a text without spaces, get a lattice of their own, found for all places at once by piece length.
 
 Piece scores are the model's own. Characters without a piece become their bytes, at UNKNOWN below the least score each.
 Null or empty text: one path without pieces, score 0. A text with fewer than N paths has that many rows. Other columns
@@ -21,7 +22,6 @@ import zlib
 from itertools import count
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -30,7 +30,7 @@ from .kernels import U
 
 K.ship(__name__)
 
-MARK, N_BEST, UNKNOWN, SLOT_BITS, CELLS = "▁", 5, 10.0, 20, 1 << 21
+MARK, N_BEST, UNKNOWN, SLOT_BITS, CELLS, LONG = "▁", 5, 10.0, 20, 1 << 21, 512
 SCHEMA = "doc_id long, rank int, score double, n_pieces long, ids_crc32 long, decodes boolean"
 WORDS = re.compile(f"{MARK}*[^{MARK}\n]+|{MARK}+|\n")
 
@@ -56,6 +56,7 @@ class Pieces:
         usual = [s for s, _ in self.score.values() if s > -1e8]
         self.missing = min(usual) - UNKNOWN
         self.longest = max(map(len, self.score))
+        self.cuts = not any(MARK in p.lstrip(MARK) or ("\n" in p and len(p) > 1) for p in self.score)
         self.spell = [self.text[i].replace(MARK, " ").encode() for i in range(n)]
         for b, i in self.bytes.items():
             self.spell[i] = bytes([b])
@@ -97,6 +98,8 @@ def pieces_of(path: str) -> Pieces:
 
 def search(word: str, pieces: Pieces, n: int) -> list[tuple[float, list[int]]]:
     """The n best paths of a word: forward Viterbi, then A-star from its end."""
+    if len(word) > LONG:
+        return LongWord(word, pieces).n_best(n)
     size, arcs, forward = len(word), [[] for _ in range(len(word) + 1)], [0.0] + [-np.inf] * len(word)
     for end in range(1, size + 1):
         for start in range(max(0, end - pieces.longest), end):
@@ -105,22 +108,80 @@ def search(word: str, pieces: Pieces, n: int) -> list[tuple[float, list[int]]]:
         if not any(start == end - 1 for start, _, _ in arcs[end]):
             arcs[end].append((end - 1, pieces.missing, -1))
         forward[end] = max(forward[start] + score for start, score, _ in arcs[end])
-    order, found = count(), []
-    agenda = [(-forward[size], next(order), size, 0.0, None)]
+    return best_first(word, pieces, n, forward, lambda end: arcs[end])
+
+
+def best_first(word: str, pieces: Pieces, n: int, forward, arcs) -> list[tuple[float, list[int]]]:
+    """A-star from the end over arcs(end), each (start, score, id). Of equal sums the newest goes on first, so ties don't widen the search."""
+    order, found = count(0, -1), []
+    agenda = [(round(-float(forward[-1]), 7), next(order), len(word), 0.0, None)]
     while agenda and len(found) < n:
-        cost, _, at, behind, path = heapq.heappop(agenda)
+        _, _, at, behind, path = heapq.heappop(agenda)
         if at == 0:
             ids, link = [], path
             while link:
                 (start, i), link = link
                 ids += [i] if i >= 0 else pieces.byte_ids(word[start])
-            found.append((-cost, ids))
+            found.append((behind, ids))
             continue
-        for start, score, i in arcs[at]:
-            heapq.heappush(agenda, (-(forward[start] + score + behind), next(order), start, score + behind, ((start, i), path)))
+        for start, score, i in arcs(at):
+            heapq.heappush(agenda, (round(-(float(forward[start]) + score + behind), 7), next(order), start, score + behind, ((start, i), path)))
     return found
 
 
+class LongWord:
+    """The lattice of one long word: its arcs by end, found by hash for a piece length at a time, and Viterbi scores both ways."""
+
+    def __init__(self, word: str, pieces: Pieces):
+        self.word, self.pieces, size = word, pieces, len(word)
+        self.code = np.frombuffer(word.encode("utf-32-le", "surrogatepass"), np.uint32)
+        values, parts = K.mix(self.code.astype(np.uint64) + U(1)), []
+        for length in range(1, min(pieces.longest, size) + 1):
+            ids, score = pieces.find(K.grams(values, length))
+            if length == 1:
+                score[ids < 0] = pieces.missing
+            start = np.flatnonzero(score > -np.inf)
+            parts.append((start + length, start, score[start], ids[start]))
+        end, self.start, self.score, self.ids = (np.concatenate(x) for x in zip(*parts, strict=True))
+        order = np.lexsort((self.start, end))
+        self.end, self.start, self.score, self.ids = end[order], self.start[order], self.score[order], self.ids[order]
+        self.bounds = np.searchsorted(self.end, np.arange(size + 2)).tolist()
+        self.forward = self.viterbi(self.start.tolist(), self.score.tolist(), self.end.tolist(), size, 0)
+        back = self.viterbi(self.end[::-1].tolist(), self.score[::-1].tolist(), self.start[::-1].tolist(), size, size, by=np.argsort(-self.start[::-1], kind="stable").tolist())
+        self.best = float(self.forward[size])
+        self.gap = self.best - (self.forward[self.start] + self.score + back[self.end])
+
+    @staticmethod
+    def viterbi(origin: list, score: list, to: list, size: int, first: int, by=None) -> np.ndarray:
+        """Best sums from `first` on; arcs come in an order in which their origins are settled before."""
+        best = [-np.inf] * (size + 1)
+        best[first] = 0.0
+        for k in range(len(to)) if by is None else by:
+            s = best[origin[k]] + score[k]
+            if s > best[to[k]]:
+                best[to[k]] = s
+        return np.array(best)
+
+    def path(self) -> tuple[float, np.ndarray, np.ndarray]:
+        """Loss of the second best path, and tokens and first characters of the best; of equal arcs the shortest."""
+        on = self.gap <= 1e-9 * (1 + abs(self.best))
+        ways = np.bincount(self.start[on], minlength=len(self.word))
+        loss = 0.0 if (ways > 1).any() else float(self.gap[~on].min(initial=np.inf))
+        order = np.flatnonzero(on)[::-1]  # ends rise with the index, so the shortest arc of a start is written last
+        via = np.zeros(len(self.word), np.int64)
+        via[self.start[order]] = order
+        end, at, arcs = self.end.tolist(), 0, []
+        while at < len(self.word):
+            k = int(via[at])
+            arcs.append(k)
+            at = end[k]
+        return loss, self.ids[arcs].astype(np.int64), self.code[self.start[arcs]]
+
+    def n_best(self, n: int) -> list[tuple[float, list[int]]]:
+        arcs = lambda end: zip(*(x[self.bounds[end] : self.bounds[end + 1]].tolist() for x in (self.start, self.score, self.ids)), strict=True)
+        return best_first(self.word, self.pieces, n, self.forward, arcs)
+
+
 def group_lattice(code: np.ndarray, pieces: Pieces):
     """Words of one length, code points [n, size]: best score, loss of the second best path, and per word the tokens of the best path.
 
@@ -184,6 +245,13 @@ def lattice(words: list[str], pieces: Pieces):
     cut = np.flatnonzero(np.r_[True, np.diff(size[by_size]) > 0])
     for a, b in zip(cut, np.r_[cut[1:], len(words)], strict=True):
         wide = int(size[by_size[a]])
+        if wide > LONG:
+            for k in by_size[a:b].tolist():
+                long = LongWord(words[k], pieces)
+                loss[k], token, char = long.path()
+                best[k] = long.best
+                parts.append((np.full(len(token), k), token, char))
+            continue
         step = max(1, CELLS // (wide * min(wide, pieces.longest)))
         for i in range(a, b, step):
             own = by_size[i : min(b, i + step)]
@@ -216,10 +284,15 @@ def merge(best: float, lists: list[list[tuple[float, list[int]]]], n: int) -> li
     return found
 
 
+def words_of(text: str, pieces: Pieces) -> list[str]:
+    marked = MARK + text.replace(" ", MARK) if text else ""
+    return WORDS.findall(marked) if pieces.cuts else [marked] * bool(marked)
+
+
 def n_best(texts: list[str], pieces: Pieces, n: int):
     """For each text its n best (score, ids), and whether the best ids decode to the text."""
     number: dict[str, int] = {}
-    places = [np.array([number.setdefault(w, len(number)) for w in WORDS.findall(MARK + t.replace(" ", MARK) if t else "")], np.int64) for t in texts]
+    places = [np.array([number.setdefault(w, len(number)) for w in words_of(t, pieces)], np.int64) for t in texts]
     words = list(number)
     if not words:
         return [([(0.0, np.zeros(0, "<u4"))], True) for _ in texts]
@@ -271,7 +344,7 @@ def segment_partition(frames, path: str, n: int):
             for doc, (paths, whole) in zip(ids[a:b], n_best(texts[a:b], pieces, n), strict=True):
                 for rank, (score, path_ids) in enumerate(paths, 1):
                     rows.append((doc, rank, score, len(path_ids), zlib.crc32(path_ids.tobytes()), whole))
-            yield pd.DataFrame(rows, columns=["doc_id", "rank", "score", "n_pieces", "ids_crc32", "decodes"]).astype({"doc_id": "Int64"})
+            yield K.id_frame(rows, ["doc_id", "rank", "score", "n_pieces", "ids_crc32", "decodes"])
 
 
 def segment_documents(docs: DataFrame, model: str | None = None, n: int = N_BEST) -> DataFrame:
