@@ -7,7 +7,7 @@ bounded sigmoid loss, which bears a prior that is a little too high; when the se
 is followed backwards, so the estimate of the negatives' risk stays non-negative.
 
 The model is linear over features of the whole text: frequencies of byte-class pairs, word statistics, and repetition.
-It is fitted on at most POSITIVES + UNLABELLED documents, chosen by hash of doc_id (documented bound); every document is
+It is fitted on at most POSITIVES + UNLABELLED documents, chosen by hash of doc_id, one text each (documented bound); every document is
 scored where it is read, without an exchange. labels, lang, source and doc_id are no inputs of a score.
 
 Null or empty text: features of an empty text. Without any positive label the score is the prior, or 0.5 without labels.
@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -117,6 +118,7 @@ def train(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, float] | floa
     unlabelled = ids.orderBy(by, "doc_id").limit(UNLABELLED).withColumn("kind", F.lit(0))
     chosen = F.broadcast(positives.unionByName(unlabelled))  # at most POSITIVES + UNLABELLED rows of two numbers
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(chosen, "doc_id")
+    source = source.groupBy("kind", "doc_id").agg(F.min("text").alias("text"))  # a repeated doc_id counts once, by its least text, so the bound holds
     rows = source.select("kind", "text").mapInPandas(blobs, "kind int, x binary").collect()
     x = {k: np.array([np.frombuffer(r["x"], np.float32) for r in rows if r["kind"] == k], float) for k in (0, 1)}
     return fit_non_negative(x[1], x[0], prior) if len(x[0]) and len(x[1]) else prior
@@ -143,14 +145,17 @@ def score_quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The documents with predicted 1, all columns as they are."""
+    """The documents with predicted 1, all columns as they are, row by row: nulls in any column, repeated rows and empty texts are judged like others.
+
+    Rows are filtered as Arrow batches, so no column passes through another type.
+    """
     model = train(docs, labels)
 
-    def run(frames):
-        for frame in frames:
-            yield frame[scores(frame["text"], model) >= THRESHOLD]
+    def run(batches):
+        for batch in batches:
+            yield batch.filter(pa.array(scores(batch.column("text").to_pylist(), model) >= THRESHOLD))
 
-    return docs.mapInPandas(run, docs.schema)
+    return docs.mapInArrow(run, docs.schema)
 
 
 def op3_positive_unlabelled_quality(spark, sf_dir: str) -> DataFrame:
