@@ -72,10 +72,15 @@ class SuffixFamily:
 
 
 def anchored(texts: list[bytes], window: int, gram: int):
-    """For each chunk of texts: first text, joined bytes, text bounds, the runs of windows with one minimiser (start, windows), the run's text and minimiser hash."""
-    for a, b in K.chunks(texts, [len(t) + 1 for t in texts]):
-        joined = b"\0".join([*texts[a:b], b""])
-        offset = np.r_[0, np.cumsum([len(t) + 1 for t in texts[a:b]])]
+    """For each chunk of texts: joined bytes, the runs of windows with one minimiser (start there, windows), the run's place in its text, its text and minimiser hash.
+
+    Very long texts go in pieces that overlap by a window less one byte, so each window lies in exactly one.
+    """
+    owner, begin, parts = zip(*K.pieces_of_long(texts, 4 * K.CHUNK, window - 1), strict=True) if texts else ((), (), ())
+    owner, begin = np.array(owner, np.int64), np.array(begin, np.int64)
+    for a, b in K.chunks(parts, [len(t) + 1 for t in parts]):
+        joined = b"\0".join([*parts[a:b], b""])
+        offset = np.r_[0, np.cumsum([len(t) + 1 for t in parts[a:b]])]
         if len(joined) < window:
             continue
         g = K.grams(K.BYTES[np.frombuffer(joined, np.uint8)], gram)
@@ -88,7 +93,8 @@ def anchored(texts: list[bytes], window: int, gram: int):
         size = np.diff(np.r_[start, len(own)])
         keep = ok[start]
         start, size = start[keep], size[keep]
-        yield a, joined, offset, start, size, np.searchsorted(offset, start, side="right") - 1 + a, K.mix(g[own[start]] ^ U(K.MULT_B))  # minimisers are small; mixed, they spread over the shards
+        part = np.searchsorted(offset, start, side="right") - 1
+        yield joined, start, size, start - offset[part] + begin[a + part], owner[a + part], K.mix(g[own[start]] ^ U(K.MULT_B))  # minimisers are small; mixed, they spread over the shards
 
 
 def distinct_runs(frame, window, gram, answers):
@@ -102,7 +108,7 @@ def distinct_runs(frame, window, gram, answers):
     hot = np.sort(known[1::2][known[1::2] != 0]) if len(known) else known
     known = np.sort(known[::2])
     number, least, shard, seen = {}, [], [], []
-    for a, joined, offset, start, size, text, h in anchored(texts, window, gram):
+    for joined, start, size, place, text, h in anchored(texts, window, gram):
         if not len(known):
             break
         at = np.minimum(np.searchsorted(known, h), len(known) - 1)
@@ -112,18 +118,19 @@ def distinct_runs(frame, window, gram, answers):
         else:
             wide = np.zeros(len(pick), bool)
         parts = [(pick[~wide], start[pick[~wide]], size[pick[~wide]])]
+        place = place - start
         if wide.any():
             w = pick[wide]
             each = np.repeat(w, size[w])
             parts.append((each, start[each] + np.arange(len(each)) - np.repeat(np.cumsum(size[w]) - size[w], size[w]), np.ones(len(each), np.int64)))
         for k, (which, first, count) in enumerate(parts):
-            for s, n, t, x in zip(first.tolist(), count.tolist(), text[which].tolist(), h[which].tolist(), strict=True):
+            for s, n, t, x, p in zip(first.tolist(), count.tolist(), text[which].tolist(), h[which].tolist(), place[which].tolist(), strict=True):
                 piece = joined[s : s + n + window - 1]
                 i = number.setdefault((n, piece) if k else piece, len(number))
                 if i == len(least):
                     least.append(keys[t])
                     shard.append((zlib.crc32(piece) * 0x9E3779B97F4A7C15) & (2**64 - 1) if k else x)
-                seen.append((t, s - offset[t - a], n, i))
+                seen.append((t, s + p, n, i))
     return ids, keys, texts, number, least, shard, seen
 
 
@@ -255,8 +262,7 @@ def finish(frame, answers, window, gram, with_text):
         else:
             kept = b"".join([t[x:y] for x, y in zip([0, *b.tolist()], [*a.tolist(), len(t)], strict=True)]) if own else t
             rows.append((i, len(t), len(t) - len(kept), len(a), hashlib.sha256(kept).hexdigest()))
-    out = pd.DataFrame(rows, columns=columns)
-    return out if with_text else out.astype({"doc_id": "Int64"})
+    return pd.DataFrame(rows, columns=columns) if with_text else K.id_frame(rows, columns)
 
 
 def cut_characters(text: bytes, starts: np.ndarray, ends: np.ndarray) -> str:
