@@ -3,8 +3,7 @@
 Shingles are five words, A-Z lower-cased; shorter texts are one shingle. A shingle's weight is its count in the
 document times 1 + DAMP * idf. idf is -log2 of the share of documents that hold it, over 20, cut to 0..1; document
 counts come from a count-min sketch over all documents (2 x 2^20 cells whatever the corpus), so frequent shingles are
-known as such and all others share one weight. DAMP is small so that one edit among thousands of copies, whose common
-shingles are frequent and its own are not, doesn't outweigh what they share.
+known as such. A shingle of every document weighs its count, the rarest 1 + DAMP times that.
 
 Equal texts are one class before anything else. Each class gets BANDS x ROWS samples; two classes that share a band are
 candidates. In each band bucket, members are compared to one of them, the bucket's hub, and the rest of the links follow
@@ -14,9 +13,12 @@ is joined exactly (`remaining_pairs`), so each two candidates are either of one
 known to be below SIMILARITY. Links are kept only if their weighted Jaccard similarity, computed from all their
 shingles, is SIMILARITY or more.
 
+A class is known by its least doc_id and its text's digest, so two texts under one doc_id are two classes, each with its
+own links, and results don't depend on the order of rows. Buckets of more than HOT classes are met in SALTS shares: their
+members are dealt over them, and the bucket's one hub goes to each.
+
 Null or empty text: no shingles; such texts are copies of each other and of nothing else. Null doc_id: returned with a
-null class. Rows with the same doc_id and text are copies of one class. Two texts under one doc_id are two classes, of
-which only one can be named by that doc_id; give such rows ids of their own first. Other columns are ignored.
+null class. Rows with the same doc_id and text are copies of one class. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,7 +35,8 @@ from .kernels import U
 
 K.ship(__name__)
 
-SHINGLE, SIMILARITY, BANDS, ROWS, DAMP, ROUNDS = 5, 0.8, 12, 3, 0.1, 3
+SHINGLE, SIMILARITY, BANDS, ROWS, DAMP, ROUNDS = 5, 0.8, 12, 3, 1.0, 3
+HOT, SALTS = 256, 64
 CELL_BITS, SKETCH_BLOCK, POOL_BITS = 20, 14, 16
 CELL_MULT = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
 
@@ -151,9 +154,11 @@ def signatures(frames, k: int, idf, bands: int, rows: int):
 
 
 def vectors(frames, k: int):
+    """class_id (or doc_id, if the frames have no classes) and the text's shingles with their counts."""
     for frame in frames:
-        ids, _, texts = K.in_order(frame)
-        yield pd.DataFrame([(i, h.tobytes() + tf.astype("<u4").tobytes()) for i, (h, tf) in zip(ids, shingles(texts, k), strict=True)], columns=["class_id", "vector"]).astype({"class_id": "int64"})
+        names = frame["class_id" if "class_id" in frame else "doc_id"]
+        texts = [t.encode("utf-8", "surrogatepass") if isinstance(t, str) else b"" for t in frame["text"]]
+        yield pd.DataFrame([(i, h.tobytes() + tf.astype("<u4").tobytes()) for i, (h, tf) in zip(names, shingles(texts, k), strict=True)], columns=["class_id", "vector"])
 
 
 def jaccard(a: bytes, b: bytes, idf) -> float:
@@ -196,12 +201,22 @@ def prefixes(frames, idf, similarity: float):
         yield frame[["class_id", "component", "hs"]].assign(size=size, short=short, keys=keys)
 
 
+def salt_of(name: str, hot: str):
+    """The share of a hot group that a row goes to."""
+    return F.when(F.col(hot), F.pmod(F.xxhash64(name, F.lit(5)), F.lit(SALTS)).cast("int")).otherwise(0)
+
+
+def salts(hot: str):
+    """All shares, for the row that a group's members meet."""
+    return F.explode(F.when(F.col(hot), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))).alias("salt")
+
+
 def remaining_pairs(own: DataFrame, vector: DataFrame, idf, similarity: float) -> DataFrame:
     """(a, b): every pair of different components that shares a bucket, but those that can't reach the similarity."""
-    open_ = own.groupBy("band", "h").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x <> y").select("band", "h")
-    left = own.join(open_, ["band", "h"]).groupBy("class_id", "component").agg(F.collect_set("h").alias("hs"))
-    schema = "class_id long, component long, hs array<long>, size double, short int, keys array<long>"
-    keyed = left.join(vector, "class_id").mapInPandas(lambda f: prefixes(f, idf.value, similarity), schema).checkpoint()
+    open_ = own.groupBy("band", "h").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.max("hot").alias("is_hot")).filter("x <> y").select("band", "h", salts("is_hot"))
+    left = own.withColumn("salt", salt_of("class_id", "hot")).join(open_, ["band", "h", "salt"]).groupBy("class_id", "component").agg(F.collect_set("h").alias("hs"))
+    schema = "class_id string, component string, hs array<long>, size double, short int, keys array<long>"
+    keyed = K.cut(left.join(vector, "class_id").mapInPandas(lambda f: prefixes(f, idf.value, similarity), schema))
     x = keyed.select(F.col("class_id").alias("a"), F.col("component").alias("ca"), F.col("hs").alias("ha"), F.col("size").alias("na"), F.explode(F.slice("keys", F.lit(1), F.col("short"))).alias("key"))
     y = keyed.select(F.col("class_id").alias("b"), F.col("component").alias("cb"), F.col("hs").alias("hb"), F.col("size").alias("nb"), F.explode("keys").alias("key"))
     fits = (F.col("ca") != F.col("cb")) & (F.struct("na", "a") < F.struct("nb", "b")) & (F.col("na") >= F.col("nb") * (similarity - 1e-6)) & F.arrays_overlap("ha", "hb")
@@ -210,65 +225,99 @@ def remaining_pairs(own: DataFrame, vector: DataFrame, idf, similarity: float) -
 
 def components(edges: DataFrame) -> DataFrame:
     """(class_id, component): the least class of each component. Labels spread over links and then jump, so chains halve."""
-    both = edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct().checkpoint()
-    labels = both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("v"), F.least("a", "m").alias("l")).checkpoint()
+    both = K.cut(edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
+    # classes with more than a thousandth of all links: at most a thousand
+    hot = K.cut(both.groupBy("b").agg(F.count("*").alias("n")).filter(F.col("n") > max(HOT, both.count() // 1000)).select("b", F.lit(True).alias("hot")))
+    both = K.cut(both.join(F.broadcast(hot), "b", "left").withColumn("hot", F.coalesce("hot", F.lit(False))).select("a", "b", salt_of("a", "hot").alias("salt")))
+    labels = K.cut(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("v"), F.least("a", "m").alias("l")))
     while True:
-        near = both.join(labels.withColumnRenamed("v", "b"), "b").groupBy("a").agg(F.min("l").alias("m"))
+        given = labels.withColumnRenamed("v", "b").join(F.broadcast(hot), "b", "left").select("b", "l", salts("hot"))
+        near = both.join(given, ["b", "salt"]).groupBy("a").agg(F.min("l").alias("m"))
         step = labels.join(near, F.col("v") == F.col("a")).select("v", F.least("l", "m").alias("n"), "l")
         jump = step.select(F.col("v").alias("p"), F.col("n").alias("q"))
-        new = step.join(jump, F.col("n") == F.col("p"), "left").select("v", F.least("n", F.coalesce("q", "n")).alias("n"), "l").checkpoint()
+        new = K.cut(step.join(jump, F.col("n") == F.col("p"), "left").select("v", F.least("n", F.coalesce("q", "n")).alias("n"), "l"))
         if not new.filter("n <> l").limit(1).count():
             return new.select(F.col("v").alias("class_id"), F.col("n").alias("component"))
         labels = new.select("v", F.col("n").alias("l"))
 
 
+def class_key(least, digest):
+    """A class's name as text that sorts by doc_id, then digest: 16 digits of the id above the least long, and the digest."""
+    return F.concat(F.lpad(F.hex(F.col(least).bitwiseXOR(F.lit(-(2**63)).cast("long"))), 16, "0"), F.hex(digest))
+
+
+def id_of(key):
+    return F.conv(F.substring(key, 1, 16), 16, -10).cast("long").bitwiseXOR(F.lit(-(2**63)).cast("long"))
+
+
+def hub_pairs(own: DataFrame, turn: int) -> DataFrame:
+    """(a, b, hub, salt): each open bucket's members against its hub; one hub for all bands at first, which makes equal pairs, then a hub of its own for each."""
+    rank = F.col("class_id") if turn == 0 else F.xxhash64("class_id", "band", F.lit(turn))
+    hubs = own.groupBy("band", "h").agg(F.min_by(F.struct("class_id", "component"), rank).alias("hub"), F.min("component").alias("x"), F.max("component").alias("y"), F.max("hot").alias("is_hot")).filter("x <> y")
+    hubs = hubs.select("band", "h", "hub", salts("is_hot"))
+    pairs = own.withColumn("salt", salt_of("class_id", "hot")).join(hubs, ["band", "h", "salt"]).filter("component <> hub.component")
+    pairs = pairs.select(F.least("class_id", "hub.class_id").alias("a"), F.greatest("class_id", "hub.class_id").alias("b"), F.struct(F.col("hub.class_id").alias("hub"), "salt").alias("to"))
+    return pairs.groupBy("a", "b").agg(F.min("to").alias("to")).select("a", "b", "to.hub", "to.salt")
+
+
+def verified_pairs(pairs: DataFrame, vector: DataFrame, idf, similarity: float) -> DataFrame:
+    """The pairs (a, b, hub, salt) that are similar. A hub's vector is copied to the salts that ask for it, so no key gathers its pairs."""
+    wanted = pairs.select("hub", "salt").distinct()
+    hub = wanted.join(vector.select(F.col("class_id").alias("hub"), F.col("vector").alias("vb")), "hub")
+    other = pairs.withColumn("class_id", F.when(F.col("hub") == F.col("a"), F.col("b")).otherwise(F.col("a")))
+    both = other.join(vector.select("class_id", F.col("vector").alias("va")), "class_id").join(hub, ["hub", "salt"]).select("a", "b", "va", "vb")
+    return both.mapInPandas(lambda f: verified(f, idf.value, similarity), "a string, b string, similarity double")
+
+
 def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, rounds: int = ROUNDS, with_digest: bool = False) -> DataFrame:
-    """A row for each row: doc_id, class_id (least doc_id of its near-duplicate class), n_links (verified links of its text), copy_of (least doc_id with the same text); `digest`, the text's MD5, with with_digest."""
+    """A row for each row: doc_id, class_id (least doc_id of its near-duplicate class), n_links (verified links of its text), copy_of (least doc_id with the same text).
+
+    with_digest: also `digest`, the text's MD5, and `first`, whether it is the text that the class keeps.
+    """
     spark = docs.sparkSession
     K.shared_folder(spark)
     source = K.id_text(docs)
     idf = spark.sparkContext.broadcast(idf_table(source, k))
     found = source.mapInPandas(lambda f: signatures(f, k, idf.value, bands, rows), "digest binary, members array<long>, bands array<long>")
-    local = found.select("digest", F.array_min("members").alias("least"), "members", "bands").checkpoint()
+    local = K.cut(found.select("digest", F.array_min("members").alias("least"), "members", "bands"))
     # equal texts of different batches: their bands are equal too; the members stay spread over the batches' rows
-    classes = local.groupBy("digest").agg(F.min("least").alias("class_id"), F.first("bands").alias("bands"))
-    # joined before the members are listed: a text has one row a batch here, however many copies there are
-    member_class = local.join(classes.select("digest", "class_id"), "digest").select(F.explode("members").alias("doc_id"), "class_id", "digest")
+    classes = local.groupBy("digest").agg(F.min("least").alias("least"), F.first("bands").alias("bands")).select("digest", class_key("least", "digest").alias("class_id"), "bands")
     keyed = classes.select("class_id", F.posexplode("bands").alias("band", "h"))
-    shared = keyed.groupBy("band", "h").agg(F.count("*").alias("n")).filter("n > 1").select("band", "h")
-    buckets = keyed.join(shared, ["band", "h"]).checkpoint()
+    shared = keyed.groupBy("band", "h").agg(F.count("*").alias("n")).filter("n > 1")
+    total = classes.count()
+    # buckets of more than a thousandth of all classes: at most a thousand a band, which a broadcast bears at any size
+    hot = K.cut(shared.filter(F.col("n") > max(HOT, total // 1000)).select("band", "h"))
+    marked = keyed.join(F.broadcast(hot.withColumn("hot", F.lit(True))), ["band", "h"], "left").withColumn("hot", F.coalesce("hot", F.lit(False)))
+    small = marked.filter("NOT hot").join(shared.select("band", "h"), ["band", "h"])
+    buckets = K.cut(small.unionByName(marked.filter("hot")))
     wanted = buckets.select("class_id").distinct()
-    texts = source.join(wanted, source["doc_id"].cast("long") == wanted["class_id"], "left_semi")
-    vector = texts.mapInPandas(lambda f: vectors(f, k), "class_id long, vector binary").dropDuplicates(["class_id"]).checkpoint()
+    named = source.select("text", F.col("doc_id").cast("long").alias("least"), F.unhex(F.md5(F.coalesce("text", F.lit("")).cast("binary"))).alias("digest")).filter("least IS NOT NULL")
+    texts = named.select("text", class_key("least", "digest").alias("class_id")).join(wanted, "class_id", "left_semi")
+    vector = K.cut(texts.mapInPandas(lambda f: vectors(f, k), "class_id string, vector binary").dropDuplicates(["class_id"]))
     links, label, tested = None, wanted.select("class_id", F.col("class_id").alias("component")), None
     for turn in range(rounds + 1):
-        own = buckets.join(label, "class_id", "left").select("band", "h", "class_id", F.coalesce("component", "class_id").alias("component"))
-        if turn < rounds:
-            # one hub for all bands at first, which makes equal pairs; then a hub of its own for each
-            rank = F.col("class_id") if turn == 0 else F.xxhash64("class_id", "band", F.lit(turn))
-            hubs = own.groupBy("band", "h").agg(F.min_by(F.struct("class_id", "component"), rank).alias("hub"), F.min("component").alias("x"), F.max("component").alias("y")).filter("x <> y").select("band", "h", "hub")
-            pairs = own.join(hubs, ["band", "h"]).filter("component <> hub.component")
-            pairs = pairs.select(F.least("class_id", "hub.class_id").alias("a"), F.greatest("class_id", "hub.class_id").alias("b")).distinct()
-        else:
-            pairs = remaining_pairs(own, vector, idf, similarity)
+        own = buckets.join(label, "class_id", "left").select("band", "h", "hot", "class_id", F.coalesce("component", "class_id").alias("component"))
+        pairs = hub_pairs(own, turn) if turn < rounds else remaining_pairs(own, vector, idf, similarity).select("a", "b", F.col("b").alias("hub"), F.pmod(F.xxhash64("a"), F.lit(SALTS)).cast("int").alias("salt"))
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        pairs = pairs.checkpoint()
-        with_a = pairs.join(vector.select(F.col("class_id").alias("a"), F.col("vector").alias("va")), "a")
-        with_b = with_a.join(vector.select(F.col("class_id").alias("b"), F.col("vector").alias("vb")), "b")
-        new = with_b.mapInPandas(lambda f: verified(f, idf.value, similarity), "a long, b long, similarity double").checkpoint()
-        tested = pairs if tested is None else tested.union(pairs)
+        pairs = K.cut(pairs)
+        new = K.cut(verified_pairs(pairs, vector, idf, similarity))
+        tested = pairs.select("a", "b") if tested is None else tested.union(pairs.select("a", "b"))
         if new.limit(1).count():
             links = new if links is None else links.unionByName(new)
             label = components(links)
     if links is None:
-        links = spark.createDataFrame([], "a long, b long, similarity double")
+        links = spark.createDataFrame([], "a string, b string, similarity double")
     degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))
-    known = member_class.join(label, "class_id", "left").join(degree, "class_id", "left")
-    columns = [F.col("doc_id"), F.coalesce("component", "class_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.col("class_id").alias("copy_of"), F.col("digest")]
-    nameless = docs.filter(F.col("doc_id").cast("long").isNull()).select(*[F.lit(None).cast(t).alias(c) for c, t in (("doc_id", "long"), ("class_id", "long"), ("n_links", "long"), ("copy_of", "long"), ("digest", "binary"))])
+    known = classes.select("digest", "class_id").join(label, "class_id", "left").join(degree, "class_id", "left")
+    # the members are listed last: till then a text has one row a batch, however many copies there are
+    known = local.select("digest", "members").join(known, "digest").withColumn("doc_id", F.explode("members"))
+    component = F.coalesce("component", "class_id")
+    columns = [F.col("doc_id"), id_of(component).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), id_of(F.col("class_id")).alias("copy_of"), F.col("digest"), (component == F.col("class_id")).alias("first")]
+    kinds = (("doc_id", "long"), ("class_id", "long"), ("n_links", "long"), ("copy_of", "long"), ("digest", "binary"), ("first", "boolean"))
+    nameless = docs.filter(F.col("doc_id").cast("long").isNull()).select(*[F.lit(None).cast(t).alias(c) for c, t in kinds])
     out = known.select(*columns).unionByName(nameless)
-    return out if with_digest else out.drop("digest")
+    return out if with_digest else out.drop("digest", "first")
 
 
 def op7_weighted_minhash(spark, sf_dir: str) -> DataFrame:
