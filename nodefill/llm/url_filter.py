@@ -5,13 +5,16 @@ host wins, then the longest path. Other urls get the method's verdict: host labe
 everything but letters, letters without a gap are split into words by the best sum of unigram log-probabilities, and
 multinomial naive Bayes adds up the words' log-odds with the prior's.
 
-Word counts are those of the letter runs of all urls, plus the seed words; the counts of runs longer than MAX_RUN or seen
-in fewer than MIN_COUNT urls stay out of the vocabulary, whose VOCABULARY most frequent entries are shared with
-executors (a model parameter; a run outside it is split or stays a word of its own, so no url is dropped).
-Naive Bayes is trained on the labelled seed names below.
-
-Null url or none with `://`: host and path empty, no rule, and the verdict that the prior gives. Rows with the same or no
-page_id are treated one by one. Other columns are ignored.
+Unigrams are counted over the visible words of all pages' html, never over urls, so a name that many urls hold doesn't
+become a word for that. The counts are merged into a count-min sketch of DEPTH x 2^CELL_BITS counters, which is what
+executors get: no word is cut off, whatever its rank or length, and the size is bounded; in a full sketch rare words
+look more frequent than they are. Words of the labelled names have at least SEED_SHARE of all counts.
+Naive Bayes learns from the labelled names below and from the hosts of at most LABELLED urls, chosen by hash, that a rule
+decides: a host's words, without those of the rules, under the rule's verdict.
+
+Null url or none with `://`: host and path empty, no rule, and the verdict that the prior gives. Without a column `html`,
+or with nulls there, those pages give no unigrams. Splits of equal score: the one with the longer last word. Rows with the
+same or no page_id are treated one by one. Very long urls are judged whole. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -19,7 +22,8 @@ from __future__ import annotations
 import math
 import re
 
-import pandas as pd
+import numpy as np
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -27,7 +31,7 @@ from . import kernels as K
 
 K.ship(__name__)
 
-VOCABULARY, MIN_COUNT, MAX_RUN, LONGEST, SEED_COUNT, PRIOR_BLOCK, SMOOTH = 50_000, 3, 24, 24, 1000, 0.2, 0.5
+DEPTH, CELL_BITS, LONGEST, SEED_SHARE, LABELLED, PRIOR_BLOCK, SMOOTH = 3, 20, 24, 1e-4, 20_000, 0.2, 0.5
 SCHEMA = "page_id long, host string, path string, rule string, verdict string, score double, words string"
 
 # Rules (host, path, verdict), and names of sites known to be unwanted or wanted.
@@ -47,7 +51,7 @@ def seed_names() -> list[tuple[list[str], str]]:
 
 
 def train_bayes(names) -> tuple[dict[str, float], float]:
-    """Log-odds of block against allow for each word, and of an unseen word."""
+    """Log-odds of block against allow for each word, and of an unseen word, which says nothing: 0."""
     counts = {"block": {}, "allow": {}}
     for words, label in names:
         for w in words:
@@ -65,42 +69,66 @@ def parts(url: Column) -> tuple[Column, Column]:
     return F.coalesce(F.translate(host, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), F.lit("")), F.coalesce(path, F.lit(""))
 
 
-def run_counts(pages: DataFrame) -> DataFrame:
-    """Urls that hold each letter run, over all pages."""
-    host, path = parts(F.col("url").cast("string"))
-    runs = F.array_distinct(F.regexp_extract_all(F.lower(F.concat_ws("/", host, path)), F.lit(r"([a-z]+)"), 1))
-    return pages.select(F.explode(runs).alias("run")).filter(F.length("run") <= MAX_RUN).groupBy("run").agg(F.count("*").alias("n"))
+class Unigrams:
+    """Log-probabilities from a count-min sketch of word counts; a word that was never seen has none."""
 
+    def __init__(self, counts: np.ndarray, seeds: dict[str, int]):
+        self.counts, self.seeds = counts, seeds
+        self.total = int(counts[0].sum()) + sum(seeds.values())
+        self.known: dict[str, float | None] = {}
+        self.unknown = -math.log(max(2, self.total))
 
-def unigram(pages: DataFrame) -> dict[str, float]:
-    """Log-probabilities of the vocabulary."""
-    rows = run_counts(pages).filter(F.col("n") >= MIN_COUNT).orderBy(F.desc("n"), "run").limit(VOCABULARY).collect()
-    counts = {r["run"]: r["n"] for r in rows}
-    for words, _ in seed_names():
-        for w in words:
-            counts[w] = counts.get(w, 0) + SEED_COUNT
-    total = sum(counts.values())
-    # a run that is a concatenation of seed words is no word of its own
-    seeds = {w for words, _ in seed_names() for w in words}
-    whole = {w for w in counts if w not in seeds and concatenated(w, seeds)}
-    return {w: math.log(n / total) for w, n in counts.items() if w not in whole}
+    def get(self, word: str) -> float | None:
+        if word not in self.known:
+            if len(self.known) > 1_000_000:
+                self.known.clear()
+            h = xxhash.xxh64_intdigest(word.encode(), seed=42)
+            n = min(int(self.counts[d, h >> CELL_BITS * d & (1 << CELL_BITS) - 1]) for d in range(DEPTH)) + self.seeds.get(word, 0)
+            self.known[word] = math.log(n / self.total) if n else None
+        return self.known[word]
 
 
-def concatenated(run: str, seeds) -> bool:
-    ok = [True] + [False] * len(run)
-    for j in range(1, len(run) + 1):
-        ok[j] = any(ok[i] and run[i:j] in seeds and j - i > 2 for i in range(max(0, j - LONGEST), j))
-    return ok[-1]
+def word_sketch(pages: DataFrame) -> np.ndarray:
+    """Counters [depth, cell] of the visible words of all pages: DEPTH x 2^CELL_BITS numbers, however many pages and words."""
+    counts = np.zeros((DEPTH, 1 << CELL_BITS), np.int64)
+    if "html" not in pages.columns:
+        return counts
+    text = F.regexp_replace(F.lower(F.col("html").cast("string")), r"(?s)<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>", " ")
+    words = pages.select(F.explode(F.regexp_extract_all(text, F.lit("([a-z]+)"), 1)).alias("word")).groupBy("word").agg(F.count("*").alias("n"))
+    cell = F.explode(F.array(*[F.struct(F.lit(d).alias("depth"), F.shiftrightunsigned(F.xxhash64("word"), CELL_BITS * d).bitwiseAND((1 << CELL_BITS) - 1).alias("cell")) for d in range(DEPTH)]))
+    rows = words.select(cell.alias("at"), "n").groupBy("at.depth", "at.cell").agg(F.sum("n").alias("n")).toPandas()
+    counts[rows["depth"].to_numpy(np.int64), rows["cell"].to_numpy(np.int64)] = rows["n"].to_numpy(np.int64)
+    return counts
+
+
+def unigram(pages: DataFrame) -> Unigrams:
+    counts = word_sketch(pages)
+    least = max(1, math.ceil(SEED_SHARE * int(counts[0].sum())))
+    return Unigrams(counts, {w: least for words, _ in seed_names() for w in words})
 
 
-def viterbi(run: str, model: dict[str, float], unknown: float) -> list[str]:
+def ruled_names(pages: DataFrame, rules, model: Unigrams) -> list[tuple[list[str], str]]:
+    """The words of hosts that a rule decides, with its verdict: each host and verdict once, of at most LABELLED urls."""
+    host, path = parts(F.col("url").cast("string"))
+    at = pages.select(host.alias("host"), path.alias("path"))
+    fits = F.lit(False)
+    for h, p, _ in rules:
+        fits = fits | (((F.col("host") == h) | F.col("host").endswith("." + h)) & F.col("path").startswith(p))
+    rows = at.filter(fits).orderBy(F.xxhash64("host", "path"), "host", "path").limit(LABELLED).collect()
+    by_host, own = by_name(rules), {w for h, p, _ in rules for w in re.findall("[a-z]+", (h + p).lower())}
+    found = sorted({(r["host"], rule_of(r["host"], r["path"], by_host)[1]) for r in rows})
+    named = [([w for run in re.findall("[a-z]+", h) for w in viterbi(run, model) if w not in own and model.get(w) is not None], v) for h, v in found]
+    return [(words, v) for words, v in named if words]
+
+
+def viterbi(run: str, model: Unigrams) -> list[str]:
     """The split of best total log-probability; an unknown word costs more with each letter. Ties: the longer last word."""
     best, back = [0.0], [0]
     for j in range(1, len(run) + 1):
         options = []
         for i in range(max(0, j - LONGEST), j):
-            w = run[i:j]
-            options.append((best[i] + (model[w] if w in model else unknown - 2.5 * (j - i)), -i))
+            p = model.get(run[i:j])
+            options.append((best[i] + (model.unknown - 2.5 * (j - i) if p is None else p), -i))
         score, i = max(options)
         best.append(score)
         back.append(-i)
@@ -114,7 +142,7 @@ def viterbi(run: str, model: dict[str, float], unknown: float) -> list[str]:
 def merge_unknown(words: list[str], model) -> list[str]:
     out: list[str] = []
     for w in words:
-        if out and w not in model and out[-1] not in model:
+        if out and model.get(w) is None and model.get(out[-1]) is None:
             out[-1] += w
         else:
             out.append(w)
@@ -128,11 +156,15 @@ def rule_of(host: str, path: str, rules) -> tuple[str, str] | None:
     return max(fits)[2:] if fits else None
 
 
-def judge_partition(frames, rules, model, odds, unseen, threshold):
-    by_host: dict[str, list] = {}
+def by_name(rules) -> dict[str, list]:
+    out: dict[str, list] = {}
     for h, p, v in rules:
-        by_host.setdefault(h, []).append((h, p, v))
-    unknown = min(model.values(), default=-10.0)
+        out.setdefault(h, []).append((h, p, v))
+    return out
+
+
+def judge_partition(frames, rules, model, odds, unseen, threshold):
+    by_host = by_name(rules)
     base = math.log(PRIOR_BLOCK / (1 - PRIOR_BLOCK))
     seen: dict[str, tuple[list[str], float]] = {}
     for frame in frames:
@@ -143,19 +175,20 @@ def judge_partition(frames, rules, model, odds, unseen, threshold):
                 if run not in seen:
                     if len(seen) > 200_000:
                         seen.clear()
-                    split = viterbi(run, model, unknown)
+                    split = viterbi(run, model)
                     seen[run] = split, sum(odds.get(w, unseen) for w in split)
                 words += seen[run][0]
                 score += seen[run][1]
             found = rule_of(host, path, by_host)
             rule, verdict = found or (None, "block" if score > threshold else "allow")
             rows.append((None if page is None or page != page else int(page), host, path, rule, verdict, 1 / (1 + math.exp(-max(-700.0, min(700.0, score)))), " ".join(words)))
-        yield pd.DataFrame(rows, columns=["page_id", "host", "path", "rule", "verdict", "score", "words"]).astype({"page_id": "Int64"})
+        yield K.id_frame(rows, ["page_id", "host", "path", "rule", "verdict", "score", "words"])
 
 
 def filter_urls(pages: DataFrame, rules=RULES, threshold: float = 0.0) -> DataFrame:
     """page_id, host, path, rule, verdict, score (probability that naive Bayes gives to block) and the words found."""
-    model, (odds, unseen) = unigram(pages), train_bayes(seed_names())
+    model = unigram(pages)
+    odds, unseen = train_bayes(seed_names() + ruled_names(pages, rules, model))
     host, path = parts(F.col("url").cast("string"))
     source = pages.select(F.col("page_id").cast("long").alias("page_id"), host.alias("host"), path.alias("path"))
     shared = pages.sparkSession.sparkContext.broadcast(model)
