@@ -1,8 +1,8 @@
 """Removal of word windows that repeat across documents, with a count-min prefilter.
 
 Each partition sketches the minimisers of its windows. A window repeats only if its minimiser does, so the
-merged sketch overestimates every window's count. The second pass groups exactly, by 128-bit hashes, only the
-windows whose estimate is two documents or more; no repeated window is lost.
+merged sketch overestimates every window's count. The second pass groups exactly, by 128-bit BLAKE2 digests of the words'
+bytes, only the windows whose estimate is two documents or more; no repeated window is lost.
 The sketch that is broadcast has a bit for each counter, at most SKETCH_MAX_BITS x DEPTH bits (96 MB).
 
 Null or empty text: no words. Null doc_id: the document is returned unchanged and removes nothing. Rows with the
@@ -12,7 +12,9 @@ same doc_id don't remove each other's windows. Other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 from dataclasses import dataclass
+from typing import Any
 
 import numpy as np
 import pandas as pd
@@ -31,16 +33,14 @@ DEPTH_MULT = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F
 
 @dataclass
 class Windows:
-    """Whole windows of some texts: document index, first word, minimiser's hash, and the window's two hashes."""
+    """Whole windows of some texts: document index, first word, minimiser's hash."""
 
     doc: np.ndarray
     first: np.ndarray
     anchor: np.ndarray
-    h1: np.ndarray
-    h2: np.ndarray
 
 
-def windows_of(texts: list[bytes], window: int, gram: int, hashes: bool) -> Windows:
+def windows_of(texts: list[bytes], window: int, gram: int) -> Windows:
     found = []
     for a, b in K.chunks(texts, [len(t) + 1 for t in texts]):
         h, _, _, bounds, _ = K.word_chunk(texts[a:b])
@@ -50,14 +50,26 @@ def windows_of(texts: list[bytes], window: int, gram: int, hashes: bool) -> Wind
         own = K.owners(g, window - gram + 1)
         doc = np.repeat(np.arange(b - a), np.diff(bounds))
         ok = np.flatnonzero(doc[: len(own)] == doc[window - 1 :])
-        both = (K.grams(h, window)[ok], K.grams(h, window, K.MULT_B)[ok]) if hashes else (ok[:0], ok[:0])
-        found.append((doc[ok] + a, ok - bounds[doc[ok]], g[own[ok]], *both))
+        found.append((doc[ok] + a, ok - bounds[doc[ok]], g[own[ok]]))
     if not found:
         none = np.zeros(0, np.uint64)
-        return Windows(none.astype(np.int64), none.astype(np.int64), none, none, none)
+        return Windows(none.astype(np.int64), none.astype(np.int64), none)
     return Windows(*(np.concatenate(x) for x in zip(*found, strict=True)))
 
 
+def digests_of(texts: list[bytes], doc: np.ndarray, first: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
+    """Two halves of the digest of each window (doc ascending): of its words joined by one space."""
+    found, bounds = [], np.searchsorted(doc, np.arange(len(texts) + 1))
+    for t, a, b in zip(texts, bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+        if b > a:
+            own = t.split()
+            end = np.cumsum(np.fromiter(map(len, own), np.int64, len(own)) + 1)
+            start, joined = np.r_[0, end[:-1]], b" ".join(own)
+            found += [hashlib.blake2b(joined[i:j], digest_size=16).digest() for i, j in zip(start[first[a:b]].tolist(), (end[first[a:b] + window - 1] - 1).tolist(), strict=True)]
+    both = np.frombuffer(b"".join(found), np.uint64).reshape(-1, 2)
+    return both[:, 0], both[:, 1]
+
+
 def cells_of(anchors: np.ndarray, depth: int, bits: int) -> np.ndarray:
     return ((anchors * DEPTH_MULT[depth]) ^ (anchors >> U(29))) * U(0x9FB21C651E98DF25) >> U(64 - bits)
 
@@ -67,7 +79,7 @@ def sketch_part(frames, window: int, gram: int, bits: int):
     anchors, docs = [], []
     for frame in frames:
         _, ids, texts = K.in_order(frame)
-        w = windows_of(texts, window, gram, hashes=False)
+        w = windows_of(texts, window, gram)
         new = np.flatnonzero(np.r_[True, (w.anchor[1:] != w.anchor[:-1]) | (w.doc[1:] != w.doc[:-1])][: len(w.anchor)])
         anchors.append(w.anchor[new])
         docs.append(ids[w.doc[new]])
@@ -98,14 +110,15 @@ def sketch_part(frames, window: int, gram: int, bits: int):
     yield pd.DataFrame(rows, columns=["depth", "block", "cells", "n"])
 
 
-def merge_block(key, frame):
-    """Sum of the partitions' counters of one block, saturated at two, as a bitmap of counters of two or more."""
+def merge_block(key: tuple[Any, ...], frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """Sum of the partitions' counters of one block, saturated at two, as a bitmap of counters of two or more; a batch of partitions at a time."""
     count = np.zeros(1 << BLOCK_BITS, np.uint8)
-    for blob, n in zip(frame["cells"], frame["n"], strict=True):
-        cell = np.frombuffer(blob, "<u2", n)
-        more = np.unpackbits(np.frombuffer(blob, np.uint8, -1, 2 * n), count=n)
-        count[cell] = np.minimum(2, count[cell] + 1 + more)
-    return pd.DataFrame([(int(key[0]), int(key[1]), np.packbits(count > 1).tobytes())], columns=["depth", "block", "bitmap"])
+    for frame in frames:
+        for blob, n in zip(frame["cells"], frame["n"], strict=True):
+            cell = np.frombuffer(blob, "<u2", n)
+            more = np.unpackbits(np.frombuffer(blob, np.uint8, -1, 2 * n), count=n)
+            count[cell] = np.minimum(2, count[cell] + 1 + more)
+    yield pd.DataFrame([(int(key[0]), int(key[1]), np.packbits(count > 1).tobytes())], columns=["depth", "block", "bitmap"])
 
 
 def merged_sketch(docs: DataFrame, window: int, gram: int, bits: int) -> np.ndarray:
@@ -129,21 +142,21 @@ def estimated_repeated(anchors: np.ndarray, sketch: np.ndarray, bits: int) -> np
 
 
 def candidates(frame, window, gram, sketch, bits):
-    """The windows estimated repeated of a bucket, sorted by hash: their place, and the distinct ones with their smallest id."""
+    """The windows estimated repeated of a bucket, sorted by digest: their place, and which of them are the first of their digest, with its halves."""
     ids, keys, texts = K.in_order(frame)
-    w = windows_of(texts, window, gram, hashes=True)
+    w = windows_of(texts, window, gram)
     real = np.array([i is not None for i in ids], bool)
     pick = np.flatnonzero(estimated_repeated(w.anchor, sketch, bits) & real[w.doc] if len(w.doc) else np.zeros(0, bool))
-    order = pick[np.lexsort((keys[w.doc[pick]], w.h2[pick], w.h1[pick]))]
-    h1, h2 = w.h1[order], w.h2[order]
+    h1, h2 = digests_of(texts, w.doc[pick], w.first[pick], window)
+    by = np.lexsort((keys[w.doc[pick]], h2, h1))
+    order, h1, h2 = pick[by], h1[by], h2[by]
     new = np.r_[True, (h1[1:] != h1[:-1]) | (h2[1:] != h2[:-1])][: len(order)]
-    return ids, keys, texts, w, order, new
+    return ids, keys, texts, w, order, new, h1[new], h2[new]
 
 
 def second_pass(frame, window, gram, sketch, bits, shard_bits):
-    _, keys, _, w, order, new = candidates(frame, window, gram, sketch, bits)
-    at = order[new]
-    h1, h2, least = w.h1[at], w.h2[at], keys[w.doc[at]]
+    _, keys, _, w, order, new, h1, h2 = candidates(frame, window, gram, sketch, bits)
+    least = keys[w.doc[order[new]]]
     cut = np.searchsorted(h1 >> U(64 - shard_bits), np.arange((1 << shard_bits) + 1, dtype=np.uint64))
     bucket = int(frame["bucket"].iloc[0])
     rows = [(s, bucket, h1[i:j].tobytes() + h2[i:j].tobytes() + least[i:j].tobytes()) for s, (i, j) in enumerate(zip(cut[:-1], cut[1:], strict=True)) if j > i]
@@ -171,9 +184,9 @@ def finish(frame, answers, window, gram, sketch, bits, shard_bits, with_text):
     columns = ["doc_id", "n_words", "n_removed", "kept_sha256", *["kept"] * with_text]
     if not len(frame):
         return pd.DataFrame({c: [] for c in columns})
-    ids, keys, texts, w, order, new = candidates(frame, window, gram, sketch, bits)
+    ids, keys, texts, w, order, new, h1, _ = candidates(frame, window, gram, sketch, bits)
     at = order[new]
-    cut = np.searchsorted(w.h1[at] >> U(64 - shard_bits), np.arange((1 << shard_bits) + 1, dtype=np.uint64))
+    cut = np.searchsorted(h1 >> U(64 - shard_bits), np.arange((1 << shard_bits) + 1, dtype=np.uint64))
     elsewhere = np.zeros(len(at), bool)
     for s, blob in zip(answers["shard"], answers["covered"], strict=True):
         elsewhere[cut[s] : cut[s + 1]] = np.unpackbits(np.frombuffer(blob, np.uint8), count=cut[s + 1] - cut[s])
@@ -184,18 +197,13 @@ def finish(frame, answers, window, gram, sketch, bits, shard_bits, with_text):
     bounds = np.searchsorted(w.doc[by], np.arange(len(texts) + 1))
     rows = []
     for k, (i, t) in enumerate(zip(ids, texts, strict=True)):
-        own = t.translate(BLANKS).split(b" ")
-        own = [x for x in own if x]
-        kept = own
+        kept = own = t.split()
         if bounds[k + 1] > bounds[k]:
             gone = K.cover(len(own), w.first[by[bounds[k] : bounds[k + 1]]], window)
             kept = [x for x, g in zip(own, gone.tolist(), strict=True) if not g]
         rest = b" ".join(kept)
         rows.append((i, len(own), len(own) - len(kept), hashlib.sha256(rest).hexdigest(), *[rest.decode("utf-8", "replace")] * with_text))
-    return pd.DataFrame(rows, columns=columns).astype({"doc_id": "Int64"})
-
-
-BLANKS = bytes(32 if x in b"\t\n\v\f\r" else x for x in range(256))
+    return K.id_frame(rows, columns)
 
 
 def remove_repeated_windows(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, with_text: bool = False) -> DataFrame:
