@@ -2,7 +2,7 @@
 
 Candidates are runs of 16 or more key characters that hold a digit, values of 8 or more characters that are assigned to a
 name like password or token, and private-key headers. A forest over length, character classes and transitions, dictionary
-coverage, the path (source) and the neighbouring words tells secrets from hashes, ids, numbers and names. It is trained on
+coverage, the path (source) and the neighbouring words (four before and one behind, whole) tells secrets from hashes, ids, numbers and names. It is trained on
 labelled findings that are made of hashes of row numbers, in the shapes in which such strings occur; training happens on
 the driver with TRAIN rows of features, and the trees become CASE expressions over higher-order functions. Texts are
 scanned where they are read: no exchange, no Python on executors.
@@ -50,19 +50,24 @@ def share(c: Column, pattern: str) -> Column:
     return F.regexp_count(c, F.lit(pattern)) / F.greatest(F.length(c), F.lit(1))
 
 
+def words_before(c: Column) -> Column:
+    """The last four words, whole."""
+    return F.substring_index(c, " ", -5)
+
+
 def describe(piece: Column, left: Column, right: Column, path: Column) -> Column:
     """Struct of the features of a candidate."""
     c = F.regexp_replace(piece, ASSIGNMENT, "")
     flag = lambda x: F.when(x, 1.0).otherwise(0.0)
     near = F.lower(left)
     values = {
-        "length": F.least(F.length(c), F.lit(200)).cast("double"),
+        "length": F.length(c).cast("double"),
         "digits": share(c, "[0-9]"),
         "uppers": share(c, "[A-Z]"),
         "lowers": share(c, "[a-z]"),
         "signs": share(c, "[^A-Za-z0-9]"),
         "transitions": share(c, "(?<=[a-z])(?=[^a-z])|(?<=[A-Z])(?=[^A-Z])|(?<=[0-9])(?=[^0-9])|(?<=[^A-Za-z0-9])(?=[A-Za-z0-9])"),
-        "distinct": F.size(F.array_distinct(F.split(F.substring(c, 1, 64), ""))) / F.greatest(F.least(F.length(c), F.lit(64)), F.lit(1)),
+        "distinct": F.size(F.array_distinct(F.split(c, ""))) / F.greatest(F.least(F.length(c), F.lit(64)), F.lit(1)),  # over 64 at most: there are about so many key characters
         "dictionary": 1 - F.length(F.regexp_replace(F.lower(c), DICTIONARY, "")) / F.greatest(F.length(c), F.lit(1)),
         "pairs": share(F.lower(c), f"(?={PAIRS})"),
         "hex": flag(c.rlike("^(0x)?([0-9a-f]+|[0-9A-F]+)$")),
@@ -156,11 +161,11 @@ def with_findings(docs: DataFrame, forest: list, text: str = "text", path: str =
 
     def views(i):
         """The candidate, and the segments it may hide a secret in: (piece, left, right)."""
-        piece, left, right = part(i), F.right(part(i - 1), F.lit(40)), F.left(part(i + 1), F.lit(8))
+        piece, left, right = part(i), words_before(part(i - 1)), F.substring_index(part(i + 1), " ", 2)
         view = lambda p, l: F.struct(p.alias("piece"), l.alias("left"), right.alias("right"))  # noqa: E731, E741
         inner = F.filter(F.split(piece, "[/=]+"), lambda s: (F.length(s) >= 16) & (F.length(s) < F.length(piece)) & s.rlike("[0-9]"))
         inner = F.when(piece.rlike("[/=]") & ~piece.rlike(ASSIGNMENT), inner).otherwise(F.array().cast("array<string>"))
-        return F.concat(F.array(view(piece, left)), F.transform(inner, lambda s: view(s, F.right(F.concat(left, F.left(piece, F.instr(piece, s) - 1)), F.lit(40)))))
+        return F.concat(F.array(view(piece, left)), F.transform(inner, lambda s: view(s, F.concat(left, F.left(piece, F.instr(piece, s) - 1)))))
 
     out = out.withColumn(DESCRIBED, F.transform(places, lambda i: F.transform(views(i), lambda v: describe(v["piece"], v["left"], v["right"], F.col(PATH)))))
     return out.withColumn(SCORES, F.transform(DESCRIBED, lambda seen: F.array_max(F.transform(seen, lambda f: forest_score(forest, f))))).drop(DESCRIBED, PATH)
