@@ -21,14 +21,19 @@ def quality_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicate_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest doc_id of each component stays, once if its row is repeated. Rows without doc_id stay."""
+    """The text of the smallest doc_id of each class stays (of two texts under it, that with the smaller digest).
+
+    A row that is repeated stays once: of rows with this doc_id and text, the first by a hash of all columns. Null texts are
+    copies of empty ones. Rows without doc_id stay. Columns may have any name but this stage's own, which start with two underscores.
+    """
     found = weighted_minhash.near_duplicates(docs, with_digest=True)
-    keep = found.filter("doc_id = class_id AND copy_of = doc_id").select(F.col("doc_id").alias("_keep"), F.lower(F.hex("digest")).alias("_digest")).distinct()
+    keep = found.filter("first AND copy_of = doc_id").select(F.col("doc_id").alias("__keep_id__"), F.lower(F.hex("digest")).alias("__keep_digest__")).distinct()
     digest = F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary"))
-    first = F.row_number().over(Window.partitionBy("doc_id", digest).orderBy(F.lit(1)))
-    named = docs.filter("doc_id IS NOT NULL").join(keep, (F.col("doc_id") == F.col("_keep")) & (digest == F.col("_digest")), "left_semi")
-    named = named.withColumn("_turn", first).filter("_turn = 1")
-    return named.select(*docs.columns).unionByName(docs.filter("doc_id IS NULL"))
+    same = F.xxhash64(*[F.to_json(F.struct(F.col(f"`{c}`"))) if "map<" in kind or kind == "variant" else F.col(f"`{c}`") for c, kind in docs.dtypes])
+    first = F.row_number().over(Window.partitionBy("doc_id", digest).orderBy(same))
+    named = docs.filter("doc_id IS NOT NULL").join(keep, (F.col("doc_id") == F.col("__keep_id__")) & (digest == F.col("__keep_digest__")), "left_semi")
+    named = named.withColumn("__turn__", first).filter("__turn__ = 1")
+    return named.select(*[F.col(f"`{c}`") for c in docs.columns]).unionByName(docs.filter("doc_id IS NULL"))
 
 
 def suffix_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
