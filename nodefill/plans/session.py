@@ -27,7 +27,7 @@ def cut(df: DataFrame) -> DataFrame:
     grows with each join of a loop.
     """
     path = f"{shared_folder(df.sparkSession)}/cut-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.option("parquet.block.size", 16 << 20).parquet(path)  # small row groups: a writer holds one in memory
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
