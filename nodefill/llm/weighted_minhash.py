@@ -158,7 +158,7 @@ def vectors(frames, k: int):
     for frame in frames:
         names = frame["class_id" if "class_id" in frame else "doc_id"]
         texts = [t.encode("utf-8", "surrogatepass") if isinstance(t, str) else b"" for t in frame["text"]]
-        yield pd.DataFrame([(i, h.tobytes() + tf.astype("<u4").tobytes()) for i, (h, tf) in zip(names, shingles(texts, k), strict=True)], columns=["class_id", "vector"])
+        yield pd.DataFrame([(int(i), h.tobytes() + tf.astype("<u4").tobytes()) for i, (h, tf) in zip(names, shingles(texts, k), strict=True)], columns=["class_id", "vector"])
 
 
 def jaccard(a: bytes, b: bytes, idf) -> float:
@@ -215,7 +215,7 @@ def remaining_pairs(own: DataFrame, vector: DataFrame, idf, similarity: float) -
     """(a, b): every pair of different components that shares a bucket, but those that can't reach the similarity."""
     open_ = own.groupBy("band", "h").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.max("hot").alias("is_hot")).filter("x <> y").select("band", "h", salts("is_hot"))
     left = own.withColumn("salt", salt_of("class_id", "hot")).join(open_, ["band", "h", "salt"]).groupBy("class_id", "component").agg(F.collect_set("h").alias("hs"))
-    schema = "class_id string, component string, hs array<long>, size double, short int, keys array<long>"
+    schema = "class_id long, component long, hs array<long>, size double, short int, keys array<long>"
     keyed = K.cut(left.join(vector, "class_id").mapInPandas(lambda f: prefixes(f, idf.value, similarity), schema))
     x = keyed.select(F.col("class_id").alias("a"), F.col("component").alias("ca"), F.col("hs").alias("ha"), F.col("size").alias("na"), F.explode(F.slice("keys", F.lit(1), F.col("short"))).alias("key"))
     y = keyed.select(F.col("class_id").alias("b"), F.col("component").alias("cb"), F.col("hs").alias("hb"), F.col("size").alias("nb"), F.explode("keys").alias("key"))
@@ -241,13 +241,25 @@ def components(edges: DataFrame) -> DataFrame:
         labels = new.select("v", F.col("n").alias("l"))
 
 
-def class_key(least, digest):
-    """A class's name as text that sorts by doc_id, then digest: 16 digits of the id above the least long, and the digest."""
-    return F.concat(F.lpad(F.hex(F.col(least).bitwiseXOR(F.lit(-(2**63)).cast("long"))), 16, "0"), F.hex(digest))
+def keyed_classes(local: DataFrame) -> tuple[DataFrame, bool]:
+    """A row for each text: digest, least (its least doc_id), bands, class_id; and whether any doc_id is the least one of several texts.
+
+    class_id is that doc_id; of several texts under it, all but that with the least digest get a hash of both instead.
+    """
+    classes = K.cut(local.groupBy("digest").agg(F.min("least").alias("least"), F.first("bands").alias("bands")))
+    shared = K.cut(classes.groupBy("least").agg(F.min("digest").alias("own"), F.count("*").alias("n")).filter("n > 1").select("least", "own"))
+    if not shared.limit(1).count():
+        return classes.withColumn("class_id", F.col("least")), False
+    key = F.when(F.col("own").isNull() | (F.col("own") == F.col("digest")), F.col("least")).otherwise(F.xxhash64("least", "digest"))
+    return classes.join(shared, "least", "left").withColumn("class_id", key).drop("own"), True
 
 
-def id_of(key):
-    return F.conv(F.substring(key, 1, 16), 16, -10).cast("long").bitwiseXOR(F.lit(-(2**63)).cast("long"))
+def named_classes(known: DataFrame, several: bool) -> DataFrame:
+    """known (digest, least, class_id, component) with `name`, the least doc_id of the component, and `first`, whether it is the class that gives it."""
+    if not several:
+        return known.select("*", F.col("component").alias("name"), (F.col("component") == F.col("class_id")).alias("first"))
+    least = known.groupBy("component").agg(F.min(F.struct("least", "digest")).alias("at"))
+    return known.join(least, "component").select(known["*"], F.col("at.least").alias("name"), ((F.col("at.least") == F.col("least")) & (F.col("at.digest") == F.col("digest"))).alias("first"))
 
 
 def hub_pairs(own: DataFrame, turn: int) -> DataFrame:
@@ -266,7 +278,7 @@ def verified_pairs(pairs: DataFrame, vector: DataFrame, idf, similarity: float)
     hub = wanted.join(vector.select(F.col("class_id").alias("hub"), F.col("vector").alias("vb")), "hub")
     other = pairs.withColumn("class_id", F.when(F.col("hub") == F.col("a"), F.col("b")).otherwise(F.col("a")))
     both = other.join(vector.select("class_id", F.col("vector").alias("va")), "class_id").join(hub, ["hub", "salt"]).select("a", "b", "va", "vb")
-    return both.mapInPandas(lambda f: verified(f, idf.value, similarity), "a string, b string, similarity double")
+    return both.mapInPandas(lambda f: verified(f, idf.value, similarity), "a long, b long, similarity double")
 
 
 def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, rounds: int = ROUNDS, with_digest: bool = False) -> DataFrame:
@@ -281,7 +293,7 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMIL
     found = source.mapInPandas(lambda f: signatures(f, k, idf.value, bands, rows), "digest binary, members array<long>, bands array<long>")
     local = K.cut(found.select("digest", F.array_min("members").alias("least"), "members", "bands"))
     # equal texts of different batches: their bands are equal too; the members stay spread over the batches' rows
-    classes = local.groupBy("digest").agg(F.min("least").alias("least"), F.first("bands").alias("bands")).select("digest", class_key("least", "digest").alias("class_id"), "bands")
+    classes, several = keyed_classes(local)
     keyed = classes.select("class_id", F.posexplode("bands").alias("band", "h"))
     shared = keyed.groupBy("band", "h").agg(F.count("*").alias("n")).filter("n > 1")
     total = classes.count()
@@ -291,9 +303,10 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMIL
     small = marked.filter("NOT hot").join(shared.select("band", "h"), ["band", "h"])
     buckets = K.cut(small.unionByName(marked.filter("hot")))
     wanted = buckets.select("class_id").distinct()
-    named = source.select("text", F.col("doc_id").cast("long").alias("least"), F.unhex(F.md5(F.coalesce("text", F.lit("")).cast("binary"))).alias("digest")).filter("least IS NOT NULL")
-    texts = named.select("text", class_key("least", "digest").alias("class_id")).join(wanted, "class_id", "left_semi")
-    vector = K.cut(texts.mapInPandas(lambda f: vectors(f, k), "class_id string, vector binary").dropDuplicates(["class_id"]))
+    asked = classes.join(wanted, "class_id", "left_semi").select("class_id", F.col("least").alias("its_id"), F.col("digest").alias("its_digest"))
+    digest = F.unhex(F.md5(F.coalesce(source["text"], F.lit("")).cast("binary")))
+    texts = source.join(asked, (source["doc_id"].cast("long") == F.col("its_id")) & (digest == F.col("its_digest"))).select("class_id", "text")
+    vector = K.cut(texts.mapInPandas(lambda f: vectors(f, k), "class_id long, vector binary").dropDuplicates(["class_id"]))
     links, label, tested = None, wanted.select("class_id", F.col("class_id").alias("component")), None
     for turn in range(rounds + 1):
         own = buckets.join(label, "class_id", "left").select("band", "h", "hot", "class_id", F.coalesce("component", "class_id").alias("component"))
@@ -307,13 +320,12 @@ def near_duplicates(docs: DataFrame, k: int = SHINGLE, similarity: float = SIMIL
             links = new if links is None else links.unionByName(new)
             label = components(links)
     if links is None:
-        links = spark.createDataFrame([], "a string, b string, similarity double")
+        links = spark.createDataFrame([], "a long, b long, similarity double")
     degree = links.select(F.explode(F.array("a", "b")).alias("class_id")).groupBy("class_id").agg(F.count("*").alias("n_links"))
-    known = classes.select("digest", "class_id").join(label, "class_id", "left").join(degree, "class_id", "left")
+    known = classes.select("digest", "least", "class_id").join(label, "class_id", "left").join(degree, "class_id", "left").withColumn("component", F.coalesce("component", "class_id"))
     # the members are listed last: till then a text has one row a batch, however many copies there are
-    known = local.select("digest", "members").join(known, "digest").withColumn("doc_id", F.explode("members"))
-    component = F.coalesce("component", "class_id")
-    columns = [F.col("doc_id"), id_of(component).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), id_of(F.col("class_id")).alias("copy_of"), F.col("digest"), (component == F.col("class_id")).alias("first")]
+    known = local.select("digest", "members").join(named_classes(known, several), "digest").withColumn("doc_id", F.explode("members"))
+    columns = [F.col("doc_id"), F.col("name").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.col("least").alias("copy_of"), F.col("digest"), F.col("first")]
     kinds = (("doc_id", "long"), ("class_id", "long"), ("n_links", "long"), ("copy_of", "long"), ("digest", "binary"), ("first", "boolean"))
     nameless = docs.filter(F.col("doc_id").cast("long").isNull()).select(*[F.lit(None).cast(t).alias(c) for c, t in kinds])
     out = known.select(*columns).unionByName(nameless)
