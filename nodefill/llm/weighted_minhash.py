@@ -3,7 +3,8 @@
 Shingles are five words, A-Z lower-cased; shorter texts are one shingle. A shingle's weight is its count in the
 document times 1 + DAMP * idf. idf is -log2 of the share of documents that hold it, over 20, cut to 0..1; document
 counts come from a count-min sketch over all documents (2 x 2^20 cells whatever the corpus), so frequent shingles are
-known as such. A shingle of every document weighs its count, the rarest 1 + DAMP times that.
+known as such. A shingle of every document weighs its count, the rarest 1 + DAMP times that. DAMP is small so that one edit
+among thousands of copies, whose common shingles are frequent and its own are not, doesn't outweigh what they share.
 
 Equal texts are one class before anything else. Each class gets BANDS x ROWS samples; two classes that share a band are
 candidates. In each band bucket, members are compared to one of them, the bucket's hub, and the rest of the links follow
@@ -35,7 +36,7 @@ from .kernels import U
 
 K.ship(__name__)
 
-SHINGLE, SIMILARITY, BANDS, ROWS, DAMP, ROUNDS = 5, 0.8, 12, 3, 1.0, 3
+SHINGLE, SIMILARITY, BANDS, ROWS, DAMP, ROUNDS = 5, 0.8, 12, 3, 0.1, 3
 HOT, SALTS = 256, 64
 CELL_BITS, SKETCH_BLOCK, POOL_BITS = 20, 14, 16
 CELL_MULT = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)
@@ -185,7 +186,8 @@ def prefixes(frames, idf, similarity: float):
 
     With all shingles in one order and w the sum of minima that the similarity asks for, two sets share one of those before
     less than w of either is left. A partner that weighs no less asks for 2 s / (1 + s) of the weight, any partner for s:
-    the first `short` shingles do for the former, all of them for the latter.
+    the first `short` shingles do for the former, all of them for the latter. `rest` is the weight from each of them on: from
+    their first common shingle on, both need the weight that the similarity asks them to share.
     """
     for frame in frames:
         rows = []
@@ -196,9 +198,9 @@ def prefixes(frames, idf, similarity: float):
             order = np.lexsort((h, -np.maximum(idf[0][cells(h, 0)], idf[1][cells(h, 1)]).astype(int)))
             left = w.sum() - np.cumsum(w[order])
             short, long = (int((left >= share * w.sum() * (1 - 1e-6)).sum()) + 1 for share in (2 * similarity / (1 + similarity), similarity))
-            rows.append((float(w.sum()), short, h[order[:long]].view(np.int64)))
-        size, short, keys = zip(*rows, strict=True) if rows else ((), (), ())
-        yield frame[["class_id", "component", "hs"]].assign(size=size, short=short, keys=keys)
+            rows.append((float(w.sum()), short, h[order[:long]].view(np.int64), (left + w[order])[:long]))
+        size, short, keys, rest = zip(*rows, strict=True) if rows else ((), (), (), ())
+        yield frame[["class_id", "component", "hs"]].assign(size=size, short=short, keys=keys, rest=rest)
 
 
 def salt_of(name: str, hot: str):
@@ -215,12 +217,13 @@ def remaining_pairs(own: DataFrame, vector: DataFrame, idf, similarity: float) -
     """(a, b): every pair of different components that shares a bucket, but those that can't reach the similarity."""
     open_ = own.groupBy("band", "h").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.max("hot").alias("is_hot")).filter("x <> y").select("band", "h", salts("is_hot"))
     left = own.withColumn("salt", salt_of("class_id", "hot")).join(open_, ["band", "h", "salt"]).groupBy("class_id", "component").agg(F.collect_set("h").alias("hs"))
-    schema = "class_id long, component long, hs array<long>, size double, short int, keys array<long>"
+    schema = "class_id long, component long, hs array<long>, size double, short int, keys array<long>, rest array<double>"
     keyed = K.cut(left.join(vector, "class_id").mapInPandas(lambda f: prefixes(f, idf.value, similarity), schema))
-    x = keyed.select(F.col("class_id").alias("a"), F.col("component").alias("ca"), F.col("hs").alias("ha"), F.col("size").alias("na"), F.explode(F.slice("keys", F.lit(1), F.col("short"))).alias("key"))
-    y = keyed.select(F.col("class_id").alias("b"), F.col("component").alias("cb"), F.col("hs").alias("hb"), F.col("size").alias("nb"), F.explode("keys").alias("key"))
+    x = keyed.select(F.col("class_id").alias("a"), F.col("component").alias("ca"), F.col("hs").alias("ha"), F.col("size").alias("na"), F.explode(F.slice(F.arrays_zip("keys", "rest"), F.lit(1), F.col("short"))).alias("ka")).withColumn("key", F.col("ka.keys"))
+    y = keyed.select(F.col("class_id").alias("b"), F.col("component").alias("cb"), F.col("hs").alias("hb"), F.col("size").alias("nb"), F.explode(F.arrays_zip("keys", "rest")).alias("kb")).withColumn("key", F.col("kb.keys"))
     fits = (F.col("ca") != F.col("cb")) & (F.struct("na", "a") < F.struct("nb", "b")) & (F.col("na") >= F.col("nb") * (similarity - 1e-6)) & F.arrays_overlap("ha", "hb")
-    return x.join(y, "key").filter(fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    common = F.least("ka.rest", "kb.rest") >= (F.col("na") + F.col("nb")) * (similarity / (1 + similarity) - 1e-6)
+    return x.join(y, "key").filter(fits & common).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
