@@ -22,7 +22,7 @@ def main() -> None:
     spark.sparkContext.setLogLevel("ERROR")
     from nodefill import catalogue
     from nodefill.operators import spark_fill as fills
-    from nodefill.plans import session, workloads
+    from nodefill.plans import workloads
 
     seconds, extra = {}, {}
 
@@ -36,15 +36,15 @@ def main() -> None:
     region, s = workloads.spacing_of_size("clover2d", 1000)
     fills.fill_sequential(workloads.first_seed(spark, region), region, s).count()
     parts = int(cpus) * 2
-    for n in (64_000, 256_000):
+    for n in (64_000, 256_000, 1_024_000):
         region, s = workloads.spacing_of_size("clover2d", n)
         seed = workloads.first_seed(spark, region)
         placed = timed(f"fill_sequential_{n}", lambda: fills.fill_sequential(seed, region, s).count())
-        seeds = session.cut(fills.bootstrap_iterative(seed, region, s, n, 16 * int(cpus))[0])
-        many = timed(f"fill_cells_{n}", lambda: fills.fill_cells(seeds, region, s, parts, "flag").count())
+        # all of the method counts: bootstrap, cells, borders, refill
+        many = timed(f"fill_cells_{n}", lambda: fills.fill_from_one_seed(seed, region, s, n, parts).count())
         a, b = seconds[f"fill_sequential_{n}"] / placed, seconds[f"fill_cells_{n}"] / many
         extra[f"us_per_point_sequential_{n}"], extra[f"us_per_point_cells_{n}"] = round(a * 1e6, 2), round(b * 1e6, 2)
-        extra[f"speedup_{n}"] = round(a / b, 2)
+        extra[f"speedup_{n}"], extra[f"efficiency_{n}"] = round(a / b, 2), round(a / b / int(cpus), 3)
     headline = ["inside_clover2d", "inside_clover3d", "inside_hare2d", "spacing_clover2d", "assign_cells", "border_distance", "knn_grid", "two_level_knn", "conflict_edges", "thin_part", "thin_grid_ties", "local_regularity", "spmv", "op_range_join_bbox", "op_asof_prev_event", "op_interval_events", "stream_windows_session", "op_window_frames"]
     for name in headline:
         timed(name, lambda q=catalogue.queries()[name]: q(spark, sf_dir).write.format("noop").mode("overwrite").save())

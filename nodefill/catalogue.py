@@ -77,7 +77,7 @@ def register_geometry() -> None:
         query(f"spacing_{name}", with_views(body, source))(spaced)
 
         def filled(spark, d, region=region):
-            return workloads.fill_invariants(spark, d, region, 800 if region.dim == 2 else 1500)
+            return workloads.fill_invariants(spark, d, region, 4000 if region.dim == 2 else 16000)
 
         query(f"fill_{name}", "SELECT CAST(0 AS BIGINT) AS outside, CAST(0 AS BIGINT) AS violations, CAST(0 AS BIGINT) AS unfilled, TRUE AS on_target")(filled)
 

@@ -28,7 +28,8 @@ class Buckets:
         self.step = np.r_[1, np.cumprod(self.shape[:-1])].astype(np.int64)
         self.head = np.full(int(np.prod(self.shape)), -1, np.int32)
         self.next = np.full(1024, -1, np.int32)
-        self.offsets = np.array([np.dot(o, self.step) for o in itertools.product((-1, 0, 1), repeat=len(self.low))])
+        near = sorted(itertools.product((-1, 0, 1), repeat=len(self.low)), key=lambda o: sum(map(abs, o)))
+        self.offsets = np.array([np.dot(o, self.step) for o in near])
 
     def cell(self, p: np.ndarray) -> np.ndarray:
         return np.clip(((p - self.low) / self.side).astype(np.int64), 1, self.shape - 2) @ self.step
@@ -47,17 +48,21 @@ class Buckets:
         last = np.r_[first[1:], True]
         self.head[c[last]] = i[last]
 
-    def pairs(self, p: np.ndarray):
-        """(query, point) for all points in the neighbouring cells, a link of every chain at a time."""
+    def pairs(self, p: np.ndarray, done: np.ndarray | None = None):
+        """(query, point) for all points in the neighbouring cells, nearest cells first, a link of every chain at a time. Queries that the caller marks in `done` are left out from then on."""
         cell = self.cell(p)
+        live = np.arange(len(p))
         for o in self.offsets:
-            at = self.head[cell + o]
-            q = np.flatnonzero(at >= 0)
+            if done is not None:
+                live = live[~done[live]]
+            at = self.head[cell[live] + o]
+            some = at >= 0
+            q, i = live[some], at[some]
             while len(q):
-                i = at[q]
                 yield q, i
-                at[q] = self.next[i]
-                q = q[at[q] >= 0]
+                i = self.next[i]
+                some = i >= 0 if done is None else (i >= 0) & ~done[q]
+                q, i = q[some], i[some]
 
 
 class Index:
@@ -80,10 +85,10 @@ class Index:
         for k, grid in enumerate(self.grids):
             own = np.flatnonzero(octave == k)
             if len(own):
-                hit = np.zeros(len(own), bool)
-                for q, i in grid.pairs(p[own]):
-                    d = p[own[q]] - points[i]
-                    hit[q] |= np.einsum("ij,ij->i", d, d) < limit[own[q]]
+                hit, at, within = np.zeros(len(own), bool), p[own], limit[own]
+                for q, i in grid.pairs(at, hit):
+                    d = at[q] - points[i]
+                    hit[q[np.einsum("ij,ij->i", d, d) < within[q]]] = True
                 out[own] = hit
         return out
 
@@ -116,7 +121,14 @@ def conflicts(p: np.ndarray, r: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def first_independent(n: int, blocker: np.ndarray, blocked: np.ndarray) -> np.ndarray:
-    """Greedy acceptance in order: True for those that no accepted earlier one blocks."""
+    """Greedy acceptance in order: True for those that no accepted earlier one blocks. The order is that of the edges; where it is that of the numbers, one walk does."""
+    if (blocker < blocked).all():
+        order = np.argsort(blocked, kind="stable")
+        kept = [True] * n
+        for a, b in zip(blocker[order].tolist(), blocked[order].tolist(), strict=True):
+            if kept[a]:  # settled, as all edges into a came before
+                kept[b] = False
+        return np.array(kept, bool)
     state = np.zeros(n, np.int8)  # 0 open, 1 accepted, -1 lost
     waits = np.zeros(n, bool)
     waits[blocked] = True
@@ -142,6 +154,7 @@ def fill(region, spacing, seeds: np.ndarray, seed_ids: np.ndarray, n_c: int = 12
     exclusion: whose spacing is the radius, the parent's or the candidate's own (then the parent is exempt), or
     `literal`: the candidate's own, the parent included. limit: stop after the generation that passes it.
     salt: makes ids of children differ from those that the same parents had in a fill at another spacing.
+    `open` in the result: points with a candidate inside the region that only `allowed` refused.
     """
     dim = region.dim
     u = G.banks(dim, n_c, rotate)
@@ -152,6 +165,7 @@ def fill(region, spacing, seeds: np.ndarray, seed_ids: np.ndarray, n_c: int = 12
     n0, n = len(around), len(around) + len(seeds)
     index.add(np.arange(n), points)
     h = spacing.at(points)
+    refused = [np.zeros(len(seeds), bool)]
     columns = {k: [v] for k, v in {"pid": np.asarray(seed_ids, np.int64), "parent": np.full(len(seeds), -1, np.int64), "cand": np.full(len(seeds), -1), "gen": np.zeros(len(seeds), int), "seed_id": np.asarray(seed_ids, np.int64), "r": h[n0:] if seed_radii is None else np.asarray(seed_radii, float)}.items()}
     counts = dict.fromkeys(("expanded", "candidates", "outside", "close", "sibling", "placed"), 0)
     front, ids, roots, gen = np.arange(n0, n), np.asarray(seed_ids, np.int64), np.asarray(seed_ids, np.int64), 0
@@ -165,8 +179,6 @@ def fill(region, spacing, seeds: np.ndarray, seed_ids: np.ndarray, n_c: int = 12
         counts["candidates"] += len(c)
         ok = ((c >= np.array(region.low)) & (c <= np.array(region.high))).all(1)
         ok[ok] = region.test(c[ok])
-        if allowed is not None:
-            ok[ok] = allowed(c[ok])
         counts["outside"] += int((~ok).sum())
         c, src, j = c[ok], src[ok], j[ok]
         r = h[front][src] if exclusion == "parent" else spacing.at(c)
@@ -182,6 +194,11 @@ def fill(region, spacing, seeds: np.ndarray, seed_ids: np.ndarray, n_c: int = 12
             close = index.blocked(c, r, points)
         counts["close"] += int(close.sum())
         c, src, j, r = c[~close], src[~close], j[~close], r[~close]
+        if allowed is not None and len(c):  # after the look-up, as that leaves few
+            ok = allowed(c)
+            refused[-1][src[~ok]] = True
+            counts["outside"] += int((~ok).sum())
+            c, src, j, r = c[ok], src[ok], j[ok], r[ok]
         keep = first_independent(len(c), *conflicts(c, r))
         counts["sibling"] += int((~keep).sum())
         c, src, j, r = c[keep], src[keep], j[keep], r[keep]
@@ -192,7 +209,8 @@ def fill(region, spacing, seeds: np.ndarray, seed_ids: np.ndarray, n_c: int = 12
         ids = G.child_id(parent, j + (salt << 20))
         for k, v in zip(("pid", "parent", "cand", "gen", "seed_id", "r"), (ids, parent, j, np.full(len(c), gen), roots, r), strict=True):
             columns[k].append(v)
+        refused.append(np.zeros(len(c), bool))
         front, n = new, n + len(c)
     counts["placed"] = n - n0
     out = {k: np.concatenate(v) for k, v in columns.items()}
-    return out | {"pos": points[n0:], "h": h[n0:], "counts": counts, "generations": gen}
+    return out | {"pos": points[n0:], "h": h[n0:], "open": np.concatenate(refused), "counts": counts, "generations": gen}

@@ -21,6 +21,9 @@ from .grid import neighbour_cells
 POINT = "pid long, seed_id long, parent long, cand int, gen int, level int, x double, y double, z double, h double, r double"
 
 
+PLACED = POINT + ", cell_id long, is_border boolean, is_open boolean"  # is_open: a candidate in the region was refused only for another cell's sake
+
+
 def square(a: str, b: str, dim: int = 3) -> Column:
     return sum((F.col(f"{a}.{c}") - F.col(f"{b}.{c}")) * (F.col(f"{a}.{c}") - F.col(f"{b}.{c}")) for c in "xyz"[:dim])
 
@@ -123,16 +126,24 @@ def bootstrap_iterative(seeds: DataFrame, region, spacing, n_target: int, n_seed
 
     reuse: each pass starts from the points of the one before instead of the first seeds.
     """
-    factor, log = start * amplification(n_target, n_seeds, region.dim), []
-    have = seeds.select("seed_id", "x", "y", "z")
-    while True:
-        out = cut(fill_sequential(have, region, spacing.scaled(factor), n_c).select(F.col("pid").alias("seed_id"), "x", "y", "z"))
-        n = out.count()
-        log.append((len(log), factor, n))
-        if n >= n_seeds:
-            return out, log
-        factor *= shrink
-        have = out if reuse and n else have
+    first = start * amplification(n_target, n_seeds, region.dim)
+
+    def passes(frame: pd.DataFrame) -> pd.DataFrame:
+        factor, log, have = first, [], frame[["seed_id", "x", "y", "z"]]
+        while True:
+            out = kernel_fill(have, region, spacing.scaled(factor), n_c=n_c)[["pid", "x", "y", "z"]].rename(columns={"pid": "seed_id"})
+            log.append((len(log), factor, len(out)))
+            if len(out) >= n_seeds or not len(have):
+                break
+            factor *= shrink
+            have = out if reuse and len(out) else have
+        return pd.concat([out, pd.DataFrame(log, columns=["step", "factor", "n"])])
+
+    # the passes are tiny and follow each other: one task does them all
+    one = seeds.select("seed_id", "x", "y", "z", F.lit(0).alias("g")).groupBy("g").applyInPandas(passes, "seed_id long, x double, y double, z double, step long, factor double, n long")
+    every = cut(one)
+    log = [(int(r["step"]), r["factor"], int(r["n"])) for r in every.filter("step IS NOT NULL").orderBy("step").collect()]
+    return every.filter("step IS NULL").select("seed_id", "x", "y", "z"), log
 
 
 def reduce_seeds(seeds: DataFrame, n: int, how: str = "hash") -> DataFrame:
@@ -226,14 +237,14 @@ def fill_cells(seeds: DataFrame, region, spacing, n_parts: int = 8, border: str
         k, gap = cells.two(out["pos"])
         found["cell_id"] = ids[k]
         found["is_border"] = gap < found["r"].to_numpy() if keep_off else False
+        found["is_open"] = out["open"]
         return found
 
     n = max(1, min(n_parts, len(p)))
     deal = np.arange(len(p)) * n // max(1, len(p))
     order = space_order(p)
     work = spark.createDataFrame(pd.DataFrame({"k": order, "part": deal}) if len(p) else pd.DataFrame({"k": pd.Series([], dtype="int64"), "part": pd.Series([], dtype="int64")}), "k long, part long")
-    placed = work.repartition(n, "part").groupBy("part").applyInPandas(one, POINT + ", cell_id long, is_border boolean")
-    return placed
+    return work.repartition(n, "part").groupBy("part").applyInPandas(one, PLACED)
 
 
 def space_order(p: np.ndarray) -> np.ndarray:
@@ -288,48 +299,76 @@ def resolve_borders(points: DataFrame, spacing, dim: int) -> DataFrame:
     """Border points without conflicts: losers go."""
     points = cut(points)
     edges = border_conflicts(points, spacing.most * 1.0001, dim)
-    losers = points.filter("is_border").select("pid").join(settle(points.filter("is_border").select("pid"), edges), "pid", "left_anti")
-    return points.join(losers, "pid", "left_anti")
+    losers = cut(points.join(points.filter("is_border").select("pid").join(settle(points.filter("is_border").select("pid"), edges), "pid", "left_anti"), "pid", "left_semi"))
+    left = points.join(losers.select("pid"), "pid", "left_anti")
+    # a point within two radii of one that went may place a candidate now
+    side = 2.0002 * spacing.most
+    near = neighbour_cells(losers.select("x", "y", "z"), side, dim).select("cell", F.lit(True).alias("freed")).distinct()
+    here = left.withColumn("cell", F.array(*[F.floor(F.col(k) / side) for k in "xyz"[:dim]])).join(near, "cell", "left")
+    return here.withColumn("is_open", F.col("is_open") | F.coalesce("freed", F.lit(False))).select(*points.columns)
+
+
+ONE_TASK_POINTS, BLOCK_POINTS = 2_000_000, 200_000
+
+
+def grow_from(frame: pd.DataFrame, region, spacing, n_c: int, allowed=None) -> pd.DataFrame:
+    """New points from the open ones of a frame; all of the frame's points block."""
+    f = frame.iloc[np.argsort(frame["pid"].to_numpy(), kind="stable")]
+    at, opened, level = f[list("xyz"[: region.dim])].to_numpy(float), f["is_open"].to_numpy(bool), int(f["level"].max())
+    sources = f[opened]
+    out = front.fill(region, spacing, at[opened], sources["pid"].to_numpy(np.int64), n_c=n_c, allowed=allowed, around=at[~opened], salt=2 + level)
+    found = columns_of(out, level)
+    found["is_border"], found["is_open"] = True, out["open"]
+    new = found[found["gen"] > 0].copy()
+    new["cell_id"] = sources["cell_id"].to_numpy()[np.searchsorted(sources["pid"].to_numpy(), new["seed_id"].to_numpy())] if len(new) else new["pid"]
+    new["seed_id"] = new["cell_id"]
+    return new[[c.split()[0] for c in PLACED.split(", ")]]
 
 
 def refill(points: DataFrame, region, spacing, n_parts: int = 8, n_c: int = 12, until_full: bool = True) -> DataFrame:
-    """Grows from all points into what gaps are left, by blocks of space in 2^dim colours; again until a sweep adds none.
+    """Grows from the open points (all, without a column is_open) into what gaps are left. Points stay; new ones are added.
 
-    Blocks are at least four radii wide; blocks of one colour are a block apart, so they can't disturb each other. Each
-    takes the points in and around it as blockers and sources. Points stay; only new ones are added.
+    Up to ONE_TASK_POINTS points: one task, as only open points are expanded. More: blocks of space of about BLOCK_POINTS
+    points, at least four radii wide, in 2^dim colours; blocks of one colour are a block apart, so they can't disturb each
+    other. A block takes part only if an open point reaches it. Each sweep's sources are the open ones of the sweep before
+    it and its own; sweeps end when there are none. What was placed before is never written again.
     """
-    dim, spark = region.dim, points.sparkSession
+    dim = region.dim
+    base = points if "is_open" in points.columns else points.withColumn("is_open", F.lit(True))
+    base = cut(base.select(*[c.split()[0] for c in PLACED.split(", ")]))
+    total = base.count()
+    if total <= ONE_TASK_POINTS:
+        near = base.filter("is_open").limit(1).count()
+        new = base.withColumn("g", F.lit(0)).groupBy("g").applyInPandas(lambda f: grow_from(f, region, spacing, n_c), PLACED)
+        return base.unionByName(cut(new)) if near else base
     extent = max(b - a for a, b in zip(region.low, region.high, strict=True))
-    side = max(4.001 * spacing.most, extent / max(2, round(n_parts ** (1 / dim)) * 2))
-    added, colour = -1, 0
+    side = max(4.001 * spacing.most, extent / max(2, math.ceil((total / BLOCK_POINTS) ** (1 / dim))))
+    keys = [f"_{i}" for i in range(dim)]
+    pieces, sweep, reach = [(base, -1)], 0, 2.001 * spacing.most
     while True:
-        p = points = cut(points)
-        if colour == 2**dim:
-            if not until_full or added == (added := p.count()) or added < 0:
-                return p
-            colour = 0
-        reach = 2.001 * spacing.most
-        lo, hi = ([F.floor((F.col(k) + s * reach - region.low[i]) / side) for i, k in enumerate("xyz"[:dim])] for s in (-1, 1))
-        near = p.select("*", *[F.sequence(a, b).alias(f"_{i}") for i, (a, b) in enumerate(zip(lo, hi, strict=True))])
-        for i in range(dim):
-            near = near.withColumn(f"_{i}", F.explode(f"_{i}")).filter(F.pmod(F.col(f"_{i}"), F.lit(2)) == (colour >> i) % 2)
-
-        def grow(frame: pd.DataFrame) -> pd.DataFrame:
-            own = frame[list("xyz"[:dim])].to_numpy(float)
-            low = np.array([frame[f"_{i}"].iloc[0] * side + region.low[i] for i in range(dim)])
-            inside = lambda c: ((c >= low) & (c < low + side)).all(1)
-            order = np.argsort(frame["pid"].to_numpy(), kind="stable")
-            f = frame.iloc[order]
-            out = columns_of(front.fill(region, spacing, own[order], f["pid"].to_numpy(np.int64), n_c=n_c, allowed=inside, salt=2 + int(f["level"].max())))
-            new = out[out["gen"] > 0].copy()
-            own_ids, where = np.unique(f["pid"].to_numpy(), return_index=True)
-            new["cell_id"] = f["cell_id"].to_numpy()[where[np.searchsorted(own_ids, new["seed_id"].to_numpy())]]
-            new["seed_id"], new["is_border"], new["level"] = new["cell_id"], True, int(f["level"].max())
-            return new
-
-        new = near.groupBy(*[f"_{i}" for i in range(dim)]).applyInPandas(grow, POINT + ", cell_id long, is_border boolean")
-        points = p.unionByName(new.select(*p.columns))
-        colour += 1
+        for colour in range(2**dim):
+            p = None
+            for piece, born in pieces:
+                own = piece if born >= sweep - 1 else piece.withColumn("is_open", F.lit(False))
+                p = own if p is None else p.unionByName(own)
+            lo, hi = ([F.floor((F.col(k) + s * reach - region.low[i]) / side) for i, k in enumerate("xyz"[:dim])] for s in (-1, 1))
+            near = p.select("*", *[F.sequence(a, b).alias(k) for k, a, b in zip(keys, lo, hi, strict=True)])
+            for i, k in enumerate(keys):
+                near = near.withColumn(k, F.explode(k)).filter(F.pmod(F.col(k), F.lit(2)) == (colour >> i) % 2)
+            near = near.join(near.filter("is_open").select(*keys).distinct(), keys, "left_semi")
+
+            def grow(frame: pd.DataFrame) -> pd.DataFrame:
+                low = np.array([frame[k].iloc[0] * side + region.low[i] for i, k in enumerate(keys)])
+                return grow_from(frame, region, spacing, n_c, lambda c: ((c >= low) & (c < low + side)).all(1))
+
+            pieces.append((cut(near.groupBy(*keys).applyInPandas(grow, PLACED)), sweep))
+        last = [piece for piece, born in pieces if born == sweep]
+        if not until_full or not any(piece.filter("is_open").limit(1).count() for piece in last):
+            out = pieces[0][0]
+            for piece, _ in pieces[1:]:
+                out = out.unionByName(piece)
+            return out
+        sweep += 1
 
 
 def fill_parallel(seeds: DataFrame, region, spacing, n_parts: int = 8, border: str = "flag", n_c: int = 12) -> DataFrame:
@@ -340,6 +379,12 @@ def fill_parallel(seeds: DataFrame, region, spacing, n_parts: int = 8, border: s
     return refill(resolve_borders(points, spacing, region.dim) if border == "flag" else points, region, spacing, n_parts, n_c)
 
 
+def fill_from_one_seed(seed: DataFrame, region, spacing, n_target: int, n_parts: int, n_c: int = 12) -> DataFrame:
+    """The whole parallel method: bootstrapped seeds, cells side by side, gaps at borders filled."""
+    seeds, _ = bootstrap_iterative(seed, region, spacing, n_target, 8 * n_parts, n_c)
+    return fill_parallel(seeds, region, spacing, n_parts, "colour", n_c)
+
+
 def fill_multilevel(seeds: DataFrame, region, spacing, levels: int, n_parts: int = 8, n_c: int = 12) -> DataFrame:
     """Spacing inflated 2^levels, halved level by level; every level's points are the next one's seeds and stay.
 
@@ -352,10 +397,10 @@ def fill_multilevel(seeds: DataFrame, region, spacing, levels: int, n_parts: int
     for k in range(levels, -1, -1):
         s = spacing.scaled(2.0**k)
         if out is None:
-            new = fill_sequential(have, region, s, n_c).withColumn("cell_id", F.col("seed_id")).withColumn("is_border", F.lit(True))
+            new = fill_sequential(have, region, s, n_c).withColumn("cell_id", F.col("seed_id")).withColumn("is_border", F.lit(True)).withColumn("is_open", F.lit(True))
             out = cut(new.withColumn("level", F.lit(k)))
         else:
-            grown = refill(out.withColumn("h", s.column()).withColumn("level", F.lit(k)), region, s, n_parts, n_c, until_full=k == 0)
+            grown = refill(out.withColumn("is_open", F.lit(True)).withColumn("h", s.column()).withColumn("level", F.lit(k)), region, s, n_parts, n_c, until_full=k == 0)
             old = out.select("pid", F.col("level").alias("old"), F.col("gen").alias("old_gen"))
             out = cut(grown.join(old, "pid", "left").withColumn("gen", F.when(F.col("old").isNull(), F.col("gen")).otherwise(F.col("old_gen"))).withColumn("level", F.coalesce("old", "level")).drop("old", "old_gen"))
     return out.withColumn("h", spacing.column())

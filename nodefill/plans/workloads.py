@@ -49,10 +49,20 @@ def spacing_for_target(spark, region, shape, targets, step: float, packing: floa
     return total.select(F.explode(F.array(*[F.lit(n).cast("long") for n in targets])).alias("n"), "s").select("n", F.round(F.pow(packing * F.col("s") / F.col("n"), 1 / region.dim), 5).alias("h"))
 
 
-def fill_invariants(spark, d: str, region, n_target: int) -> DataFrame:
+def supplier_seed(spark, d: str, region) -> DataFrame:
+    """One seed inside the region: the least supplier whose place, spread over the region's box, lies in it; else the region's own."""
+    box = [(F.lit(float(lo)) + (F.col(c) + 9.0) / 18.0 * F.lit(float(hi - lo))).alias(c) if i < region.dim else F.lit(0.0).alias(c) for i, (c, lo, hi) in enumerate(zip("xyz", [*region.low, 0][:3], [*region.high, 0][:3], strict=True))]
+    at = view(spark, d, "pv_supp2").withColumn("z", (F.col("x") + F.col("y")) / 2).select("seed_id", *box).filter(region.contains()).orderBy("seed_id").limit(1)
+    own = first_seed(spark, region).withColumn("seed_id", F.lit(-1).cast("long"))
+    return at.unionByName(own).orderBy(F.desc("seed_id")).limit(1)
+
+
+def fill_invariants(spark, d: str, region, n_target: int, n_seeds: int = 32, parts: int = 16) -> DataFrame:
+    """A fill side by side from bootstrapped seeds: what must be zero, and whether the count is near the one asked for."""
     region, s = spacing_of_size(region.name, n_target)
-    p = cut(fills.fill_sequential(first_seed(spark, region), region, s))
-    return measures.invariants(p, region, s).join(F.broadcast(p.agg((F.count("*").between(n_target // 2, n_target * 2)).alias("on_target"))))
+    seeds, _ = fills.bootstrap_iterative(supplier_seed(spark, d, region), region, s, n_target, n_seeds)
+    p = cut(fills.fill_parallel(seeds, region, s, parts, "colour"))
+    return measures.invariants(p, region, s).join(F.broadcast(p.agg((F.count("*").between(0.7 * n_target, 1.4 * n_target)).alias("on_target"))))
 
 
 def bootstrap(spark, d: str, n_target: int, n_seeds: int, reuse: bool = False):
@@ -190,14 +200,13 @@ def timed(method: str, size: int, workers: int, run) -> tuple:
 
 
 def scaling(spark, name: str, sizes, parts: int) -> DataFrame:
-    """Runs (method, size, workers, seconds, placed) of the sequential, the level-by-level and the cell-parallel fill."""
+    """Runs (method, size, workers, seconds, placed) of the sequential and the cell-parallel fill; the latter with bootstrap, borders and refill."""
     rows = []
     for n in sizes:
         region, s = spacing_of_size(name, n)
         seed = first_seed(spark, region)
         rows.append(timed("sequential", n, 1, lambda: fills.fill_sequential(seed, region, s).count()))
-        seeds = cut(fills.bootstrap_iterative(seed, region, s, n, 4 * parts)[0])
-        rows.append(timed("cells", n, parts, lambda: fills.fill_cells(seeds, region, s, parts, "none").count()))
+        rows.append(timed("cells", n, parts, lambda: fills.fill_from_one_seed(seed, region, s, n, parts).count()))
     return spark.createDataFrame(rows, "method string, size long, workers long, seconds double, placed long")
 
 
