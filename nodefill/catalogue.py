@@ -617,7 +617,7 @@ def stencils_n15(spark, d):
 
 
 @query("stencils_sector", with_views(f"""SELECT pid, CAST(sector AS INTEGER) AS sector, nbr FROM (SELECT pid, sector, nbr, row_number() OVER (PARTITION BY pid, sector ORDER BY dist, nbr) AS f FROM (
-SELECT k.pid, k.nbr, k.dist, least(floor((CASE WHEN t < 0 THEN t + 2 * pi() ELSE t END) / (2 * pi() / 6)), 5) AS sector FROM (SELECT k.*, atan2(b.y - a.y, b.x - a.x) AS t FROM ({knn_sql('pv_cust2', 24)}) k JOIN pv_cust2 a ON k.pid = a.pid JOIN pv_cust2 b ON k.nbr = b.pid) k) u) v WHERE f = 1""", "pv_cust2"))
+SELECT k.pid, k.nbr, k.dist, least(floor((CASE WHEN t < 0 THEN t + 2 * pi() ELSE t END) / (2 * pi() / 6)), 5) AS sector FROM (SELECT k.*, atan2(b.y - a.y, b.x - a.x) AS t FROM ({knn_sql('pv_cust2', 1_000_000_000)}) k JOIN pv_cust2 a ON k.pid = a.pid JOIN pv_cust2 b ON k.nbr = b.pid) k) u) v WHERE f = 1""", "pv_cust2"))
 def stencils_sector(spark, d):
     return pde.sector_stencils(view(spark, d, "pv_cust2"), 6, 2, 0.5).select("pid", "sector", "nbr")
 
@@ -625,8 +625,8 @@ def stencils_sector(spark, d):
 WALL = "(x1, y1, x2, y2)"
 
 
-@query("stencils_visible", with_views(f"""SELECT k.pid, k.rank, k.nbr FROM ({knn_sql('pv_cust2', 6)}) k JOIN pv_cust2 a ON k.pid = a.pid JOIN pv_cust2 b ON k.nbr = b.pid
-WHERE NOT (((b.x - a.x) * (CAST(-9 AS DOUBLE) - a.y) - (b.y - a.y) * (CAST(2.5 AS DOUBLE) - a.x)) * ((b.x - a.x) * (CAST(9 AS DOUBLE) - a.y) - (b.y - a.y) * (CAST(2.5 AS DOUBLE) - a.x)) < 0 AND (a.x - CAST(2.5 AS DOUBLE)) * (b.x - CAST(2.5 AS DOUBLE)) < 0)""", "pv_cust2"))
+@query("stencils_visible", with_views(f"""SELECT pid, CAST(rank AS INTEGER) AS rank, nbr FROM (SELECT k.pid, k.nbr, row_number() OVER (PARTITION BY k.pid ORDER BY k.dist, k.nbr) AS rank FROM ({knn_sql('pv_cust2', 1_000_000_000)}) k JOIN pv_cust2 a ON k.pid = a.pid JOIN pv_cust2 b ON k.nbr = b.pid
+WHERE NOT (((b.x - a.x) * (CAST(-9 AS DOUBLE) - a.y) - (b.y - a.y) * (CAST(2.5 AS DOUBLE) - a.x)) * ((b.x - a.x) * (CAST(9 AS DOUBLE) - a.y) - (b.y - a.y) * (CAST(2.5 AS DOUBLE) - a.x)) < 0 AND (a.x - CAST(2.5 AS DOUBLE)) * (b.x - CAST(2.5 AS DOUBLE)) < 0)) v WHERE rank <= 6""", "pv_cust2"))
 def stencils_visible(spark, d):
     walls = spark.createDataFrame([(2.5, -9.0, 2.5, 9.0)], "x1 double, y1 double, x2 double, y2 double")
     return pde.visible_stencils(view(spark, d, "pv_cust2"), walls, 6, 0.5).select("pid", "rank", "nbr")

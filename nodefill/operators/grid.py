@@ -144,13 +144,18 @@ def indexed_knn(points: DataFrame, queries: DataFrame, seeds: DataFrame, k: int,
 
     own = ranked(q.withColumnRenamed("cell_id", "cell").select("pid", "cell", *AXES[:dim]).join(p, "cell"))
     kth = own.groupBy("pid").agg(F.max(F.when(F.col("rank") == k, F.col("d2"))).alias("kth"))
-    s = seeds.select(F.col("seed_id").alias("cell"), *[F.col(c).alias(f"s{c}") for c in AXES[:dim]])
-    home = seeds.select(F.col("seed_id").alias("cell_id"), *[F.col(c).alias(f"h{c}") for c in AXES[:dim]])
-    dist2 = lambda a, b: sum(((F.col(f"{a}{c}") - F.col(f"{b}{c}")) * (F.col(f"{a}{c}") - F.col(f"{b}{c}")) for c in AXES[:dim]), F.lit(0.0))
-    cells = q.join(F.broadcast(home), "cell_id").join(kth, "pid", "left").join(F.broadcast(s), F.col("cell") != F.col("cell_id"))
-    plain = lambda b: sum(((F.col(c) - F.col(f"{b}{c}")) * (F.col(c) - F.col(f"{b}{c}")) for c in AXES[:dim]), F.lit(0.0))
-    apart = 2 * F.sqrt(dist2("s", "h"))
-    gap = F.when(apart > 0, (plain("s") - plain("h")) / F.nullif(apart, F.lit(0.0))).otherwise(0.0)
-    more = cells.filter(F.col("kth").isNull() | (gap * gap <= F.col("kth") * (1 + 1e-9))).select("pid", "cell", *AXES[:dim]).join(p, "cell")
-    every = more.unionByName(q.withColumnRenamed("cell_id", "cell").select("pid", "cell", *AXES[:dim]).join(p, "cell"))
-    return ranked(every).select("pid", "rank", "nbr", F.sqrt("d2").alias("dist"))
+    # the other cells within reach: a filter over the shared seeds beside each home, so that only those become rows
+    top = seeds.agg(F.array_sort(F.collect_list(F.struct("seed_id", *AXES[:dim]))).alias("seeds"))
+    home = seeds.select(F.col("seed_id").alias("cell_id"), F.struct(*AXES[:dim]).alias("home")).join(F.broadcast(top))
+    far = lambda a, b: sum(((a(c) - b(c)) * (a(c) - b(c)) for c in AXES[:dim]), F.lit(0.0))
+
+    def possible(s):
+        apart = 2 * F.sqrt(far(lambda c: s[c], lambda c: F.col("home")[c]))
+        gap = F.when(apart > 0, (far(F.col, lambda c: s[c]) - far(F.col, lambda c: F.col("home")[c])) / F.nullif(apart, F.lit(0.0))).otherwise(0.0)
+        return (s["seed_id"] != F.col("cell_id")) & (F.col("kth").isNull() | (gap * gap <= F.col("kth") * (1 + 1e-9)))
+
+    cells = q.join(kth, "pid", "left").join(F.broadcast(home), "cell_id").select("pid", *AXES[:dim], F.explode(F.transform(F.filter("seeds", possible), lambda s: s["seed_id"])).alias("cell"))
+    more = cells.join(p, "cell").select("pid", "nbr", *AXES[:dim], *[f"b_{c}" for c in AXES[:dim]])
+    # the own cell has been ranked already: only its best go on
+    both = ranked(more).unionByName(own.select("pid", "rank", "nbr", "d2"))
+    return both.withColumn("rank", rank).filter(F.col("rank") <= k).select("pid", "rank", "nbr", F.sqrt("d2").alias("dist"))

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.session import cut
-from .grid import AXES, knn
+from .grid import AXES, knn, radius_join
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
@@ -27,21 +27,42 @@ def stencils(points: DataFrame, n: int, dim: int, side: float) -> DataFrame:
     return near.groupBy("pid").agg(F.sort_array(F.collect_list(F.struct("rank", "nbr", "dist"))).alias("nbrs"))
 
 
-def sector_stencils(points: DataFrame, sectors: int, dim: int, side: float, k: int = 24) -> DataFrame:
-    """The nearest point in each of equal sectors of the plane: few, well-spread neighbours."""
-    near = knn(points, points, k, dim, side, same=True).join(points.select(F.col("pid").alias("nbr"), F.col("x").alias("nx"), F.col("y").alias("ny")), "nbr").join(points.select("pid", "x", "y"), "pid")
+def widening(points: DataFrame, side: float, choose, enough: int) -> DataFrame:
+    """choose(pairs (pid, nbr, x, y, nx, ny, dist)) for each point over growing rings, until it has `enough` rows or the ring covers the cloud."""
+    low = points.agg(*[f(c).alias(f"{n}{c}") for c in "xy" for n, f in (("l", F.min), ("h", F.max))]).first()
+    if low[0] is None:
+        return choose(points.select("pid", F.col("pid").alias("nbr"), "x", "y", F.col("x").alias("nx"), F.col("y").alias("ny"), F.lit(0.0).alias("dist")).limit(0))
+    reach, done, live = math.hypot(low["hx"] - low["lx"], low["hy"] - low["ly"]) * 1.001 + 1e-9, None, points
+    to = points.select(F.col("pid").alias("nbr"), F.col("x").alias("nx"), F.col("y").alias("ny"))
+    while True:
+        last = side >= reach
+        pairs = radius_join(live, points, min(side, reach), 2).filter("pid <> nbr").withColumn("dist", F.sqrt("d2")).join(to, "nbr").join(live.select("pid", "x", "y"), "pid")
+        found = cut(choose(pairs))
+        settled = found if last else found.join(found.groupBy("pid").agg(F.count("*").alias("n")).filter(F.col("n") >= enough).select("pid"), "pid", "left_semi")
+        done = settled if done is None else done.unionByName(settled)
+        if last:
+            return done
+        live = cut(live.join(settled.select("pid").distinct(), "pid", "left_anti"))
+        if not live.limit(1).count():
+            return done
+        side *= 2
+
+
+def sector_stencils(points: DataFrame, sectors: int, dim: int, side: float) -> DataFrame:
+    """The nearest point in each of equal sectors of the plane, however far: few, well-spread neighbours."""
     turn = F.pmod(F.atan2(F.col("ny") - F.col("y"), F.col("nx") - F.col("x")) + 2 * math.pi, F.lit(2 * math.pi))
-    at = near.withColumn("sector", F.least(F.floor(turn / (2 * math.pi / sectors)), F.lit(sectors - 1)).cast("int"))
-    first = F.row_number().over(Window.partitionBy("pid", "sector").orderBy("dist", "nbr"))
-    return at.withColumn("k", first).filter("k = 1").select("pid", "sector", "nbr", "dist")
+    sector = F.least(F.floor(turn / (2 * math.pi / sectors)), F.lit(sectors - 1)).cast("int")
+    choose = lambda pairs: pairs.groupBy("pid", sector.alias("sector")).agg(F.min(F.struct("dist", "nbr")).alias("m")).select("pid", "sector", "m.nbr", "m.dist")
+    return widening(points, side, choose, sectors)
 
 
 def visible_stencils(points: DataFrame, walls: DataFrame, k: int, side: float) -> DataFrame:
-    """The k nearest whose straight line crosses no wall (x1, y1, x2, y2); walls are few and broadcast."""
-    near = knn(points, points, k, 2, side, same=True).join(points.select(F.col("pid").alias("nbr"), F.col("x").alias("nx"), F.col("y").alias("ny")), "nbr").join(points.select("pid", "x", "y"), "pid")
+    """The k nearest among those whose straight line crosses no wall (x1, y1, x2, y2); walls are few and broadcast."""
     turn = lambda ax, ay, bx, by, cx, cy: (F.col(bx) - F.col(ax)) * (F.col(cy) - F.col(ay)) - (F.col(by) - F.col(ay)) * (F.col(cx) - F.col(ax))
     crosses = (turn("x", "y", "nx", "ny", "x1", "y1") * turn("x", "y", "nx", "ny", "x2", "y2") < 0) & (turn("x1", "y1", "x2", "y2", "x", "y") * turn("x1", "y1", "x2", "y2", "nx", "ny") < 0)
-    return near.join(F.broadcast(walls), crosses, "left_anti").select("pid", "rank", "nbr", "dist")
+    rank = F.row_number().over(Window.partitionBy("pid").orderBy("dist", "nbr"))
+    choose = lambda pairs: pairs.join(F.broadcast(walls), crosses, "left_anti").withColumn("rank", rank).filter(F.col("rank") <= k).select("pid", "rank", "nbr", "dist")
+    return widening(points, side, choose, k)
 
 
 def exponents(dim: int, degree: int) -> np.ndarray:
@@ -140,7 +161,9 @@ def dense(coo: DataFrame, rhs: DataFrame, limit: int = 5000) -> tuple[np.ndarray
     if len(b) > limit:
         raise ValueError("too many unknowns for a dense solve")
     ids = b["i"].to_numpy()
-    rows = coo.toPandas()
+    rows = coo.groupBy("i", "j").agg(F.sum("w").alias("w")).limit(limit * 100 + 1).toPandas()
+    if len(rows) > limit * 100:
+        raise ValueError("too many entries for a dense solve")
     a = np.zeros((len(ids), len(ids)))
     np.add.at(a, (np.searchsorted(ids, rows["i"]), np.searchsorted(ids, rows["j"])), rows["w"])
     return ids, a, b["v"].to_numpy()
