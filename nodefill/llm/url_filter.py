@@ -73,7 +73,7 @@ class Unigrams:
     """Log-probabilities from a count-min sketch of word counts; a word that was never seen has none."""
 
     def __init__(self, counts: np.ndarray, seeds: dict[str, int]):
-        self.counts, self.seeds = counts, seeds
+        self.counts, self.seeds = counts.astype(np.float32), seeds  # 12 MB are broadcast
         self.total = int(counts[0].sum()) + sum(seeds.values())
         self.known: dict[str, float | None] = {}
         self.unknown = -math.log(max(2, self.total))
@@ -83,7 +83,7 @@ class Unigrams:
             if len(self.known) > 1_000_000:
                 self.known.clear()
             h = xxhash.xxh64_intdigest(word.encode(), seed=42)
-            n = min(int(self.counts[d, h >> CELL_BITS * d & (1 << CELL_BITS) - 1]) for d in range(DEPTH)) + self.seeds.get(word, 0)
+            n = min(float(self.counts[d, h >> CELL_BITS * d & (1 << CELL_BITS) - 1]) for d in range(DEPTH)) + self.seeds.get(word, 0)
             self.known[word] = math.log(n / self.total) if n else None
         return self.known[word]
 
