@@ -1,6 +1,7 @@
 """Registered queries of the engine's own methods, measures, workloads and operators, with SQL where SQL can say it.
 
-Every query runs over whole tables. A query whose result is a set of invariants returns what must be zero (or true).
+Queries over tables read them whole. Fills and experiments generate their points, the fills of regions from a supplier's place.
+A query whose result is a set of invariants returns what must be zero (or true).
 """
 
 from __future__ import annotations
