@@ -30,6 +30,7 @@ K.ship(__name__)
 
 TIERS, END, POOL_IDS, GROUP, WAIT = (256, 512, 1024, 2048), 1, 1 << 21, 8, 64
 LONG_SPACE = re.compile("[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]{4096,}")  # fixed: Unicode white space, as the pattern's \s has it
+ADDED = {"<|endoftext|>": 50256}  # fixed value of the vocabulary
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, step_group long, attention_cost long"
 
 
@@ -53,12 +54,16 @@ def byte_pair_encoder(path: str):
     return K.cached(("bpe", path), build)
 
 
-def encode_text(encoder, text: str) -> np.ndarray:
-    """Ids of a text of any shape.
+def encode_text(encoder, text: str, added: dict[str, int] | None = None) -> np.ndarray:
+    """Ids of a text of any shape; an added token becomes its id wherever it stands, and what lies between is encoded by itself.
 
     The pattern looks ahead over white space, which the regex engine can't do over very long runs. A run is one piece but
     for its last character, which belongs to what follows, so a long run is cut out and merged by itself.
     """
+    if added:
+        pieces = re.split("(" + "|".join(map(re.escape, sorted(added, key=len, reverse=True))) + ")", text)
+        if len(pieces) > 1:
+            return np.concatenate([np.array([added[p]], np.uint32) if k % 2 else encode_text(encoder, p) for k, p in enumerate(pieces)])
     encode, parts, at = encoder.encode_to_numpy, [], 0
     for run in LONG_SPACE.finditer(text):
         end = run.end() if run.end() == len(text) else run.end() - 1
@@ -138,12 +143,12 @@ class Packer:
         return K.id_frame(rows, [x.split()[0] for x in SCHEMA.split(", ")])
 
 
-def pack_partition(frames, path: str, tiers, end: int):
+def pack_partition(frames, path: str, tiers, end: int, added=None):
     encoder = byte_pair_encoder(path)
     packer, number = Packer(tiers, TaskContext.get().partitionId() << 36), 0
     for frame in frames:
         for doc, text in zip(frame["doc_id"], frame["text"], strict=True):
-            ids = encode_text(encoder, text) if isinstance(text, str) and text else np.zeros(0, np.uint32)
+            ids = encode_text(encoder, text, added) if isinstance(text, str) and text else np.zeros(0, np.uint32)
             packer.add(None if doc is None or doc != doc else int(doc), np.r_[ids, np.uint32(end)].astype(np.uint32), number)
             number += 1
             if packer.held > POOL_IDS:
@@ -155,12 +160,16 @@ def pack_partition(frames, path: str, tiers, end: int):
     yield packer.flush()
 
 
-def pack_documents(docs: DataFrame, vocabulary: str | None = None, tiers=TIERS, end: int = END) -> DataFrame:
-    """A row for each piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, tier, step_group, attention_cost."""
+def pack_documents(docs: DataFrame, vocabulary: str | None = None, tiers=TIERS, end: int = END, added: dict[str, int] | None = None) -> DataFrame:
+    """A row for each piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, tier, step_group, attention_cost.
+
+    `added` maps tokens that are read as one id inside texts; without it they are ordinary text, so no text can forge one.
+    """
     path = vocabulary or default_vocabulary()
     source = K.id_text(docs)
-    return source.mapInPandas(lambda frames: pack_partition(frames, path, tiers, end), SCHEMA)
+    return source.mapInPandas(lambda frames: pack_partition(frames, path, tiers, end, added), SCHEMA)
 
 
 def op1_hierarchical_packing(spark, sf_dir: str) -> DataFrame:
-    return pack_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    """The ids that `tokenizers` gives by its default, which reads the vocabulary's added token inside texts."""
+    return pack_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"), added=ADDED)

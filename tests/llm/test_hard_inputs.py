@@ -305,3 +305,24 @@ def test_stages_on_nulls_repeats_and_clashing_names(spark, tmp_path):
             assert len(got) == len(rows) and sum(r["doc_id"] == BIG for r in got) == 3
         if name == "packing":
             assert {r["doc_id"] for r in got} == {i for i, _ in rows}
+
+
+def test_packing_query_gives_the_ids_of_the_default_tokenizer(spark, tmp_path):
+    import zlib
+
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    mark = "<|endoftext|>"
+    texts = {1: f"one {mark} two\n\n{mark}", 2: mark, 3: mark + mark + " \n", 4: "<|endoftext", 5: f"a{' ' * 5000}{mark}{' ' * 5000}b", 6: f"{prose(6, 900)}{mark}{prose(7, 900)}", 7: ""}
+    spark.createDataFrame(list(texts.items()), "doc_id long, text string").coalesce(1).write.parquet(f"{tmp_path}/documents.parquet")
+    found = {}
+    for p in packing.op1_hierarchical_packing(spark, str(tmp_path)).collect():
+        found.setdefault(p["doc_id"], []).append(p)
+    assert set(found) == set(texts)
+    for i, text in texts.items():
+        ids = np.array([*t.encode(text, add_special_tokens=False).ids, 1], "<u4")
+        pieces = sorted(found[i], key=lambda p: p["start"])
+        assert sum(p["length"] for p in pieces) == len(ids) and {p["doc_tokens"] for p in pieces} == {len(ids)}
+        assert all(p["ids_crc32"] == zlib.crc32(ids[p["start"] : p["start"] + p["length"]].tobytes()) for p in pieces)
