@@ -23,6 +23,7 @@ import math
 import re
 
 import numpy as np
+import pandas as pd
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -31,7 +32,7 @@ from . import kernels as K
 
 K.ship(__name__)
 
-DEPTH, CELL_BITS, LONGEST, SEED_SHARE, LABELLED, PRIOR_BLOCK, SMOOTH = 3, 20, 24, 1e-4, 20_000, 0.2, 0.5
+DEPTH, CELL_BITS, SHARE_BITS, LONGEST, SEED_SHARE, LABELLED, PRIOR_BLOCK, SMOOTH = 3, 20, 16, 24, 1e-4, 20_000, 0.2, 0.5
 SCHEMA = "page_id long, host string, path string, rule string, verdict string, score double, words string"
 
 # Rules (host, path, verdict), and names of sites known to be unwanted or wanted.
@@ -73,8 +74,8 @@ class Unigrams:
     """Log-probabilities from a count-min sketch of word counts; a word that was never seen has none."""
 
     def __init__(self, counts: np.ndarray, seeds: dict[str, int]):
-        self.counts, self.seeds = counts.astype(np.float32), seeds  # 12 MB are broadcast
-        self.total = int(counts[0].sum()) + sum(seeds.values())
+        self.counts, self.seeds = counts, seeds  # 12 MB are broadcast
+        self.total = int(counts[0].sum(dtype=np.float64)) + sum(seeds.values())
         self.known: dict[str, float | None] = {}
         self.unknown = -math.log(max(2, self.total))
 
@@ -88,22 +89,34 @@ class Unigrams:
         return self.known[word]
 
 
+def block_of_cells(key, frame):
+    """The counters of one block; at most 2^SHARE_BITS rows."""
+    counts = np.zeros(1 << SHARE_BITS, "<f4")
+    counts[frame["cell"].to_numpy(np.int64) & (1 << SHARE_BITS) - 1] = frame["n"].to_numpy(np.float32)
+    return pd.DataFrame({"depth": [key[0]], "block": [key[1]], "counts": [counts.tobytes()]})
+
+
 def word_sketch(pages: DataFrame) -> np.ndarray:
-    """Counters [depth, cell] of the visible words of all pages: DEPTH x 2^CELL_BITS numbers, however many pages and words."""
-    counts = np.zeros((DEPTH, 1 << CELL_BITS), np.int64)
+    """Counters [depth, cell] of the visible words of all pages: DEPTH x 2^CELL_BITS numbers, however many pages and words.
+
+    Executors turn summed cells into blocks of numbers, so the driver gets the sketch itself and never a row for a cell.
+    """
+    counts = np.zeros((DEPTH, 1 << CELL_BITS), np.float32)
     if "html" not in pages.columns:
         return counts
     text = F.regexp_replace(F.lower(F.col("html").cast("string")), r"(?s)<(script|style)\b.*?</\1\s*>|<!--.*?-->|<[^>]*>", " ")
     words = pages.select(F.explode(F.regexp_extract_all(text, F.lit("([a-z]+)"), 1)).alias("word")).groupBy("word").agg(F.count("*").alias("n"))
     cell = F.explode(F.array(*[F.struct(F.lit(d).alias("depth"), F.shiftrightunsigned(F.xxhash64("word"), CELL_BITS * d).bitwiseAND((1 << CELL_BITS) - 1).alias("cell")) for d in range(DEPTH)]))
-    rows = words.select(cell.alias("at"), "n").groupBy("at.depth", "at.cell").agg(F.sum("n").alias("n")).toPandas()
-    counts[rows["depth"].to_numpy(np.int64), rows["cell"].to_numpy(np.int64)] = rows["n"].to_numpy(np.int64)
+    sums = words.select(cell.alias("at"), "n").groupBy("at.depth", "at.cell").agg(F.sum("n").alias("n"))
+    blocks = sums.groupBy("depth", F.shiftright("cell", SHARE_BITS).cast("int").alias("block")).applyInPandas(block_of_cells, "depth int, block int, counts binary")
+    for row in blocks.collect():  # DEPTH x 2^CELL_BITS numbers in all
+        counts[row["depth"], row["block"] << SHARE_BITS : (row["block"] + 1) << SHARE_BITS] = np.frombuffer(row["counts"], "<f4")
     return counts
 
 
 def unigram(pages: DataFrame) -> Unigrams:
     counts = word_sketch(pages)
-    least = max(1, math.ceil(SEED_SHARE * int(counts[0].sum())))
+    least = max(1, math.ceil(SEED_SHARE * int(counts[0].sum(dtype=np.float64))))
     return Unigrams(counts, {w: least for words, _ in seed_names() for w in words})
 
 
