@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from .catalogue import query, sql_query
 from .functions import geometry as G
 from .functions import sql_functions
+from .plans import session
 from .sources import points_io
 from .sources.tables import load, view, with_views
 from .streaming import spacing as streams
@@ -339,3 +342,24 @@ def stream_late_rows(spark, d):
 @query("stream_assign_cells", "SELECT n_regionkey, count(*) AS n FROM events JOIN nation ON user_id % 25 = n_nationkey GROUP BY n_regionkey")
 def stream_assign_cells(spark, d):
     return load(spark, d, "events").join(F.broadcast(load(spark, d, "nation")), F.col("user_id") % 25 == F.col("n_nationkey")).groupBy("n_regionkey").agg(F.count("*").alias("n"))
+
+
+@query("op_require_valid", "SELECT CASE WHEN c_acctbal <= 0 THEN 'spacing' ELSE 'valid' END AS fault, count(*) AS n FROM customer GROUP BY 1")
+def op_require_valid(spark, d):
+    """Customers by fault, with the balance as spacing; those without one are counted behind the guard."""
+    p = view(spark, d, "pv_cust2").withColumn("h", F.col("x"))
+    why = points_io.fault(p)
+    bad = p.filter(why.isNotNull()).select(why.alias("fault"))
+    good = points_io.require_valid(p.filter(why.isNull())).select(F.lit("valid").alias("fault"))
+    return bad.union(good).groupBy("fault").agg(F.count("*").alias("n"))
+
+
+@query("op_export_sorted", "SELECT o_orderpriority, count(*) AS n, CAST(0 AS BIGINT) AS disorder FROM orders GROUP BY o_orderpriority")
+def op_export_sorted(spark, d):
+    """Orders by priority, written, and read in the order of each file: rows that come before their predecessor in it."""
+    path = f"{session.shared_folder(spark)}/sorted-{uuid.uuid4().hex}"
+    points_io.write_sorted(load(spark, d, "orders").select("o_orderpriority", "o_orderkey"), path, "o_orderpriority", "o_orderkey")
+    back = spark.read.parquet(path).select("*", F.col("_metadata.file_name").alias("file"), F.col("_metadata.row_index").alias("row"))
+    key = F.struct("o_orderpriority", "o_orderkey")
+    back = back.withColumn("disorder", F.coalesce((key < F.lag(key).over(Window.partitionBy("file").orderBy("row"))).cast("long"), F.lit(0).cast("long")))
+    return back.groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.sum("disorder").alias("disorder"))

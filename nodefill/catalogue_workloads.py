@@ -76,6 +76,12 @@ def workload_step_times(spark, d):
     return measures.step_shares(workloads.step_times(spark, 200))
 
 
+@query("workload_bootstrap_share")
+def workload_bootstrap_share(spark, d):
+    """Measured seconds, so no SQL."""
+    return measures.bootstrap_share(workloads.bootstrap_steps(spark, (1, 4)))
+
+
 @query("workload_same_seeds", "SELECT TRUE AS counts_alike, TRUE AS regularity_alike")
 def workload_same_seeds(spark, d):
     """From the same bootstrapped seeds, the sequential fill and the cell-parallel one are nearly alike."""

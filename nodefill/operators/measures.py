@@ -114,6 +114,11 @@ def step_shares(steps: DataFrame) -> DataFrame:
     return steps.groupBy("run", "step").agg(F.sum("seconds").alias("seconds")).select("run", "step", "seconds", (F.col("seconds") / total).alias("share"))
 
 
+def bootstrap_share(steps: DataFrame) -> DataFrame:
+    """run, share of the run's seconds that went into its step `bootstrap`; 0 for a run without one."""
+    return step_shares(steps).groupBy("run").agg(F.sum("seconds").alias("seconds"), F.coalesce(F.sum(F.when(F.col("step") == "bootstrap", F.col("share"))), F.lit(0.0)).alias("share"))
+
+
 def single_vs_sum(runs: DataFrame) -> DataFrame:
     """Correlation over settings of the single worker's time with the sum of all workers' times."""
     return runs.groupBy("setting").agg(F.sum(F.when(F.col("workers") == 1, F.col("seconds"))).alias("single"), F.sum(F.when(F.col("workers") > 1, F.col("seconds"))).alias("summed")).agg(F.corr("single", "summed").alias("corr"), F.count("*").alias("n"))

@@ -262,6 +262,19 @@ def step_times(spark, n: int = 500) -> DataFrame:
     return spark.createDataFrame(rows, "run string, step string, seconds double")
 
 
+def bootstrap_steps(spark, multiples, n: int = 800, n_parts: int = 4) -> DataFrame:
+    """run (the number of seeds asked for), step, seconds of the steps of a parallel fill."""
+    region, s = spacing_of_size("clover2d", n)
+    seed, rows = first_seed(spark, region), []
+    for k in multiples:
+        t = time.perf_counter()
+        seeds = cut(fills.bootstrap_iterative(seed, region, s, n, 8 * k)[0])
+        booted = time.perf_counter()
+        fills.fill_parallel(seeds, region, s, n_parts, "colour").count()
+        rows += [(str(8 * k), "bootstrap", booted - t), (str(8 * k), "fill", time.perf_counter() - booted)]
+    return spark.createDataFrame(rows, "run string, step string, seconds double")
+
+
 def adapt(points: DataFrame, indicator: DataFrame, factor: float = 0.5, share: float = 0.2) -> DataFrame:
     """New spacing at each point: smaller by `factor` where the indicator is among the largest `share`."""
     limit = indicator.agg(F.percentile_approx("indicator", 1 - share, 10000).alias("limit"))

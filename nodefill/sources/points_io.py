@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import sys
+from functools import reduce
+from operator import or_
 
 from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
@@ -37,6 +39,26 @@ def write_points(points: DataFrame, path: str, kind: str = "parquet", by: str |
     writer.option("header", True).csv(path) if kind == "csv" else getattr(writer, kind)(path)
 
 
+def fault(points: DataFrame, region=None):
+    """Why a row can't take part in a fill: coordinate (null, NaN, infinite), spacing (so, or not positive), outside; null if it can."""
+    broken = lambda c: F.col(c).isNull() | F.isnan(c) | (F.abs(c) == float("inf"))
+    why = F.when(reduce(or_, [broken(c) for c in "xyz" if c in points.columns]), "coordinate")
+    if "h" in points.columns:
+        why = why.when(broken("h") | (F.col("h") <= 0), "spacing")
+    return why if region is None else why.when(~region.contains(), "outside")
+
+
+def require_valid(points: DataFrame, region=None) -> DataFrame:
+    """The points as they are; the job fails if it meets a row with a fault."""
+    why = fault(points, region)
+    return points.filter(F.when(why.isNotNull(), F.raise_error(F.concat(F.lit("invalid point: "), why))).otherwise(F.lit(True)))
+
+
+def write_sorted(rows: DataFrame, path: str, *by: str) -> None:
+    """Parquet in one order: each file is sorted, and holds a range of its own."""
+    rows.repartitionByRange(*by).sortWithinPartitions(*by).write.parquet(path)
+
+
 def write_cells(points: DataFrame, table: str, buckets: int = 64) -> None:
     """Points bucketed and sorted by cell: joins by cell then need no exchange."""
     points.write.mode("overwrite").bucketBy(buckets, "cell_id").sortBy("cell_id").format("parquet").saveAsTable(table)

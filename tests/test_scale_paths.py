@@ -1,12 +1,14 @@
 """The ways that only large inputs take, forced on small ones, give the same rows."""
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from nodefill.functions import geometry as G
 from nodefill.operators import front, grid, measures, pde, thin
 from nodefill.operators import spark_fill as fills
 from nodefill.plans import session, workloads
+from nodefill.sources import points_io
 
 
 def cloud(spark, n, seed=1):
@@ -67,3 +69,24 @@ def test_indexed_search_makes_few_rows(spark):
     s = p.filter("pid < 12").select(F.col("pid").alias("seed_id"), "x", "y", "z")
     key = lambda out: sorted((r["pid"], r["rank"], r["nbr"]) for r in out.collect())
     assert key(grid.indexed_knn(p, p, s, 3, 2, same=True)) == key(grid.knn(p, p, 3, 2, 0.2, same=True))
+
+
+def test_validity_guard(spark):
+    region = G.REGIONS["clover2d"]()
+    rows = [(0.5, 0.2, 0.1), (None, 0.2, 0.1), (0.5, float("nan"), 0.1), (float("inf"), 0.2, 0.1), (0.5, 0.2, 0.0), (0.5, 0.2, None), (50.0, 0.2, 0.1)]
+    faults = [None, "coordinate", "coordinate", "coordinate", "spacing", "spacing", "outside"]
+    for row, want in zip(rows, faults, strict=True):
+        p = spark.createDataFrame([(*row, 0.0)], "x double, y double, h double, z double")
+        assert p.select(points_io.fault(p, region)).first()[0] == want
+        if want is None:
+            assert points_io.require_valid(p, region).count() == 1
+        else:
+            with pytest.raises(Exception, match="invalid point: " + want):
+                points_io.require_valid(p, region).collect()
+
+
+def test_sorted_export_is_one_order(spark, tmp_path):
+    p = cloud(spark, 400).repartition(5)
+    points_io.write_sorted(p, str(tmp_path / "out"), "x")
+    back = spark.read.parquet(str(tmp_path / "out")).groupBy("_metadata.file_name").agg(F.min("x").alias("a"), F.max("x").alias("b")).orderBy("file_name").collect()
+    assert all(u["b"] <= v["a"] for u, v in zip(back[:-1], back[1:], strict=True))
